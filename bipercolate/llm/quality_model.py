@@ -30,7 +30,7 @@ from bipercolate.llm.common import text_blocks
 PLACES = 1 << 18
 MOST_ROWS = 6000
 THRESHOLD = 0.3
-MOST_WORDS = 500_000
+MOST_WORDS = 300_000
 _U64 = np.uint64
 _M = _U64(0x9E3779B97F4A7C15)
 SCORES = "doc_id long, score double"

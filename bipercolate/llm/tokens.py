@@ -17,7 +17,7 @@ import public_tokenizers
 import regex
 
 #: Chunks that a worker keeps at most; then it starts anew.
-MOST_CHUNKS = 900_000
+MOST_CHUNKS = 300_000
 #: White space that is no ASCII white space (fixed values of the Unicode standard, with U+001C-U+001F).
 _OTHER_SPACE = re.compile("[\x1c-\x1f\x85\xa0  -     　]")
 _ANY_SPACE = re.compile(r"\s")
