@@ -1,14 +1,327 @@
-"""Queries over the given tables, with SQL that must give the same rows."""
+"""Queries over the given tables, with SQL that must give the same rows.
+
+Sets come out as strings: labels of a side sorted and comma-joined, a biclique as "x|y", a community as its least biclique.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import partial as bound
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
-from pyspark.sql import DataFrame, SparkSession
+from bipercolate import cohesive, communities, graph, listing, maxbiclique, measures, overlap
+from bipercolate.checkpoints import cut
+from bipercolate.communities import METHODS, detect
+from bipercolate.components import FEW_LINKS, connected
+from bipercolate.graph import Encoded, encode
+from bipercolate.operators import relational
+from bipercolate.sources.workloads import GRAPHS, SQL
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
 ORACLE_SQL: dict[str, str] = {}
 
 
+def add(name: str, query: Query, sql: str | None = None) -> None:
+    QUERIES[name] = query
+    if sql is not None:
+        ORACLE_SQL[name] = sql
+
+
+# ---- pieces of SQL -------------------------------------------------------------------------------------------------
+
+
+def edges_sql(g: str) -> str:
+    return f"e AS MATERIALIZED (SELECT CAST(u AS VARCHAR) AS u, CAST(v AS VARCHAR) AS v FROM ({SQL[g]}))"
+
+
+#: All maximal bicliques: neighbour lists closed under intersection, and the vertices adjacent to all of each.
+BICLIQUES_SQL = """
+lists AS MATERIALIZED (SELECT u, list_sort(list(v)) AS ys FROM e GROUP BY u),
+closed(y) AS (
+    SELECT DISTINCT ys FROM lists
+    UNION
+    SELECT list_sort(list_intersect(c.y, l.ys)) FROM closed c JOIN lists l ON len(list_intersect(c.y, l.ys)) > 0
+),
+b AS MATERIALIZED (
+    SELECT c.y, list_sort(list(l.u)) AS x, array_to_string(list_sort(list(l.u)), ',') || '|' || array_to_string(c.y, ',') AS biclique
+    FROM closed c JOIN lists l ON list_has_all(l.ys, c.y) GROUP BY c.y
+)"""
+
+
+def overlap_sql(a: int, b: int) -> str:
+    return f"""
+q AS MATERIALIZED (SELECT * FROM b WHERE len(x) >= {a} AND len(y) >= {b}),
+links AS MATERIALIZED (
+    SELECT p.biclique AS a, r.biclique AS b, len(list_intersect(p.x, r.x)) AS common_x, len(list_intersect(p.y, r.y)) AS common_y
+    FROM q p JOIN q r ON p.biclique < r.biclique AND len(list_intersect(p.y, r.y)) >= {b} AND len(list_intersect(p.x, r.x)) >= {a}
+)"""
+
+
+#: Components of links over the items of q, by passing least labels on.
+COMPONENTS_SQL = """
+either AS MATERIALIZED (SELECT a, b FROM links UNION ALL SELECT b, a FROM links),
+label(item, least) USING KEY (item) AS (
+    SELECT biclique, biclique FROM q
+    UNION
+    SELECT n.b, min(l.least) FROM label l JOIN either n ON n.a = l.item JOIN recurring.label r ON r.item = n.b WHERE l.least < r.least GROUP BY n.b
+)"""
+
+
+def communities_sql(g: str, a: int, b: int) -> str:
+    return f"WITH RECURSIVE {edges_sql(g)}, {BICLIQUES_SQL}, {overlap_sql(a, b)}, {COMPONENTS_SQL}\nSELECT least AS community_id, item AS biclique FROM label"
+
+
+# ---- graphs --------------------------------------------------------------------------------------------------------
+
+
+def texts(edges: DataFrame) -> DataFrame:
+    return edges.select(F.col("u").cast("string").alias("u"), F.col("v").cast("string").alias("v"))
+
+
+def encoded(g: str, spark: SparkSession, d: str) -> Encoded:
+    return encode(texts(GRAPHS[g](spark, d)))
+
+
+def graph_stats(g: str, spark: SparkSession, d: str) -> DataFrame:
+    return graph.stats(GRAPHS[g](spark, d))
+
+
+for g in GRAPHS:
+    add(f"graph_stats_{g}", bound(graph_stats, g), f"WITH {edges_sql(g)} SELECT count(DISTINCT u) AS n_u, count(DISTINCT v) AS n_v, count(*) AS n_edges, count(*) / count(DISTINCT u) AS mean_degree_u, count(*) / count(DISTINCT v) AS mean_degree_v FROM e")
+
+for side, other in (("u", "v"), ("v", "u")):
+    add(f"degree_hist_{side}", lambda s, d, side=side: graph.degree_histogram(GRAPHS["doc_line"](s, d), side), f"WITH {edges_sql('doc_line')}, d AS (SELECT {side}, count(*) AS degree FROM e GROUP BY 1) SELECT degree, count(*) AS vertices FROM d GROUP BY 1")
+
+add("two_hop_edges", lambda s, d: graph.two_hop(texts(GRAPHS["page_link"](s, d))), f"WITH {edges_sql('page_link')} SELECT DISTINCT a.u, b.u AS w FROM e a JOIN e b ON a.v = b.v AND a.u < b.u")
+add("two_hop_size", lambda s, d: measures.two_hop_size(GRAPHS["bench_word"](s, d)), f"WITH {edges_sql('bench_word')} SELECT count(*) AS two_hop_edges FROM (SELECT DISTINCT a.u, b.u AS w FROM e a JOIN e b ON a.v = b.v AND a.u < b.u)")
+
+
+def two_hop_degree_rank(spark: SparkSession, d: str) -> DataFrame:
+    return encoded("user_day", spark, d).u.select(F.col("label").alias("u"), F.col("id").alias("place"))
+
+
+add("two_hop_degree_rank", two_hop_degree_rank, f"""WITH {edges_sql('user_day')}, h AS (SELECT a.u, count(DISTINCT b.u) AS degree FROM e a JOIN e b ON a.v = b.v AND a.u <> b.u GROUP BY 1),
+d AS (SELECT DISTINCT e.u, coalesce(h.degree, 0) AS degree FROM e LEFT JOIN h ON e.u = h.u) SELECT u, row_number() OVER (ORDER BY degree, u) AS place FROM d""")
+for percent in (20, 40, 60, 80):
+    add(f"edge_sample_{percent}", lambda s, d, p=percent: graph.sample(GRAPHS["order_part"](s, d), p), f"SELECT u, v FROM ({SQL['order_part']}) WHERE (u * 7919 + v * 104729) % 100 < {percent}")
+
+# ---- maximal bicliques ---------------------------------------------------------------------------------------------
+
+
+def strings(graph_: Encoded, bicliques: DataFrame) -> DataFrame:
+    names = graph_.labels(bicliques)
+    return names.select(F.concat_ws("|", F.array_join("x", ","), F.array_join("y", ",")).alias("biclique"), F.size("x").cast("long").alias("n_x"), F.size("y").cast("long").alias("n_y"))
+
+
+def maximal_bicliques(g: str, engine: str, pivot: str, order: str, spark: SparkSession, d: str) -> DataFrame:
+    e = encode(texts(GRAPHS[g](spark, d)), order)
+    return strings(e, maxbiclique.enumerate_bicliques(e.edges, engine=engine, pivot=pivot).bicliques)
+
+
+def qualified(g: str, a: int, b: int, spark: SparkSession, d: str) -> DataFrame:
+    e = encoded(g, spark, d)
+    return strings(e, maxbiclique.enumerate_bicliques(e.edges, a, b, qualified_only=True).bicliques)
+
+
+def bicliques_sql(g: str, where: str = "true") -> str:
+    return f"WITH RECURSIVE {edges_sql(g)}, {BICLIQUES_SQL}\nSELECT biclique, len(x) AS n_x, len(y) AS n_y FROM b WHERE {where}"
+
+
+for g in ("doc_line", "user_day", "cust_quarter", "bench_word", "vec_dim", "page_link", "nation_brand", "cust_priority", "part_supp_returned", "doc_label", "cust_region"):
+    add(f"maximal_bicliques_{g}", bound(maximal_bicliques, g, "local", "min_nonneighbours", "two_hop_degree"), bicliques_sql(g))
+for engine, pivot, order in (("frontier", "min_nonneighbours", "two_hop_degree"), ("closure", "min_nonneighbours", "two_hop_degree"), ("local", "none", "two_hop_degree"), ("local", "min_nonneighbours", "id"), ("local", "none", "id")):
+    add(f"maximal_bicliques_nation_brand_{engine}_{pivot}_{order}", bound(maximal_bicliques, "nation_brand", engine, pivot, order), bicliques_sql("nation_brand"))
+for g, a, b in (("cust_brand", 3, 3), ("order_part", 2, 2), ("user_hour", 4, 4), ("conv_word", 3, 3)):
+    where = f"len(x) >= {a} AND len(y) >= {b}"
+    add(f"maximal_bicliques_qualified_{g}_{a}_{b}", bound(qualified, g, a, b), bicliques_sql(g, where) if g == "cust_brand" else None)
+
+
+def all_of(g: str, spark: SparkSession, d: str) -> tuple[Encoded, DataFrame]:
+    e = encoded(g, spark, d)
+    return e, maxbiclique.enumerate_bicliques(e.edges).bicliques
+
+
+add("biclique_size_hist", lambda s, d: all_of("user_day", s, d)[1].groupBy(F.col("n_x").cast("long"), F.col("n_y").cast("long")).agg(F.count("*").alias("bicliques")), f"WITH RECURSIVE {edges_sql('user_day')}, {BICLIQUES_SQL} SELECT len(x) AS n_x, len(y) AS n_y, count(*) AS bicliques FROM b GROUP BY 1, 2")
+
+
+def maximum_size(by: str, spark: SparkSession, d: str) -> DataFrame:
+    return cohesive.maximum_biclique(all_of("user_day", spark, d)[1], by).select("biclique_size")
+
+
+for by, size in (("edges", "len(x) * len(y)"), ("vertices", "len(x) + len(y)")):
+    add(f"maximum_biclique_{by}", bound(maximum_size, by), f"WITH RECURSIVE {edges_sql('user_day')}, {BICLIQUES_SQL} SELECT max({size}) AS biclique_size FROM b")
+
+# ---- overlap graph and communities ---------------------------------------------------------------------------------
+
+
+def overlap_edges(g: str, a: int, b: int, prefix: bool, spark: SparkSession, d: str) -> DataFrame:
+    e, found = all_of(g, spark, d)
+    links = overlap.edges(found, a, b, prefix)
+    names = cut(e.labels(found).select("biclique_id", F.concat_ws("|", F.array_join("x", ","), F.array_join("y", ",")).alias("name")))
+    both = links.join(names.select(F.col("biclique_id").alias("a"), F.col("name").alias("na")), "a").join(names.select(F.col("biclique_id").alias("b"), F.col("name").alias("nb")), "b")
+    return both.select(F.least("na", "nb").alias("a"), F.greatest("na", "nb").alias("b"), F.col("common_x").cast("long"), F.col("common_y").cast("long"))
+
+
+for g, a, b, prefix in (("user_day", 3, 3, True), ("nation_brand", 2, 2, True), ("nation_brand", 2, 2, False), ("doc_line", 2, 2, True)):
+    add(f"overlap_edges_{g}_{a}_{b}" + "" * prefix + "_unfiltered" * (not prefix), bound(overlap_edges, g, a, b, prefix), f"WITH RECURSIVE {edges_sql(g)}, {BICLIQUES_SQL}, {overlap_sql(a, b)} SELECT a, b, common_x, common_y FROM links")
+add("overlap_edge_count", lambda s, d: overlap.edges(all_of("vec_dim", s, d)[1], 2, 2).agg(F.count("*").alias("overlap_edges")), f"WITH RECURSIVE {edges_sql('vec_dim')}, {BICLIQUES_SQL}, {overlap_sql(2, 2)} SELECT count(*) AS overlap_edges FROM links")
+add("overlap_pairs_sharing_a_vertex", lambda s, d: overlap.candidates(all_of("nation_brand", s, d)[1]).agg(F.count("*").alias("pairs")), f"WITH RECURSIVE {edges_sql('nation_brand')}, {BICLIQUES_SQL} SELECT count(*) AS pairs FROM b p JOIN b r ON p.biclique < r.biclique AND list_has_any(p.x, r.x)")
+
+
+def overlap_degree_topk(spark: SparkSession, d: str) -> DataFrame:
+    links = overlap_edges("nation_brand", 2, 2, True, spark, d)
+    ends = links.select(F.col("a").alias("biclique")).union(links.select("b"))
+    return ends.groupBy("biclique").agg(F.count("*").alias("degree")).orderBy(F.desc("degree"), "biclique").limit(5)
+
+
+add("overlap_degree_topk", overlap_degree_topk, f"WITH RECURSIVE {edges_sql('nation_brand')}, {BICLIQUES_SQL}, {overlap_sql(2, 2)} SELECT biclique, count(*) AS degree FROM (SELECT a AS biclique FROM links UNION ALL SELECT b FROM links) GROUP BY 1 ORDER BY degree DESC, biclique LIMIT 5")
+
+
+def found_communities(method: str, g: str, a: int, b: int, spark: SparkSession, d: str, **options) -> communities.Communities:
+    return detect(encoded(g, spark, d), a, b, method, **options)
+
+
+def keyed(method: str, g: str, a: int, b: int, options: dict, spark: SparkSession, d: str) -> DataFrame:
+    return found_communities(method, g, a, b, spark, d, **options).keyed()
+
+
+for g, a, b in (("user_day", 3, 3), ("doc_line", 2, 2), ("nation_brand", 4, 4)):
+    for method in METHODS:
+        add(f"communities_{method}_{g}_{a}_{b}", bound(keyed, method, g, a, b, {}), communities_sql(g, a, b))
+for g, a, b in (("cust_brand", 3, 3), ("cust_quarter", 2, 2), ("bench_word", 2, 2), ("vec_dim", 2, 2), ("page_link", 2, 2), ("nation_brand", 8, 8), ("nation_brand", 6, 6), ("cust_priority", 4, 4), ("part_supp_returned", 1, 2), ("doc_label", 3, 3), ("cust_region", 3, 3)):
+    add(f"communities_listing_seeded_{g}_{a}_{b}", bound(keyed, "listing_seeded", g, a, b, {}), communities_sql(g, a, b))
+for g, a, b in (("order_part", 2, 1), ("conv_word", 3, 3), ("user_hour", 4, 4)):
+    add(f"communities_seed_merge_{g}_{a}_{b}", bound(keyed, "seed_merge", g, a, b, {}))
+for name, options in (("batches", {"batches": 3}), ("unrestricted", {"restrict_shared": False}), ("basic_seeds", {"seed": "prefix"}), ("left_checks_only", {"prune_right_prefix": False}), ("frontier", {"engine": "frontier"})):
+    add(f"communities_listing_seeded_{name}", bound(keyed, "listing_seeded", "nation_brand", 4, 4, options), communities_sql("nation_brand", 4, 4))
+
+
+def members(spark: SparkSession, d: str) -> DataFrame:
+    found = found_communities("listing_seeded", "user_day", 3, 3, spark, d)
+    names = found.keyed().groupBy("community_id").count().select("community_id")
+    label = found.labels.join(found.encoded.labels(found.bicliques).select("biclique_id", F.concat_ws("|", F.array_join("x", ","), F.array_join("y", ",")).alias("biclique")), "biclique_id").groupBy("label").agg(F.min("biclique").alias("community_id"))
+    return found.members().join(label.join(names, "community_id", "left_semi"), "label").select("community_id", "side", "vertex")
+
+
+add("community_members", members, communities_sql("user_day", 3, 3).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT DISTINCT least AS community_id, side, vertex FROM (SELECT least, 'u' AS side, unnest(x) AS vertex FROM label JOIN b ON item = biclique UNION ALL SELECT least, 'v', unnest(y) FROM label JOIN b ON item = biclique)"))
+add("communities_of_vertex", lambda s, d: members(s, d).filter("side = 'v' and vertex = '2024-01-15'").select("community_id"), communities_sql("user_day", 3, 3).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT DISTINCT least AS community_id FROM label JOIN b ON item = biclique WHERE list_contains(y, '2024-01-15')"))
+add("community_sizes", lambda s, d: keyed("seed_merge", "user_day", 3, 3, {}, s, d).groupBy("community_id").agg(F.count("*").alias("bicliques")), communities_sql("user_day", 3, 3).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT least AS community_id, count(*) AS bicliques FROM label GROUP BY 1"))
+
+
+def alpha1_beta1(spark: SparkSession, d: str) -> DataFrame:
+    """Communities at (1, 1) are the connected components of the graph: one row of (components, vertices)."""
+    rows = found_communities("overlap", "page_link", 1, 1, spark, d).members()
+    return rows.agg(F.countDistinct("label").alias("components"), F.count("*").alias("vertices"))
+
+
+add("communities_alpha1_beta1", alpha1_beta1, f"""WITH RECURSIVE {edges_sql('page_link')}, links AS (SELECT DISTINCT 'u:' || u AS a, 'v:' || v AS b FROM e), q AS (SELECT a AS biclique FROM links UNION SELECT b FROM links), {COMPONENTS_SQL}
+SELECT count(DISTINCT least) AS components, count(*) AS vertices FROM label""")
+
+# ---- listing -------------------------------------------------------------------------------------------------------
+
+
+def ab_bicliques(g: str, a: int, b: int, side: str, spark: SparkSession, d: str) -> DataFrame:
+    e = encoded(g, spark, d)
+    rows = listing.enumerate_ab(e.edges, a, b, side)
+    return strings(e, cut(rows.withColumn("biclique_id", F.monotonically_increasing_id()))).select("biclique")
+
+
+AB_22_SQL = "SELECT a.u || ',' || b.u || '|' || a.v || ',' || c.v AS biclique FROM e a JOIN e b ON a.v = b.v AND a.u < b.u JOIN e c ON c.u = a.u AND c.v > a.v JOIN e f ON f.u = b.u AND f.v = c.v"
+for side in ("u", "v"):
+    add(f"ab_bicliques_doc_line_2_2_{side}", bound(ab_bicliques, "doc_line", 2, 2, side), f"WITH {edges_sql('doc_line')} {AB_22_SQL}")
+add("ab_biclique_count", lambda s, d: listing.count(encoded("cust_quarter", s, d).edges, 2, 2), f"WITH {edges_sql('cust_quarter')} SELECT count(*) AS ab_bicliques FROM ({AB_22_SQL})")
+add("ab_biclique_count_3_2", lambda s, d: listing.count(encoded("vec_dim", s, d).edges, 3, 2), f"WITH {edges_sql('vec_dim')}, p AS (SELECT a.u AS x, b.u AS y, c.u AS z, count(*) AS n FROM e a JOIN e b ON a.v = b.v AND a.u < b.u JOIN e c ON c.v = a.v AND b.u < c.u GROUP BY 1, 2, 3) SELECT coalesce(sum(n * (n - 1) / 2), 0)::BIGINT AS ab_bicliques FROM p")
+
+
+def by_own_keys(spark: SparkSession, d: str) -> DataFrame:
+    """Communities by the subsets that bicliques list themselves."""
+    e, found = all_of("nation_brand", spark, d)
+    good = cut(overlap.qualify(found, 2, 2))
+    links = listing.keys_from_bicliques(good, 2, 2)
+    return connected(links, driver_limit=FEW_LINKS).agg(F.countDistinct("label").alias("components"), F.count("*").alias("linked_bicliques"))
+
+
+add("listing_by_own_keys", by_own_keys, communities_sql("nation_brand", 2, 2).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT count(DISTINCT least) AS components, count(*) AS linked_bicliques FROM label WHERE item IN (SELECT a FROM either)"))
+
+# ---- partial groups and measures -----------------------------------------------------------------------------------
+
+
+def chain(g: str, a: int, b: int, spark: SparkSession, d: str) -> DataFrame:
+    found = measures.counts(encoded(g, spark, d), a, b)
+    return spark.createDataFrame([(measures.chain_ok(found), found["qualified"], found["communities"])], "ok boolean, qualified long, communities long")
+
+
+for g, a, b in (("user_day", 3, 3), ("nation_brand", 4, 4), ("bench_word", 3, 3)):
+    add(f"partial_counts_chain_{g}_{a}_{b}", bound(chain, g, a, b), communities_sql(g, a, b).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT true AS ok, count(*) AS qualified, count(DISTINCT least) AS communities FROM label"))
+
+
+def group_counts(spark: SparkSession, d: str) -> DataFrame:
+    """Counts of the whole chain for several thresholds; the groups depend on the order of the tree, so no SQL."""
+    e = encoded("user_day", spark, d)
+    rows = []
+    for a, b in ((2, 2), (2, 3), (3, 3)):
+        found = measures.counts(e, a, b)
+        rows.append((a, b, *found.values(), measures.reduction(found)))
+    return spark.createDataFrame(rows, "alpha int, beta int, qualified long, basic_groups long, seed_groups long, communities long, reduction double")
+
+
+add("measure_group_counts", group_counts)
+
+
+def refinement(method: str, spark: SparkSession, d: str) -> DataFrame:
+    found = found_communities(method, "user_day", 3, 3, spark, d)
+    return measures.refines(found.groups, found.labels)
+
+
+for method in ("prefix_merge", "seed_merge"):
+    add(f"partial_refines_communities_{method}", bound(refinement, method), "SELECT 0::BIGINT AS violations")
+
+
+def listing_nodes(spark: SparkSession, d: str) -> DataFrame:
+    """Nodes of the three listing methods: pruning never adds any, seeds never do either."""
+    e = encoded("user_day", spark, d)
+    found = maxbiclique.enumerate_bicliques(e.edges, 3, 3, qualified_only=True)
+    n = {m: measures.nodes(e, 3, 3, m, found) for m in ("listing", "listing_pruned", "listing_seeded")}
+    return spark.createDataFrame([(m, *(int(x.get(k, 0)) for k in ("prefix", "right", "leaf"))) for m, x in n.items()], "method string, prefixes long, right_prefixes long, leaves long")
+
+
+add("measure_listing_nodes", listing_nodes)
+add("measure_overlap_histogram", lambda s, d: measures.overlap_histogram(found_communities("listing_seeded", "user_day", 3, 3, s, d)), communities_sql("user_day", 3, 3).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT side, communities, count(*) AS vertices FROM (SELECT side, vertex, count(*) AS communities FROM (SELECT DISTINCT least, 'u' AS side, unnest(x) AS vertex FROM label JOIN b ON item = biclique UNION SELECT DISTINCT least, 'v', unnest(y) FROM label JOIN b ON item = biclique) GROUP BY 1, 2) GROUP BY 1, 2"))
+
+# ---- cohesive subgraphs --------------------------------------------------------------------------------------------
+
+
+def core_sql(g: str, a: int, b: int) -> str:
+    """Peeling as a recursion that keeps every round's edges; the last round is the core."""
+    return f"""WITH RECURSIVE {edges_sql(g)}, r(k, edges) AS (
+    SELECT 0, list({{'u': u, 'v': v}}) FROM e
+    UNION ALL
+    SELECT k + 1, kept FROM (SELECT k, edges, (SELECT list({{'u': u, 'v': v}}) FROM (SELECT x.u, x.v, count(*) OVER (PARTITION BY x.u) AS du, count(*) OVER (PARTITION BY x.v) AS dv FROM (SELECT unnest(r.edges) AS x)) WHERE du >= {a} AND dv >= {b}) AS kept FROM r) WHERE kept IS NOT NULL AND len(kept) < len(edges)
+), s(n) AS (SELECT len(edges) FROM r ORDER BY k DESC LIMIT 1), last AS (SELECT edges FROM r ORDER BY k DESC LIMIT 1)
+, t AS (SELECT unnest(edges) AS x FROM last)
+SELECT u, v FROM (SELECT x.u, x.v, count(*) OVER (PARTITION BY x.u) AS du, count(*) OVER (PARTITION BY x.v) AS dv FROM t) WHERE du >= {a} AND dv >= {b}"""
+
+
+for g, a, b in (("user_day", 6, 20), ("vec_dim", 3, 10)):
+    add(f"core_{g}_{a}_{b}", lambda s, d, g=g, a=a, b=b: cohesive.core(texts(GRAPHS[g](s, d)), a, b), core_sql(g, a, b))
+
+BUTTERFLIES_SQL = "SELECT e.u, e.v, coalesce(sum(c.n - 1), 0)::BIGINT AS butterflies FROM e LEFT JOIN (SELECT x.u, x.v, y.u AS w FROM e x JOIN e y ON x.v = y.v AND x.u <> y.u) k ON k.u = e.u AND k.v = e.v LEFT JOIN (SELECT x.u, y.u AS w, count(*) AS n FROM e x JOIN e y ON x.v = y.v AND x.u <> y.u GROUP BY 1, 2) c ON c.u = k.u AND c.w = k.w GROUP BY 1, 2"
+add("butterflies_per_edge", lambda s, d: cohesive.butterflies(texts(GRAPHS["user_day"](s, d))), f"WITH {edges_sql('user_day')} {BUTTERFLIES_SQL}")
+add("butterfly_total", lambda s, d: cohesive.butterfly_total(texts(GRAPHS["cust_quarter"](s, d))), f"WITH {edges_sql('cust_quarter')} SELECT (sum(butterflies) / 4)::BIGINT AS butterflies FROM ({BUTTERFLIES_SQL})")
+add("bitruss_user_day_6", lambda s, d: cohesive.bitruss(texts(GRAPHS["user_day"](s, d)), 6))
+add("case_study_user_day_3_3", lambda s, d: measures.case_study(texts(GRAPHS["user_day"](s, d)), 3, 3, 6))
+add("case_study_cust_brand_3_3", lambda s, d: measures.case_study(texts(GRAPHS["cust_brand"](s, d)), 3, 3, 6))
+
+# ---- relational operators around the methods -----------------------------------------------------------------------
+
+for name, (query, sql) in relational.CATALOGUE.items():
+    add(f"rel_{name}", query, sql)
+
+
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """Members of the communities of documents that share lines, at (2, 2)."""
+    found = detect(encode(GRAPHS["doc_line"](spark, sf_dir)), 2, 2)
+    return found.members().orderBy("label", "side", "vertex").withColumn("place", F.row_number().over(Window.partitionBy("label").orderBy("side", "vertex")))
