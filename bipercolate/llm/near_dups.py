@@ -12,7 +12,8 @@ ASCII white space). Equal sets are one node from the start (128-bit digests), so
 No bucket is ever paired with itself as it stands. First each member of a bucket is compared with the bucket's least
 node only, which joins most groups. Then only buckets that still span several components go on, and only pairs of
 different components are compared there: no link between different components can be missed, and a large group of near copies
-costs as many comparisons as it has members.
+costs as many comparisons as it has members. Bands of more than 48 members are compared in blocks, where sketches and sets
+lie side by side and only confirmed links come out, so that a crowd of near misses makes no table of pairs.
 
 Documents with fewer words than a shingle are one shingle; null, empty and wordless texts have an empty set and are
 linked with nothing. A null doc_id is a document that nothing links. Rows that repeat a doc_id are each returned; they
@@ -35,6 +36,8 @@ from bipercolate.llm.common import ids_semi, text_blocks
 WORDS, PERCENT = 5, 75
 SAMPLES, BAND, SKETCH_BITS, MOST_BITS_APART = 128, 4, 512, 107
 SIGNATURE = "doc_id long, n_shingles long, digest_a long, digest_b long, bands array<long>, sketch array<long>"
+#: Members up to which a band's pairs are joined one by one, and members of a block in larger ones.
+PAIRWISE, BLOCK = 48, 1024
 _LOWER = bytes(x + 32 if 65 <= x <= 90 else x for x in range(256))
 _U64 = np.uint64
 _SPREAD = _U64(0x9E3779B97F4A7C15)  # 2^64 over the golden ratio, an odd multiplier
@@ -153,6 +156,51 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int = PERCENT) -> Data
     return pairs.join(left, "a").join(right, "b").select("a", "b", "set_a", "set_b").mapInArrow(_confirmer(percent), "a long, b long")
 
 
+def _block_links(percent: int):
+    """For applyInArrow: confirmed links (a, b) between two blocks of one band, or within one.
+
+    A pair that shares an earlier large band is left to that band's group.
+    """
+
+    def run(group: pa.Table) -> pa.Table:
+        group = group.combine_chunks()
+        column = lambda name: group.column(name).to_numpy()
+        lists = lambda name: group.column(name).combine_chunks()
+        block, node, label, size = column("block"), column("node"), column("label"), column("n_shingles")
+        bands, sketches = lists("bands"), np.stack([np.array(x, np.int64) for x in lists("sketch").to_pylist()]).view(_U64)
+        earlier = [{y for y in x if y < b} for x, b in zip(bands.to_pylist(), column("band").tolist(), strict=True)]
+        sets = [np.frombuffer(x.as_buffer(), _U64) for x in lists("shingles")]
+        one = column("i")[0] == column("j")[0]
+        left, right = (np.arange(len(node)),) * 2 if one else (np.flatnonzero(block == column("i")[0]), np.flatnonzero(block == column("j")[0]))
+        links: list[tuple[int, int]] = []
+        for x in left:
+            others = right[right > x] if one else right
+            others = others[(label[others] != label[x]) & (np.minimum(size[others], size[x]) * 100 >= np.maximum(size[others], size[x]) * percent)]
+            others = others[np.bitwise_count(sketches[others] ^ sketches[x]).sum(axis=1) <= MOST_BITS_APART]
+            for y in others:
+                if earlier[x].isdisjoint(earlier[y]):
+                    both = np.concatenate((sets[x], sets[y]))
+                    both.sort()
+                    common = int((both[1:] == both[:-1]).sum())
+                    if 100 * common >= percent * (len(both) - common):
+                        links.append((min(node[x], node[y]), max(node[x], node[y])))
+        return pa.table({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())})
+
+    return run
+
+
+def _in_blocks(rest: DataFrame, light: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
+    """Links within large bands (band, node, label, n): nodes are dealt to blocks of about BLOCK, and each pair of blocks is one bounded group."""
+    own = rest.groupBy("node", "label").agg(F.array_sort(F.collect_list("band")).alias("bands"))  # at most one per band of the signature
+    ids = cut(own.select(F.col("node").alias("doc_id")))
+    texts = ids_semi(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), ids, "doc_id").mapInArrow(_set_rows, "doc_id long, shingles binary")
+    sets = texts.groupBy(F.col("doc_id").alias("node")).agg(F.first("shingles").alias("shingles"))
+    full = cut(own.join(sets, "node").join(light, "node"))
+    dealt = rest.select("band", "node", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    with_blocks = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("band", "node", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    return with_blocks.join(full, "node").groupBy("band", "i", "j").applyInArrow(_block_links(percent), "a long, b long")
+
+
 def classes(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept, and copy_of (the least document with the same set)."""
     signed = cut(signatures(docs))
@@ -175,15 +223,17 @@ def classes(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
 
     of = labels.select(F.col("item").alias("node"), F.col("label"))
     labelled = buckets.join(of, "node", "left").select("band", "node", F.coalesce("label", "node").alias("label"))
-    open_bands = labelled.groupBy("band").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("band")
-    rest = cut(labelled.join(open_bands, "band", "left_semi").join(light, "node"))
+    open_bands = labelled.groupBy("band").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("n")).filter("lo <> hi").select("band", "n")
+    rest = cut(labelled.join(open_bands, "band"))
+    few = rest.filter(F.col("n") <= PAIRWISE).join(light, "node")
     between = (
-        rest.alias("x").join(rest.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.label") != F.col("y.label")) & _near("x", "y", percent))
+        few.alias("x").join(few.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.node") < F.col("y.node")) & (F.col("x.label") != F.col("y.label")) & _near("x", "y", percent))
         .select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
         .join(tried, ["a", "b"], "left_anti")
     )
+    blocks = _in_blocks(rest.filter(F.col("n") > PAIRWISE), light, docs, percent)
     every = nodes.select(F.col("node").alias("item")).join(labels, "item", "left").select("item", F.coalesce("label", "item").alias("label"))
-    final = cut(merge(every, confirmed(between, docs, percent)))
+    final = cut(merge(every, confirmed(between, docs, percent).union(blocks)))
 
     found = nodes.join(final, F.col("node") == F.col("item")).select(*set_key, F.col("node").alias("copy_of"), F.col("label").alias("component_id"))
     return (
