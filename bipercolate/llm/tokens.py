@@ -103,7 +103,7 @@ class ByteEncoder:
     def __init__(self, path: str) -> None:
         self.library = _library(path)
         cut = public_tokenizers.PATTERN
-        self.later = Chunks(self.library, cut, whole=True, prefix=" ")
+        self.later = Chunks(self.library, cut, whole=True, prefix=" ", most=2 * MOST_CHUNKS)
         self.first = Chunks(self.library, cut, whole=True, known=self.later.known)
         self.rare = Chunks(self.library, cut, whole=False, known=self.later.known)
         self.newline = _packed(self.library.encode("\n", add_special_tokens=False).ids)
