@@ -44,7 +44,7 @@ def small_communities(pairs: set[tuple], alpha: int, beta: int) -> list[tuple[in
 
 
 class PercolationCommunities:
-    """``SELECT * FROM percolation_communities(TABLE(edges) PARTITION BY snapshot, 2, 2)``: one graph per partition, columns u and v."""
+    """``SELECT * FROM percolation_communities(TABLE(edges) PARTITION BY (snapshot), 2, 2)``: one graph per partition, columns u and v."""
 
     def __init__(self) -> None:
         self.pairs: set[tuple[str, str]] = set()
