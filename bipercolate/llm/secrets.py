@@ -5,7 +5,8 @@ they stay in any case. The method adds kind entropy: candidate strings of 20 cha
 which a window of ``WINDOW`` characters slides. The window's Shannon entropy is log2(W) - sum(c * log2 c) / W over the
 counts c of its characters; moving on by one character changes two counts, so only two terms of the sum are replaced.
 A candidate is a secret if some window reaches the threshold of its character class (hexadecimal or base64) and no
-allow-list pattern matches: words of documentation, runs of one character, ascending sequences, UUIDs, paths and plain numbers.
+allow-list pattern matches: words of documentation, runs of one character, ascending sequences, UUIDs, and slugs and paths of
+lower-case words and numbers of up to four digits.
 
 Null and empty texts have no spans. Rows are independent: repeated rows repeat, a null doc_id is returned as it is.
 """
@@ -25,7 +26,10 @@ ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?(
 ACCESS = r"AKIA[A-Z0-9]++"
 HEX = r"[0-9a-f]{16,}+"  # runs of [0-9a-f]+ with 16 characters or more
 CANDIDATE = r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*+[0-9])(?=[0-9+/_=-]*+[A-Za-z])[A-Za-z0-9+/_=-]{20,}+"
-ALLOWED = r"(?i)example|sample|placeholder|changeme|your[_-]?|xxxx|0123456789|1234567890|abcdefgh|(.)\1{5}|^[0-9a-f]{8}(-[0-9a-f]{4}){3}-[0-9a-f]{12}$|^/?[a-z0-9_-]+(/[a-z0-9_-]+){2,}/?$|^[a-z]+([-_][a-z0-9]+)+$|^https?"
+_PART = "(?:[a-z]{1,15}|[0-9]{1,4})"
+_WORDS = f"{_PART}(?:[-_]{_PART})*+"
+#: Slugs and paths are allowed only where every part is a lower-case word or a short number: random characters mix the two.
+ALLOWED = rf"(?i:example|sample|placeholder|changeme|your[_-]?|xxxx|0123456789|1234567890|abcdefgh|(.)\1{{5}}|^[0-9a-f]{{8}}(?:-[0-9a-f]{{4}}){{3}}-[0-9a-f]{{12}}$|^https?)|^/?{_WORDS}(?:/{_WORDS}){{2,}}/?$|^{_PART}(?:[-_]{_PART})++$"
 BASE = ("assign", "access", "hex")
 WINDOW = 20
 #: Least entropy of a window, in bits a character, by character class.

@@ -161,6 +161,18 @@ def test_added_spans_and_masks(odd):
     assert "entropy:4:24" in {r.doc_id: r.spans for r in secrets.report(odd).collect()}[14]
 
 
+def test_random_tokens_behind_prefixes_are_secrets(spark):
+    rnd = random.Random(9)
+    low, mixed = "abcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    forms = [("ghp_", 36, mixed), ("sk_live_", 24, mixed), ("xoxb-", 24, mixed), ("glpat-", 20, mixed + "-_"), ("pypi-", 60, mixed + "-_"), ("hf_", 34, mixed), ("xoxb-", 24, low), *[("", n, mixed + "+/") for n in (40, 64, 88)]]
+    bodies = [(before + "".join(rnd.choice(letters) for _ in range(n - 2)) + "7q", before) for before, n, letters in forms for _ in range(100)]
+    clean = ["release-notes-of-2024-05-12", "usr/share/lib/python/3/dist-packages", "/blog/2024/05/12/how-to-write-tests/", "123e4567-e89b-12d3-a456-426614174000"]
+    rows = [(k, f"key {x} end") for k, x in enumerate([x for x, _ in bodies] + clean)]
+    found = {r.doc_id: f"entropy:4:{4 + len(rows[r.doc_id][1]) - 8}" in r.spans for r in secrets.report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [x for k, (x, _) in enumerate(bodies) if not found[k]] == []
+    assert not any(found[len(bodies) + k] for k in range(len(clean)))
+
+
 def test_quality_rules(either):
     def brute(x):
         w = re.findall(r"[^\x20\x09-\x0D]+", x)
