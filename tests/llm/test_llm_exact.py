@@ -173,6 +173,13 @@ def test_random_tokens_behind_prefixes_are_secrets(spark):
     assert not any(found[len(bodies) + k] for k in range(len(clean)))
 
 
+def test_ibans_end_where_their_country_says(spark):
+    ibans = ["BE68 5390 0754 7034", "ES91 2100 0418 4502 0005 1332", "ES9121000418450200051332", "AT61 1904 3002 3457 3201", "GB82 WEST 1234 5698 7654 32", "NO93 8601 1117 947"]
+    rows = [(k, x + after) for k, x in enumerate(ibans) for after in ("", " BIC CAIXESBB", " 2024", " AB")]
+    found = pii.report(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert all(f"iban:0:{len(ibans[r.doc_id])}" in r.spans for r in found)
+
+
 def test_quality_rules(either):
     def brute(x):
         w = re.findall(r"[^\x20\x09-\x0D]+", x)
