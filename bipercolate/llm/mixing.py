@@ -54,14 +54,14 @@ def targets(sources: DataFrame, budget: int | None = None, most: int = MOST_PASS
     )
 
 
-def queues(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
+def queues(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0, key: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, source, size, source_size, target, before (words of the queue before this document, in its first pass), weight.
 
-    ``weights``: source, weight; default 1, 2, 3 repeating.
+    ``weights``: source, weight; default 1, 2, 3 repeating. ``key``: further columns, which order rows of one id and size.
     """
-    rows = docs.select(F.col("doc_id").cast("long"), F.col("source").cast("string"), word_count(F.col("text").cast("string")).alias("size"))
+    rows = docs.select(*key, F.col("doc_id").cast("long"), F.col("source").cast("string"), word_count(F.col("text").cast("string")).alias("size"))
     rows = rows.withColumn("__hash", F.xxhash64("doc_id", F.lit(seed)))
-    queued = running_total(rows, ["source"], [F.col("__hash"), F.col("doc_id"), F.col("size")], "size", F.shiftright("__hash", 64 - (BUCKETS - 1).bit_length()), "before")
+    queued = running_total(rows, ["source"], [F.col("__hash"), F.col("doc_id"), F.col("size"), *map(F.col, key)], "size", F.shiftright("__hash", 64 - (BUCKETS - 1).bit_length()), "before")
     sources = rows.groupBy("source").agg(F.sum("size").alias("source_size"))
     if weights is None:
         weighed = default_weights(sources)
@@ -93,15 +93,17 @@ def first_words(text: Column, n: Column) -> Column:
 
 def mixed(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
     """The mix itself, in the columns of ``docs``: each document as often as it is taken, the last copy cut after its last word taken, in the order of virtual finish times."""
-    shares = queues(docs, weights, budget, seed).select("doc_id", "size", "source_size", "target", "before", taken(F.col("target"), F.col("source_size"), F.col("before"), F.col("size")).alias("taken")).filter("taken > 0")
-    # Rows that repeat a doc_id have their copies side by side in the queue: served together.
-    shares = shares.groupBy(F.col("doc_id").alias("__id"), F.col("size").alias("__size")).agg(F.sum("taken").alias("__all"), F.count("*").alias("__rows"), F.min("before").alias("__before"), F.first("source_size").alias("__total"), F.first("target").alias("__target"))
-    own = docs.withColumn("__n", word_count(F.col("text").cast("string")))
-    rows = own.join(shares, F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & (F.col("__n") == F.col("__size")))
-    each = F.floor(F.col("__all") / F.col("__rows"))
-    copies = F.explode(F.sequence(F.lit(0), (F.ceil(each / F.col("__size")) - 1).cast("int")))
-    rows = rows.filter(each > 0).withColumn("__pass", copies)
-    words = F.least(F.col("__size"), each - F.col("__pass") * F.col("__size"))
-    finish = (F.col("__before") + F.col("__pass") * F.col("__total") + words) / F.col("__target")
-    text = F.when(words < F.col("__size"), first_words(F.col("text"), words)).otherwise(F.col("text"))
-    return rows.withColumn("text", text).withColumn("__finish", finish).repartitionByRange("__finish", "doc_id").sortWithinPartitions("__finish", "doc_id").select(*docs.columns)
+    # Rows of one key have the same id, source and text, so any of them may take any of the key's shares, but each takes one.
+    parts = [x for c in ("doc_id", "source", "text") for x in (F.col(c).isNull(), F.col(c).cast("string"))]
+    own = docs.withColumns({"__a": F.xxhash64(F.lit(1), *parts), "__b": F.xxhash64(F.lit(2), *parts), "__n": word_count(F.col("text").cast("string"))})
+    shares = queues(own, weights, budget, seed, ("__a", "__b")).withColumn("__taken", taken(F.col("target"), F.col("source_size"), F.col("before"), F.col("size"))).filter("size > 0")
+    share = F.struct("before", F.col("__taken").alias("taken"), "source_size", "target")
+    shares = shares.groupBy("__a", "__b").agg(F.array_sort(F.collect_list(share)).alias("__shares")).filter(F.exists("__shares", lambda s: s["taken"] > 0))
+    turn = F.row_number().over(Window.partitionBy("__a", "__b").orderBy(F.xxhash64(*[F.col(c).cast("string") for c in docs.columns])))
+    rows = own.withColumn("__turn", turn).join(shares, ["__a", "__b"]).withColumn("__share", F.element_at("__shares", F.col("__turn"))).drop("__shares")
+    size, each, field = F.col("__n"), F.col("__share.taken"), lambda c: F.col(f"__share.{c}")
+    rows = rows.filter(each > 0).withColumn("__pass", F.explode(F.sequence(F.lit(0), (F.ceil(each / size) - 1).cast("int"))))
+    words = F.least(size, each - F.col("__pass") * size)
+    finish = (field("before") + F.col("__pass") * field("source_size") + words) / field("target")
+    text = F.when(words < size, first_words(F.col("text"), words)).otherwise(F.col("text"))
+    return rows.withColumn("__finish", finish).withColumn("text", text).repartitionByRange("__finish", "doc_id").sortWithinPartitions("__finish", "doc_id").select(*docs.columns)

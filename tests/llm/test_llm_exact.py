@@ -180,6 +180,20 @@ def test_ibans_end_where_their_country_says(spark):
     assert all(f"iban:0:{len(ibans[r.doc_id])}" in r.spans for r in found)
 
 
+def test_mixed_takes_each_row_by_its_own_share(spark):
+    text = lambda k: " ".join(f"w{k}x{j}" for j in range(100))
+    rows = [(None, text(k), "en", "a" if k < 10 else "b", 0) for k in range(30)] + [(7, text(99), "en", "a", 0)] * 3 + [(7, text(98), "en", "b", 0)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    weights = spark.createDataFrame([("a", 540.0), ("b", 730.0)], "source string, weight double")
+    for budget, want in ((1270, {"a": 540, "b": 730}), (5080, {"a": 2160, "b": 2920})):
+        got, cut = Counter(), Counter()
+        for r in mixing.mixed(df, weights, budget).collect():
+            n = len(r.text.split())
+            got[r.source] += n
+            cut[r.source] += n < 100
+        assert got == want and all(n <= 1 for n in cut.values())
+
+
 def test_quality_rules(either):
     def brute(x):
         w = re.findall(r"[^\x20\x09-\x0D]+", x)
