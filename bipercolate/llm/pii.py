@@ -103,16 +103,20 @@ def score(text: Column, span: Column, kind: str) -> Column:
     return F.lit(PRIOR[kind]) + F.when(around.rlike(NEARBY[kind]), RAISE).otherwise(0.0) - F.when(around.rlike(TEST_DATA), LOWER).otherwise(0.0)
 
 
-def detect(docs: DataFrame, text: str = "text") -> DataFrame:
-    """``docs`` with ``pii``, an array of structs start, rank, kind, end, match, score; base kinds in any case."""
-    whole = F.coalesce(F.col(text).cast("string"), F.lit(""))
+def confirmed(text: Column, around: Column) -> Column:
+    """Sorted spans in ``text``, scored by the words of ``around`` (the same positions); base kinds in any case."""
 
     def scored(kind: str, found: Column) -> Column:
-        rows = F.transform(found, lambda s: F.struct(*[s[x].alias(x) for x in ("start", "rank", "kind", "end", "match")], score(whole, s, kind).alias("score")))
+        rows = F.transform(found, lambda s: F.struct(*[s[x].alias(x) for x in ("start", "rank", "kind", "end", "match")], score(around, s, kind).alias("score")))
         return rows if kind in BASE else F.filter(rows, lambda s: s["score"] >= THRESHOLD)
 
-    every = [scored(kind, found) for kind, found in candidates(whole).items()]
-    return docs.withColumn("pii", F.array_sort(F.concat(*every)))
+    return F.array_sort(F.concat(*[scored(kind, found) for kind, found in candidates(text).items()]))
+
+
+def detect(docs: DataFrame, text: str = "text") -> DataFrame:
+    """``docs`` with ``pii``, an array of structs start, rank, kind, end, match, score."""
+    whole = F.coalesce(F.col(text).cast("string"), F.lit(""))
+    return docs.withColumn("pii", confirmed(whole, whole))
 
 
 def report(docs: DataFrame) -> DataFrame:
@@ -122,30 +126,58 @@ def report(docs: DataFrame) -> DataFrame:
     return found.select("doc_id", *[count(F.col("pii"), k).alias(f"n_{k}") for k in BASE], digest(base).alias("base_sha256"), listed(F.col("pii")).alias("spans"), F.size("pii").cast("long").alias("n_spans"))
 
 
-def _said(confirms, mark: Column):
-    """For zip_with: a gap and what is put for the match after it (the last gap has none)."""
-    return lambda gap, match: F.concat(gap, F.coalesce(F.when(match.isNotNull() if confirms is None else confirms(match), mark).otherwise(match), F.lit("")))
+_PLACE = "struct<start:bigint,end:bigint,kind:string>"
+
+
+def _places(found: Column) -> Column:
+    """Sorted spans as start, end, kind; those that overlap are one, of the first one's kind."""
+
+    def add(acc: Column, s: Column) -> Column:
+        last = F.element_at(acc, -1)
+        longer = F.struct(last["start"].alias("start"), F.greatest(last["end"], s["end"]).alias("end"), last["kind"].alias("kind"))
+        own = F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))
+        over = (F.size(acc) > 0) & (F.try_element_at(acc, F.lit(-1))["end"] > s["start"])
+        return F.when(over, F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(longer))).otherwise(F.concat(acc, F.array(own)))
+
+    return F.aggregate(found, F.array().cast(f"array<{_PLACE}>"), add)
+
+
+def _replaced(text: Column, places: Column, mark) -> Column:
+    """``text`` with ``mark(place)`` for each of the places, which are sorted and don't overlap."""
+    part = lambda first, end: F.substring(text, (first + 1).cast("int"), (end - first).cast("int"))
+    zero = F.lit(0).cast("bigint")
+    ends = F.concat(F.array(zero), F.transform(places, lambda p: p["end"]))
+    pieces = F.zip_with(F.slice(ends, 1, F.size(places)), places, lambda before, p: F.concat(part(before, p["start"]), mark(p)))
+    return F.concat(F.array_join(pieces, ""), part(F.element_at(ends, -1), F.length(text)))
+
+
+def masked_places(text: Column) -> Column:
+    """What ``redacted`` masks: the detector's spans, and those it finds once they are covered, until none is left.
+
+    Covered spans keep their length, so that positions and the words nearby stay those of ``text``. A character that no
+    pattern knows stands for them, as the brackets of the marks will. Each round but the first finds spans of four digits or more.
+    """
+    none = F.array().cast(f"array<{_PLACE}>")
+    state = lambda covered, places, open_: F.struct(covered.alias("covered"), places.alias("places"), open_.alias("open"))
+
+    def more(at: Column) -> Column:
+        def cover(new: Column) -> Column:
+            covered = _replaced(at["covered"], new, lambda p: F.repeat(F.lit("]"), (p["end"] - p["start"]).cast("int")))
+            return F.when(F.size(new) > 0, state(covered, F.concat(at["places"], new), F.lit(True))).otherwise(state(at["covered"], at["places"], F.lit(False)))
+
+        return let(_places(confirmed(at["covered"], text)), cover)
+
+    rounds = F.sequence(F.lit(1), (F.regexp_count(text, F.lit("[0-9]")) / 4).cast("int") + 2)
+    found = F.aggregate(rounds, state(text, none, F.lit(True)), lambda at, _: F.when(at["open"], more(at)).otherwise(at), lambda at: at["places"])
+    return F.when(text.rlike("[0-9@]"), F.array_sort(found)).otherwise(none)
 
 
 def redacted(docs: DataFrame, text: str = "text") -> DataFrame:
-    """``docs`` with every span of personal data replaced by its kind in brackets.
+    """``docs`` with every span that ``detect`` confirms, by its score too, replaced by its kind in brackets.
 
-    Kind after kind, in the order email, iban, phone, card, ip, ssn: a text between two matches stays as it is, a confirmed
-    match is replaced, others stay. Null texts stay null.
+    Spans that overlap are masked as one. What becomes a span only between masked ones (a phone number before an
+    address) is masked too. Null texts stay null.
     """
     plain = F.col(text)
-    digit = r"[0-9]"
-    steps = [
-        ("email", EMAIL, "@", None), ("iban", IBAN, digit, _mod_97), ("phone", PHONE, r"\+[0-9]", _phone_digits),
-        ("card", CARD, digit, _luhn), ("ip", IP, digit, _octets), ("ssn", SSN, digit, None),
-    ]
-    out = docs
-    for kind, pattern, needs, confirms in steps:
-        mark = F.lit(f"[{kind.upper()}]")
-        if confirms is None and kind == "email":
-            new = F.regexp_replace(plain, F.lit(pattern), mark)
-        else:
-            matches, gaps = F.regexp_extract_all(plain, F.lit(pattern), F.lit(0)), F.split(plain, pattern, -1)
-            new = F.array_join(F.zip_with(gaps, matches, _said(confirms, mark)), "")
-        out = out.withColumn(text, F.when(plain.rlike(needs), new).otherwise(plain))
-    return out
+    new = let(masked_places(plain), lambda places: F.when(F.size(places) > 0, _replaced(plain, places, lambda p: F.concat(F.lit("["), F.upper(p["kind"]), F.lit("]")))).otherwise(plain))
+    return docs.withColumn(text, F.when(plain.isNotNull(), new))

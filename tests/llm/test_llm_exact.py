@@ -180,6 +180,18 @@ def test_ibans_end_where_their_country_says(spark):
     assert all(f"iban:0:{len(ibans[r.doc_id])}" in r.spans for r in found)
 
 
+def test_masks_are_the_detectors_spans(spark):
+    texts = {
+        "part 219-09-9999 stays": "part 219-09-9999 stays", "ssn 219-09-9999": "ssn [SSN]", "sample GB82 WEST 1234 5698 7654 32": "sample GB82 WEST 1234 5698 7654 32",
+        "call +1 555 123 4567 10.0.0.1 now": "call [PHONE] [IP] now", "+1 555 123 4567 (4111 1111 1111 1111 10.0.0.1": "[PHONE] ([CARD] [IP]",
+        "10.0.0.1 10.0.0.2 a@b.c_d@e.f": "[IP] [IP] [EMAIL][EMAIL]", "é漢 +1 555 123 4567 é": "é漢 [PHONE] é",
+        "bank ES91 2100 0418 4502 0005 1332 BIC CAIXESBB": "bank [IBAN] BIC CAIXESBB",
+    }
+    masked = pii.redacted(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    assert [r.text for r in masked.orderBy("doc_id").collect()] == list(texts.values())
+    assert pii.report(masked).agg({f"n_{k}": "sum" for k in pii.BASE}).first() == (0, 0, 0, 0)
+
+
 def test_mixed_takes_each_row_by_its_own_share(spark):
     text = lambda k: " ".join(f"w{k}x{j}" for j in range(100))
     rows = [(None, text(k), "en", "a" if k < 10 else "b", 0) for k in range(30)] + [(7, text(99), "en", "a", 0)] * 3 + [(7, text(98), "en", "b", 0)]
