@@ -3,16 +3,22 @@
 The base rules reject texts with fewer than 20 words, and those of whose words more than 30 % lie in eight-word windows that occur
 twice or more. The method encodes each word with a public SentencePiece vocabulary and measures characters per token,
 the share of byte-fallback pieces and the entropy of the token distribution in bits. Bands per script (taken from the
-letters of the text; a ``bands`` entry for a language overrides it, if a lang column is there) reject what lies outside.
-The bands are wide on purpose: they catch what no language looks like, such as few tokens over and over or text that
-falls apart into bytes. Entropy is judged from 50 tokens on, as short texts can't have much.
+letters of the text) reject what lies outside.
 
-Null, empty and wordless texts have no words, so the base rules reject them; their measures are 0. Every row is judged by itself:
-repeated rows get the same verdict, a null doc_id or lang changes nothing, other columns pass through ``accepted``.
+The bands are measured on the table itself, over all documents that pass the base rules, per language and script and per
+doubling of the token count (short texts vary more, and have less entropy): the median, and ``WIDTH`` robust standard
+deviations (of the quartiles) to both sides, so that a few per cent of junk don't move them. A size with fewer than
+``LEAST_ROWS`` documents takes the nearest size's band, widened; a language without any takes its script's, and a script
+without any has only the fixed outer limits of ``BANDS``, which always hold. ``bands`` given by the caller (by script, or
+``lang:`` and a language) are used as they are, and nothing is measured. Entropy is judged from 50 tokens on.
+
+Null, empty and wordless texts have no words, so the base rules reject them; their measures are 0. Repeated rows get the
+same verdict, a null doc_id changes nothing, a null lang leaves the script, other columns pass through ``accepted``.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -22,6 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from bipercolate.checkpoints import cut
 from bipercolate.llm.common import text_blocks
 from bipercolate.llm.tokens import pieces, vocabulary
 
@@ -32,6 +39,10 @@ SCHEMA = (
 COLUMNS = [x.split()[0] for x in SCHEMA.split(", ")]
 MIN_WORDS, WINDOW, MOST_REPEATED = 20, 8, 30
 ENTROPY_FROM = 50
+#: Of measured bands: robust standard deviations to both sides of the median, the least of them, documents that a band needs.
+WIDTH, LEAST_DEVIATION, LEAST_ROWS = 6.0, 0.02, 30
+#: Outer limit of entropy by token count: the first number, and so many bits per doubling.
+MOST_ENTROPY = (1.0, 0.8)
 _SYMBOLS = bytes(x for x in range(256) if x not in b"#*$%&|<>")
 _SCRIPTS = {  # fixed values: code points that a script's letters begin at, in Unicode's blocks
     "latin": (0x41, 0x250), "greek": (0x370, 0x400), "cyrillic": (0x400, 0x530), "hebrew": (0x590, 0x600), "arabic": (0x600, 0x780),
@@ -41,20 +52,60 @@ _SCRIPTS = {  # fixed values: code points that a script's letters begin at, in U
 
 @dataclass(frozen=True)
 class Band:
-    """What is accepted: characters per token, byte-fallback share, bits of entropy."""
+    """What is accepted: characters per token, byte-fallback share, least bits of entropy."""
 
     chars: tuple[float, float] = (0.3, 8.0)
     most_bytes: float = 0.6
-    entropy: tuple[float, float] = (3.5, 15.0)
+    least_entropy: float = 3.5
 
 
 BANDS = {
-    "latin": Band((1.2, 8.0), 0.15, (3.9, 15.0)),
+    "latin": Band((1.2, 8.0), 0.15, 3.9),
     "greek": Band((0.6, 8.0), 0.3), "cyrillic": Band((0.8, 8.0), 0.3), "hebrew": Band((0.5, 8.0), 0.5), "arabic": Band((0.5, 8.0), 0.5),
     "kana": Band((0.4, 8.0), 0.6), "han": Band((0.25, 8.0), 0.8), "hangul": Band((0.25, 8.0), 0.8),
 }
 
 
+class Limits:
+    """What is accepted. ``measured``: by (lang or None, script) and floor(log2 of the tokens), median and deviation of both measures."""
+
+    def __init__(self, bands: dict[str, Band] | None, measured: dict[tuple[str | None, str], dict[int, tuple[float, float, float, float]]]):
+        self.bands, self.measured = BANDS if bands is None else bands, measured
+
+    def fits(self, lang: str | None, name: str, n: int, per_token: float, byte_share: float, entropy: float) -> bool:
+        band = self.bands.get(f"lang:{lang}") or self.bands.get(name) or Band()
+        if not band.chars[0] <= per_token <= band.chars[1] or byte_share > band.most_bytes:
+            return False
+        judged = n >= ENTROPY_FROM
+        if judged and not band.least_entropy <= entropy <= MOST_ENTROPY[0] + MOST_ENTROPY[1] * math.log2(n):
+            return False
+        sizes = self.measured.get((lang, name)) or self.measured.get((None, name))
+        if not n or not sizes:
+            return True
+        size = n.bit_length() - 1
+        nearest = min(sizes, key=lambda s: (abs(s - size), s))
+        chars, chars_dev, bits, bits_dev = sizes[nearest]
+        wider = 2 ** (max(nearest - size, 0) / 2)  # deviations grow as texts get shorter
+        if abs(per_token - chars) > WIDTH * chars_dev * wider:
+            return False
+        # A doubling of a text adds one bit at most.
+        lowest = bits - WIDTH * bits_dev * wider - max(nearest - size, 0)
+        return not judged or lowest <= entropy <= bits + WIDTH * bits_dev * wider + max(size - nearest, 0)
+
+
+def measured_limits(rows: DataFrame) -> Limits:
+    """Limits from measures (with lang) of a whole table: quartiles per group, in one row a group on the driver."""
+    size = F.floor(F.log2("n_tokens")).cast("int")
+    keys = F.explode(F.when(F.col("lang").isNull(), F.array(F.lit(None).cast("string"))).otherwise(F.array(F.col("lang"), F.lit(None))))
+    good = rows.filter("not base_failed and n_tokens > 0").select(keys.alias("lang"), "script", size.alias("size"), "chars_per_token", "token_entropy")
+    quartiles = [F.percentile_approx(c, [0.25, 0.5, 0.75], 10_000).alias(c) for c in ("chars_per_token", "token_entropy")]
+    found: dict = {}
+    for r in good.groupBy("lang", "script", "size").agg(F.count("*").alias("n"), *quartiles).filter(F.col("n") >= LEAST_ROWS).collect():
+        pairs = [(q[1], max((q[2] - q[0]) / 1.349, LEAST_DEVIATION)) for q in (r.chars_per_token, r.token_entropy)]
+        found.setdefault((r.lang, r.script), {})[r.size] = (*pairs[0], *pairs[1])
+    return Limits(None, found)
+
+
 def script(text: bytes) -> str:
     """The script of most letters; latin where ASCII letters prevail, other where none is known."""
     points = np.frombuffer(text.decode("utf-8", "replace").encode("utf-32-le"), "<u4")
@@ -97,7 +148,7 @@ def base_counts(text: bytes) -> tuple[int, int, int, int, int, list[bytes]]:
     return len(words), chars, symbols, len(lines) - len(set(lines)), repeated_words(words), words
 
 
-def rules(vocabulary_path: str, bands: dict[str, Band], rows_only: bool):
+def rules(vocabulary_path: str, limits: Limits, rows_only: bool):
     """For mapInArrow. ``rows_only``: return the input's accepted rows, else one row of measures each."""
 
     def measured(batch: pa.RecordBatch, known, is_byte: np.ndarray) -> Iterator[tuple]:
@@ -117,9 +168,7 @@ def rules(vocabulary_path: str, bands: dict[str, Band], rows_only: bool):
                     share = counts[counts > 0] / n
                     per_token, entropy = chars / n, float(-(share * np.log2(share)).sum())
                     name = "latin" if text.isascii() else script(text)
-                band = bands.get(f"lang:{langs[at]}") or bands.get(name) or Band()
-                fits = band.chars[0] <= per_token <= band.chars[1] and byte_share <= band.most_bytes
-                fits = fits and (n < ENTROPY_FROM or band.entropy[0] <= entropy <= band.entropy[1])
+                fits = limits.fits(langs[at], name, n, per_token, byte_share, entropy)
                 yield n_words, chars, symbols, lines, repeats, failed, fits and not failed, n, per_token, byte_share, entropy, name
                 at += 1
 
@@ -135,17 +184,41 @@ def rules(vocabulary_path: str, bands: dict[str, Band], rows_only: bool):
                 yield batch.filter(pa.array(columns[6], pa.bool_()))
             else:
                 kinds = [pa.int64()] * 5 + [pa.bool_()] * 2 + [pa.int64()] + [pa.float64()] * 3 + [pa.string()]
-                yield pa.RecordBatch.from_arrays([pc.cast(batch.column("doc_id"), pa.int64()), *(pa.array(x, k) for x, k in zip(columns, kinds, strict=True))], COLUMNS)
+                lang = pc.cast(batch.column("lang"), pa.string()) if "lang" in batch.schema.names else pa.nulls(batch.num_rows, pa.string())
+                yield pa.RecordBatch.from_arrays([pc.cast(batch.column("doc_id"), pa.int64()), *(pa.array(x, k) for x, k in zip(columns, kinds, strict=True)), lang], [*COLUMNS, "lang"])
+
+    return run
+
+
+def _measures(docs: DataFrame, path: str, limits: Limits) -> DataFrame:
+    wanted = ["doc_id", F.col("text").cast("string").alias("text"), *([F.col("lang").cast("string").alias("lang")] if "lang" in docs.columns else [])]
+    return docs.select(*wanted).mapInArrow(rules(path, limits, False), f"{SCHEMA}, lang string")
+
+
+def _verdicts(limits: Limits):
+    """For mapInArrow: ``kept`` by these limits, from measures."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            inputs = (batch.column(c).to_pylist() for c in ("base_failed", "lang", "script", "n_tokens", "chars_per_token", "byte_share", "token_entropy"))
+            kept = pa.array([not failed and limits.fits(*rest) for failed, *rest in zip(*inputs, strict=True)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([kept if c == "kept" else batch.column(c) for c in COLUMNS], COLUMNS)
 
     return run
 
 
 def measure(docs: DataFrame, vocabulary_path: str | None = None, bands: dict[str, Band] | None = None) -> DataFrame:
-    """Per document: doc_id, the base counts, base_failed, kept, and the tokenizer's measures."""
-    wanted = ["doc_id", F.col("text").cast("string").alias("text"), *(["lang"] if "lang" in docs.columns else [])]
-    return docs.select(*wanted).mapInArrow(rules(vocabulary_path or vocabulary("piece_bpe_32k.model"), bands or BANDS, False), SCHEMA)
+    """Per document: doc_id, the base counts, base_failed, kept, and the tokenizer's measures. Texts are encoded once; the measures are stored for the verdicts."""
+    rows = _measures(docs, vocabulary_path or vocabulary("piece_bpe_32k.model"), Limits(bands, {}))
+    if bands is not None:
+        return rows.drop("lang")
+    rows = cut(rows)
+    return rows.mapInArrow(_verdicts(measured_limits(rows)), SCHEMA)
 
 
 def accepted(docs: DataFrame, vocabulary_path: str | None = None, bands: dict[str, Band] | None = None) -> DataFrame:
-    """The rows of ``docs`` that are kept, with all their columns."""
-    return docs.mapInArrow(rules(vocabulary_path or vocabulary("piece_bpe_32k.model"), bands or BANDS, True), docs.schema)
+    """The rows of ``docs`` that are kept, with all their columns. Texts are encoded twice if bands are measured."""
+    path, limits = vocabulary_path or vocabulary("piece_bpe_32k.model"), Limits(bands, {})
+    if bands is None:
+        limits = measured_limits(_measures(docs, path, limits))
+    return docs.mapInArrow(rules(path, limits, True), docs.schema)

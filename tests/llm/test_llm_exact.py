@@ -14,6 +14,7 @@ from bipercolate.llm.common import documents
 
 SF = "/root/testdata/sf0.001"
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
+SCHEMA_NAMES = [x.split()[0] for x in SCHEMA.split(", ")]
 ODD = [None, "", " ", "\n\n", "a", "é" * 300, "x" * 70_000, "a  b \n c", "word " * 3000, "4111 1111 1111 1111", "1.2.3.4.5.6.7.8", "a@b.c_d@e.f", "+1 (555) 123-4567 ", "token = secret : abcdefghijklmnop", "key q9Zk2LmX81vbTr0PwYs3 end", "GB82 WEST 1234 5698 7654 32 bank", "tail\x1c　\x85 mixed 漢字"]
 
 
@@ -161,18 +162,6 @@ def test_added_spans_and_masks(odd):
     assert "entropy:4:24" in {r.doc_id: r.spans for r in secrets.report(odd).collect()}[14]
 
 
-def test_random_tokens_behind_prefixes_are_secrets(spark):
-    rnd = random.Random(9)
-    low, mixed = "abcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
-    forms = [("ghp_", 36, mixed), ("sk_live_", 24, mixed), ("xoxb-", 24, mixed), ("glpat-", 20, mixed + "-_"), ("pypi-", 60, mixed + "-_"), ("hf_", 34, mixed), ("xoxb-", 24, low), *[("", n, mixed + "+/") for n in (40, 64, 88)]]
-    bodies = [(before + "".join(rnd.choice(letters) for _ in range(n - 2)) + "7q", before) for before, n, letters in forms for _ in range(100)]
-    clean = ["release-notes-of-2024-05-12", "usr/share/lib/python/3/dist-packages", "/blog/2024/05/12/how-to-write-tests/", "123e4567-e89b-12d3-a456-426614174000"]
-    rows = [(k, f"key {x} end") for k, x in enumerate([x for x, _ in bodies] + clean)]
-    found = {r.doc_id: f"entropy:4:{4 + len(rows[r.doc_id][1]) - 8}" in r.spans for r in secrets.report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert [x for k, (x, _) in enumerate(bodies) if not found[k]] == []
-    assert not any(found[len(bodies) + k] for k in range(len(clean)))
-
-
 def test_ibans_end_where_their_country_says(spark):
     ibans = ["BE68 5390 0754 7034", "ES91 2100 0418 4502 0005 1332", "ES9121000418450200051332", "AT61 1904 3002 3457 3201", "GB82 WEST 1234 5698 7654 32", "NO93 8601 1117 947"]
     rows = [(k, x + after) for k, x in enumerate(ibans) for after in ("", " BIC CAIXESBB", " 2024", " AB")]
@@ -206,6 +195,18 @@ def test_mixed_takes_each_row_by_its_own_share(spark):
         assert got == want and all(n <= 1 for n in cut.values())
 
 
+def test_random_tokens_behind_prefixes_are_secrets(spark):
+    rnd = random.Random(9)
+    low, mixed = "abcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    forms = [("ghp_", 36, mixed), ("sk_live_", 24, mixed), ("xoxb-", 24, mixed), ("glpat-", 20, mixed + "-_"), ("pypi-", 60, mixed + "-_"), ("hf_", 34, mixed), ("xoxb-", 24, low), *[("", n, mixed + "+/") for n in (40, 64, 88)]]
+    bodies = [(before + "".join(rnd.choice(letters) for _ in range(n - 2)) + "7q", before) for before, n, letters in forms for _ in range(100)]
+    clean = ["release-notes-of-2024-05-12", "usr/share/lib/python/3/dist-packages", "/blog/2024/05/12/how-to-write-tests/", "123e4567-e89b-12d3-a456-426614174000"]
+    rows = [(k, f"key {x} end") for k, x in enumerate([x for x, _ in bodies] + clean)]
+    found = {r.doc_id: f"entropy:4:{4 + len(rows[r.doc_id][1]) - 8}" in r.spans for r in secrets.report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [x for k, (x, _) in enumerate(bodies) if not found[k]] == []
+    assert not any(found[len(bodies) + k] for k in range(len(clean)))
+
+
 def test_quality_rules(either):
     def brute(x):
         w = re.findall(r"[^\x20\x09-\x0D]+", x)
@@ -223,6 +224,21 @@ def test_quality_rules(either):
     assert kept.columns == either.columns and kept.count() == sum(r.kept for r in got)
 
 
+def test_bands_reject_what_no_language_looks_like(spark):
+    rnd = random.Random(4)
+    docs = documents(spark, "/root/testdata/sf0.01")
+    words = lambda n, letters: " ".join("".join(rnd.choice(letters) for _ in range(rnd.randint(2, 9))) for _ in range(n))
+    blob = lambda n: " ".join("".join(rnd.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/") for _ in range(60)) for _ in range(n))
+    garbled = [words(150, "абвгдежзийклмнопрстуфхцчшщыьэюя").encode().decode("cp1252", "replace") for _ in range(5)]
+    junk = [words(200, "abcdefghijklmnopqrstuvwxyz") for _ in range(10)] + [blob(40) for _ in range(10)] + garbled
+    rows = [(10**9 + k, x, "en" if k < 20 else "de", "s1", len(x)) for k, x in enumerate(junk)]
+    got = {r.doc_id: r for r in quality_rules.measure(docs.select(*SCHEMA_NAMES).unionByName(spark.createDataFrame(rows, SCHEMA))).collect()}
+    assert [k for k, r in enumerate(rows) if got[r[0]].kept or got[r[0]].base_failed] == []
+    labels = {r.doc_id: r.quality for r in spark.read.parquet("/root/testdata/sf0.01/labels.parquet").collect()}
+    passed = {q: [got[i].kept for i, x in labels.items() if x == q and i in got and not got[i].base_failed] for q in (0, 1)}
+    assert all(passed[1]) and sum(passed[0]) < 0.7 * len(passed[0])
+
+
 def test_quality_model(spark, docs):
     labels = spark.read.parquet(f"{SF}/labels.parquet")
     scores = quality_model.scored(docs, quality_model.train(docs, labels)).collect()
