@@ -1,8 +1,8 @@
 """Media columns: payloads cut by content, stored once per chunk, put together again from ordered chunk lists.
 
 A text's payload is its UTF-8 bytes, padded with bytes 255 to a positive multiple of 576. Its media form is a mono WAV file
-of 8-bit samples, one per byte. A rolling gear hash cuts media into chunks where its low bits are zero, so equal passages
-make equal chunks wherever they stand.
+of 8-bit samples, one per byte. A rolling gear hash cuts the samples into chunks where its low bits are zero, so equal passages
+make equal chunks wherever they stand. The file's header follows from the number of samples, so it is rebuilt, not stored.
 
 * Chunk digests are deduplicated by a grouping: the first place (doc, position) that holds a chunk owns it.
 * The store has a row per document: its ordered chunk list (owner of each chunk) and, in one compressed block, only the
@@ -21,10 +21,11 @@ import hashlib
 import struct
 import zlib
 from collections.abc import Iterator
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bipercolate.checkpoints import cut, shared_path
@@ -34,7 +35,9 @@ UNIT, PAD, RATE = 576, b"\xff", 8000
 #: Chunk sizes: never below the least, cut where MASK_BITS low bits of the gear hash are zero, never above the most.
 LEAST_CHUNK, MASK_BITS, MOST_CHUNK = 512, 11, 16384
 HEADER = 44
-STORE = "doc_id long, key string, n_bytes long, media_sha256 string, chunks array<struct<n:int,owner:string,at:int>>, own binary"
+#: Bytes of a row key.
+KEY = 16
+STORE = "doc_id long, key binary, n_bytes long, media_sha256 string, chunks array<struct<n:int,owner:binary,at:int>>, own binary"
 FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_chunks long"
 
 
@@ -61,18 +64,18 @@ def samples(file: bytes) -> bytes:
 
 
 def cuts(data: bytes, gear: np.ndarray) -> list[int]:
-    """Ends of the chunks. The header is a chunk of its own, as its length field differs where the samples don't.
+    """Ends of the chunks of some samples.
 
     The gear hash of a place, the sum of gear[byte k places back] << k, is built by doubling; its low MASK_BITS bits
     depend on the last MASK_BITS bytes.
     """
-    hashes, width = gear[np.frombuffer(data, np.uint8)[HEADER:]], 1
+    hashes, width = gear[np.frombuffer(data, np.uint8)], 1
     while width < MASK_BITS:
         longer = hashes.copy()
         longer[width:] += hashes[:-width] << np.uint32(width)
         hashes, width = longer, 2 * width
-    places = (np.flatnonzero(hashes & np.uint32((1 << MASK_BITS) - 1) == 0) + HEADER + 1).tolist()
-    ends, start = [HEADER], HEADER
+    places = (np.flatnonzero(hashes & np.uint32((1 << MASK_BITS) - 1) == 0) + 1).tolist()
+    ends, start = [], 0
     for at in [*places, len(data)]:
         while at - start > MOST_CHUNK:
             start += MOST_CHUNK
@@ -83,33 +86,45 @@ def cuts(data: bytes, gear: np.ndarray) -> list[int]:
     return ends
 
 
-def _files(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, int, int, bytes, bytes, list[int], str]]:
-    """``(batch, row, text size, payload, media file, chunk ends, row key)`` of every document."""
+def _files(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, int, int, bytes, list[int], bytes]]:
+    """``(batch, row, text size, samples, chunk ends, row key)`` of every document."""
     gear = gears()
     for batch in batches:
         ids = batch.column("doc_id").to_pylist()
         for first, texts in text_blocks(batch):
             for k, text in enumerate(texts):
-                filled = payload(text)
-                file = media(filled)
-                yield batch, first + k, len(text), filled, file, cuts(file, gear), f"{ids[first + k]}:{hashlib.sha256(text).hexdigest()[:24]}"
+                filled, of = payload(text), ids[first + k]
+                key = hashlib.sha256(b"%s:%s" % (b"" if of is None else str(of).encode(), text)).digest()[:KEY]
+                yield batch, first + k, len(text), filled, cuts(filled, gear), key
+
+
+def _row_key() -> Column:
+    """The same key as ``_files`` makes, of columns doc_id and text."""
+    of, text = F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.coalesce("text", F.lit(""))
+    return F.unhex(F.substring(F.sha2(F.concat(of, F.lit(":"), text).cast("binary"), 256), 1, 2 * KEY))
 
 
 def _digest(chunk: bytes | memoryview) -> bytes:
     return hashlib.blake2b(chunk, digest_size=16).digest()
 
 
+def _table(rows: list[tuple], schema: pa.Schema) -> pa.RecordBatch:
+    columns = zip(*rows, strict=True)
+    return pa.RecordBatch.from_arrays([pa.array(c, k.type) for c, k in zip(columns, schema, strict=True)], schema=schema)
+
+
 def _listing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Digest, key and position of every chunk."""
+    kinds = pa.schema([("digest", pa.binary()), ("key", pa.binary()), ("at", pa.int32())])
     rows: list[tuple] = []
-    for *_, file, ends, key in _files(batches):
-        view = memoryview(file)
-        rows += [(_digest(view[a:b]), key, at) for at, (a, b) in enumerate(zip([0, *ends[:-1]], ends, strict=True))]
+    for _, _, _, data, ends, key in _files(batches):
+        view = memoryview(data)
+        rows += [(_digest(view[a:b]), key, at) for at, (a, b) in enumerate(pairwise([0, *ends]))]
         if len(rows) > 20_000:
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.binary(), pa.string(), pa.int32()), strict=True)], ["digest", "key", "at"])
+            yield _table(rows, kinds)
             rows = []
     if rows:
-        yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.binary(), pa.string(), pa.int32()), strict=True)], ["digest", "key", "at"])
+        yield _table(rows, kinds)
 
 
 def _storing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -117,41 +132,55 @@ def _storing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     import zstandard
 
     press = zstandard.ZstdCompressor(level=3)
+    link = pa.struct([("n", pa.int32()), ("owner", pa.binary()), ("at", pa.int32())])
+    kinds = pa.schema([
+        ("doc_id", pa.int64()), ("key", pa.binary()), ("n_bytes", pa.int64()), ("media_sha256", pa.string()), ("chunks", pa.list_(link)), ("own", pa.binary()),
+    ])
     rows: list[tuple] = []
-    kinds = pa.schema([("doc_id", pa.int64()), ("key", pa.string()), ("n_bytes", pa.int64()), ("media_sha256", pa.string()), ("chunks", pa.list_(pa.struct([("n", pa.int32()), ("owner", pa.string()), ("at", pa.int32())]))), ("own", pa.binary())])
-    room = 8 << 20
-    held: tuple[pa.RecordBatch | None, list, list] = (None, [], [])
-    for batch, row, n, _, file, ends, key in _files(batches):
-        if held[0] is not batch:
-            held = (batch, batch.column("doc_id").to_pylist(), batch.column("foreign").to_pylist())
-        elsewhere = {x["at"]: (x["owner"], x["owner_at"]) for x in held[2][row] or ()}
-        starts = [0, *ends[:-1]]
-        chunks = [{"n": b - a, "owner": None, "at": at} if at not in elsewhere else {"n": b - a, "owner": elsewhere[at][0], "at": elsewhere[at][1]} for at, (a, b) in enumerate(zip(starts, ends, strict=True))]
-        own = press.compress(b"".join(file[a:b] for at, (a, b) in enumerate(zip(starts, ends, strict=True)) if at not in elsewhere))
-        rows.append((held[1][row], key, n, hashlib.sha256(file).hexdigest(), chunks, own))
-        room -= len(own)
+    room = 4 << 20
+    for batch, row, n, data, ends, key in _files(batches):
+        elsewhere = {x["at"]: (x["owner"], x["owner_at"]) for x in batch.column("foreign")[row].as_py() or ()}
+        chunks, own = [], []
+        for at, (a, b) in enumerate(pairwise([0, *ends])):
+            owner, owner_at = elsewhere.get(at, (None, at))
+            chunks.append({"n": b - a, "owner": owner, "at": owner_at})
+            if owner is None:
+                own.append(data[a:b])
+        packed = press.compress(b"".join(own))
+        rows.append((batch.column("doc_id")[row].as_py(), key, n, hashlib.sha256(media(data)).hexdigest(), chunks, packed))
+        room -= len(packed) + 100 * len(chunks)
         if room < 0 or len(rows) >= 2000:
-            yield pa.RecordBatch.from_pylist([dict(zip(kinds.names, x, strict=True)) for x in rows], kinds)
-            rows, room = [], 8 << 20
+            yield _table(rows, kinds)
+            rows, room = [], 4 << 20
     if rows:
-        yield pa.RecordBatch.from_pylist([dict(zip(kinds.names, x, strict=True)) for x in rows], kinds)
+        yield _table(rows, kinds)
 
 
 def write(docs: DataFrame, path: str, broadcast: int = BROADCAST_IDS) -> None:
     """Store the media of ``docs`` (doc_id, text) in ``path``, each distinct chunk once."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    listed = rows.mapInArrow(_listing, "digest binary, key string, at int")
+    listed = cut(rows.mapInArrow(_listing, "digest binary, key binary, at int"))  # some 40 bytes for 2 KB of media
     # Copies of one row have one key: they own the same chunks, and each stores them.
     owners = listed.groupBy("digest").agg(F.min(F.struct("key", "at")).alias("own"), F.count("*").alias("n")).filter("n > 1").select("digest", "own")
     foreign = listed.join(owners, "digest").filter("key <> own.key or at <> own.at").distinct()
-    foreign = foreign.groupBy("key").agg(F.collect_list(F.struct("at", F.col("own.key").alias("owner"), F.col("own.at").alias("owner_at"))).alias("foreign"))
-    foreign = cut(foreign)  # one row per document that lacks chunks, as long as its chunk list
-    few = foreign.select(F.size("foreign").alias("n")).limit(broadcast + 1).agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    keyed = rows.withColumn("key", F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("None")), F.substring(F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256), 1, 24)))
-    keyed = keyed.join(F.broadcast(foreign) if few[0] <= broadcast and few[1] <= broadcast else foreign, "key", "left")
+    link = F.struct("at", F.col("own.key").alias("owner"), F.col("own.at").alias("owner_at"))
+    foreign = cut(foreign.groupBy("key").agg(F.collect_list(link).alias("foreign")))  # a row per document that lacks chunks, as long as its chunk list
+    keyed = rows.withColumn("key", _row_key()).join(_small(foreign, "foreign", broadcast), "key", "left")
     keyed.select("doc_id", "text", "foreign").mapInArrow(_storing, STORE).write.option("compression", "none").parquet(path)
 
 
+def _small(keyed: DataFrame, listed: str, most: int) -> DataFrame:
+    """A materialised table, marked for broadcast if it has at most ``most`` rows and elements of ``listed`` in all."""
+    n = keyed.select(F.size(listed).alias("n")).limit(most + 1).agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+    return F.broadcast(keyed) if max(n) <= most else keyed
+
+
+def _rows(batch: pa.RecordBatch) -> Iterator[dict]:
+    """The rows of a batch, one at a time."""
+    for k in range(batch.num_rows):
+        yield batch.slice(k, 1).to_pylist()[0]
+
+
 def _chunks_of(own: bytes, chunks: list[dict]) -> Iterator[tuple[int, bytes]]:
     """Position and bytes of the chunks that a row owns."""
     import zstandard
@@ -168,13 +197,17 @@ def _lending(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     import zstandard
 
     press = zstandard.ZstdCompressor(level=3)
+    kinds = pa.schema([("owner", pa.binary()), ("owner_at", pa.int32()), ("chunk", pa.binary())])
     for batch in batches:
-        rows = []
-        for row in batch.to_pylist():
+        rows: list[tuple] = []
+        for row in _rows(batch):
             wanted = set(row["wanted"])
             rows += [(row["key"], at, press.compress(x)) for at, x in _chunks_of(row["own"], row["chunks"]) if at in wanted]
-        for k in range(0, len(rows), 2000):
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows[k : k + 2000], strict=True), (pa.string(), pa.int32(), pa.binary()), strict=True)], ["owner", "owner_at", "chunk"])
+            if len(rows) >= 2000:
+                yield _table(rows, kinds)
+                rows = []
+        if rows:
+            yield _table(rows, kinds)
 
 
 def feature(data: bytes) -> str:
@@ -191,21 +224,22 @@ def _rebuilt(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     import zstandard
 
     unpress = zstandard.ZstdDecompressor()
-    names = [x.split()[0] for x in FEATURES.split(", ")]
+    kinds = pa.schema([(x.split()[0], pa.string() if x.endswith("string") else pa.int64()) for x in FEATURES.split(", ")])
     for batch in batches:
         rows = []
-        for row in batch.to_pylist():
+        for row in _rows(batch):
             parts = dict(_chunks_of(row["own"], row["chunks"]))
             parts |= {x["at"]: unpress.decompress(x["chunk"]) for x in row["borrowed"] or ()}
-            file = b"".join(parts[at] for at in range(len(row["chunks"])))
+            file = media(b"".join(parts[at] for at in range(len(row["chunks"]))))
             sha = hashlib.sha256(file).hexdigest()
             if sha != row["media_sha256"]:
                 raise ValueError(f"document {row['doc_id']}: the stored media doesn't match its digest")
             data = samples(file)
-            rows.append((row["doc_id"], row["n_bytes"], len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-32:]), len(file), sha, feature(data), len(row["chunks"])))
+            rows.append((
+                row["doc_id"], row["n_bytes"], len(data), hashlib.sha256(data).hexdigest(), zlib.crc32(data[-32:]), len(file), sha, feature(data), len(row["chunks"]),
+            ))
         if rows:
-            kinds = [pa.int64()] * 3 + [pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+            yield _table(rows, kinds)
 
 
 def read(spark: SparkSession, path: str, broadcast: int = BROADCAST_IDS) -> DataFrame:
@@ -214,14 +248,14 @@ def read(spark: SparkSession, path: str, broadcast: int = BROADCAST_IDS) -> Data
     lacking = F.exists("chunks", lambda c: c["owner"].isNotNull())
     no_loans = F.lit(None).cast("array<struct<at:int,chunk:binary>>").alias("borrowed")
     whole = store.filter(~lacking).select("doc_id", "n_bytes", "media_sha256", "chunks", "own", no_loans)
-    refs = store.select("key", "chunks").filter(lacking).distinct().select("key", F.posexplode("chunks").alias("at", "c")).filter("c.owner is not null").select("key", "at", F.col("c.owner").alias("owner"), F.col("c.at").alias("owner_at"))
-    refs = cut(refs)
-    wanted = cut(refs.groupBy("owner").agg(F.collect_set("owner_at").alias("wanted")))
-    few = wanted.limit(broadcast + 1).count() <= broadcast
-    asked = wanted.withColumnRenamed("owner", "key")
-    lenders = store.select("key", "chunks", "own").join(F.broadcast(asked) if few else asked, "key")
-    loans = lenders.mapInArrow(_lending, "owner string, owner_at int, chunk binary").groupBy("owner", "owner_at").agg(F.first("chunk").alias("chunk"))
-    borrowed = refs.join(loans, ["owner", "owner_at"]).groupBy("key").agg(F.collect_list(F.struct("at", "chunk")).alias("borrowed"))  # a document's own chunks: as long as the document
+    links = store.select("key", "chunks").filter(lacking).distinct().select("key", F.posexplode("chunks").alias("at", "c"))
+    refs = cut(links.filter("c.owner is not null").select("key", "at", F.col("c.owner").alias("owner"), F.col("c.at").alias("owner_at")))
+    wanted = cut(refs.groupBy(F.col("owner").alias("key")).agg(F.collect_set("owner_at").alias("wanted")))
+    lenders = store.select("key", "chunks", "own").join(_small(wanted, "wanted", broadcast), "key")
+    loans = lenders.mapInArrow(_lending, "owner binary, owner_at int, chunk binary")
+    loans = loans.groupBy("owner", "owner_at").agg(F.first("chunk").alias("chunk"))
+    # A document's own chunks: as long as the document.
+    borrowed = refs.join(loans, ["owner", "owner_at"]).groupBy("key").agg(F.collect_list(F.struct("at", "chunk")).alias("borrowed"))
     patched = store.filter(lacking).join(borrowed, "key").select("doc_id", "n_bytes", "media_sha256", "chunks", "own", "borrowed")
     return whole.union(patched).mapInArrow(_rebuilt, FEATURES)
 
