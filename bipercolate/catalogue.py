@@ -11,7 +11,7 @@ from functools import partial as bound
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from bipercolate import cohesive, communities, graph, listing, maxbiclique, measures, overlap
+from bipercolate import cohesive, communities, graph, listing, maxbiclique, measures, overlap, partial, tree
 from bipercolate.checkpoints import cut
 from bipercolate.communities import METHODS, detect
 from bipercolate.components import FEW_LINKS, connected
@@ -60,6 +60,35 @@ links AS MATERIALIZED (
 )"""
 
 
+def qualified_sql(a: int, b: int) -> str:
+    """Qualified bicliques of large graphs, for a >= 2: right sets start from pairs of lists that share b vertices, and lists are met through a shared vertex."""
+    return f"""
+lists AS MATERIALIZED (SELECT u, list_sort(list(v)) AS ys FROM e GROUP BY u),
+pairs AS MATERIALIZED (SELECT p.u AS a, r.u AS b FROM e p JOIN e r ON p.v = r.v AND p.u < r.u GROUP BY 1, 2 HAVING count(*) >= {b}),
+closed(y) AS (
+    SELECT DISTINCT list_sort(list_intersect(p.ys, r.ys)) FROM pairs JOIN lists p ON p.u = pairs.a JOIN lists r ON r.u = pairs.b
+    UNION
+    SELECT list_sort(list_intersect(c.y, l.ys)) FROM (SELECT y, unnest(y) AS v FROM closed) c JOIN e ON e.v = c.v JOIN lists l ON l.u = e.u
+    WHERE len(list_intersect(c.y, l.ys)) >= {b}
+),
+b AS MATERIALIZED (
+    SELECT c.y, list_sort(list(l.u)) AS x, array_to_string(list_sort(list(l.u)), ',') || '|' || array_to_string(c.y, ',') AS biclique
+    FROM closed c JOIN e ON e.v = c.y[1] JOIN lists l ON l.u = e.u AND list_has_all(l.ys, c.y) GROUP BY c.y
+),
+q AS MATERIALIZED (SELECT * FROM b WHERE len(x) >= {a})"""
+
+
+def shared_sql(a: int, b: int) -> str:
+    """Links between qualified bicliques, counted over the vertices that they share."""
+    return f"""
+by_x AS (SELECT p.biclique AS a, r.biclique AS b FROM (SELECT biclique, unnest(x) AS w FROM q) p JOIN (SELECT biclique, unnest(x) AS w FROM q) r ON p.w = r.w AND p.biclique < r.biclique GROUP BY 1, 2 HAVING count(*) >= {a}),
+links AS MATERIALIZED (SELECT a, b FROM by_x JOIN q p ON p.biclique = a JOIN q r ON r.biclique = b WHERE len(list_intersect(p.y, r.y)) >= {b})"""
+
+
+def large_communities_sql(g: str, a: int, b: int) -> str:
+    return f"WITH RECURSIVE {edges_sql(g)}, {qualified_sql(a, b)}, {shared_sql(a, b)}, {COMPONENTS_SQL}\nSELECT least AS community_id, item AS biclique FROM label"
+
+
 #: Components of links over the items of q, by passing least labels on.
 COMPONENTS_SQL = """
 either AS MATERIALIZED (SELECT a, b FROM links UNION ALL SELECT b, a FROM links),
@@ -132,11 +161,22 @@ def bicliques_sql(g: str, where: str = "true") -> str:
 
 for g in ("doc_line", "user_day", "cust_quarter", "bench_word", "vec_dim", "page_link", "nation_brand", "cust_priority", "part_supp_returned", "doc_label", "cust_region"):
     add(f"maximal_bicliques_{g}", bound(maximal_bicliques, g, "local", "min_nonneighbours", "two_hop_degree"), bicliques_sql(g))
-for engine, pivot, order in (("frontier", "min_nonneighbours", "two_hop_degree"), ("closure", "min_nonneighbours", "two_hop_degree"), ("local", "none", "two_hop_degree"), ("local", "min_nonneighbours", "id"), ("local", "none", "id")):
+for engine, pivot, order in (("frontier", "min_nonneighbours", "two_hop_degree"), ("closure", "min_nonneighbours", "two_hop_degree"), ("local", "min_nonneighbours", "id"), ("auto", "min_nonneighbours", "two_hop_degree")):
     add(f"maximal_bicliques_nation_brand_{engine}_{pivot}_{order}", bound(maximal_bicliques, "nation_brand", engine, pivot, order), bicliques_sql("nation_brand"))
+# The plain tree visits every subset of a star: 2^n nodes, so that only small graphs end.
+for order in ("two_hop_degree", "id"):
+    add(f"maximal_bicliques_nation_segment_local_none_{order}", bound(maximal_bicliques, "nation_segment", "local", "none", order), bicliques_sql("nation_segment"))
 for g, a, b in (("cust_brand", 3, 3), ("order_part", 2, 2), ("user_hour", 4, 4), ("conv_word", 3, 3)):
-    where = f"len(x) >= {a} AND len(y) >= {b}"
-    add(f"maximal_bicliques_qualified_{g}_{a}_{b}", bound(qualified, g, a, b), bicliques_sql(g, where) if g == "cust_brand" else None)
+    add(f"maximal_bicliques_qualified_{g}_{a}_{b}", bound(qualified, g, a, b), f"WITH RECURSIVE {edges_sql(g)}, {qualified_sql(a, b)}\nSELECT biclique, len(x) AS n_x, len(y) AS n_y FROM q")
+
+
+def auto_engine(spark: SparkSession, d: str) -> DataFrame:
+    """Roots of more than 150 pairs grown level by level, the others solved locally."""
+    e = encoded("nation_brand", spark, d)
+    return strings(e, maxbiclique.enumerate_bicliques(e.edges, engine="auto", heavy=150).bicliques)
+
+
+add("maximal_bicliques_nation_brand_auto_mixed", auto_engine, bicliques_sql("nation_brand"))
 
 
 def all_of(g: str, spark: SparkSession, d: str) -> tuple[Encoded, DataFrame]:
@@ -194,7 +234,7 @@ for g, a, b in (("user_day", 3, 3), ("doc_line", 2, 2), ("nation_brand", 4, 4)):
 for g, a, b in (("cust_brand", 3, 3), ("cust_quarter", 2, 2), ("bench_word", 2, 2), ("vec_dim", 2, 2), ("page_link", 2, 2), ("nation_brand", 8, 8), ("nation_brand", 6, 6), ("cust_priority", 4, 4), ("part_supp_returned", 1, 2), ("doc_label", 3, 3), ("cust_region", 3, 3)):
     add(f"communities_listing_seeded_{g}_{a}_{b}", bound(keyed, "listing_seeded", g, a, b, {}), communities_sql(g, a, b))
 for g, a, b in (("order_part", 2, 1), ("conv_word", 3, 3), ("user_hour", 4, 4)):
-    add(f"communities_seed_merge_{g}_{a}_{b}", bound(keyed, "seed_merge", g, a, b, {}))
+    add(f"communities_seed_merge_{g}_{a}_{b}", bound(keyed, "seed_merge", g, a, b, {}), large_communities_sql(g, a, b))
 for name, options in (("batches", {"batches": 3}), ("unrestricted", {"restrict_shared": False}), ("basic_seeds", {"seed": "prefix"}), ("left_checks_only", {"prune_right_prefix": False}), ("frontier", {"engine": "frontier"})):
     add(f"communities_listing_seeded_{name}", bound(keyed, "listing_seeded", "nation_brand", 4, 4, options), communities_sql("nation_brand", 4, 4))
 
@@ -259,16 +299,21 @@ for g, a, b in (("user_day", 3, 3), ("nation_brand", 4, 4), ("bench_word", 3, 3)
 
 
 def group_counts(spark: SparkSession, d: str) -> DataFrame:
-    """Counts of the whole chain for several thresholds; the groups depend on the order of the tree, so no SQL."""
+    """Counts for several thresholds; the groups between them depend on the order of the tree, so only their order is compared."""
     e = encoded("user_day", spark, d)
     rows = []
-    for a, b in ((2, 2), (2, 3), (3, 3)):
-        found = measures.counts(e, a, b)
-        rows.append((a, b, *found.values(), measures.reduction(found)))
-    return spark.createDataFrame(rows, "alpha int, beta int, qualified long, basic_groups long, seed_groups long, communities long, reduction double")
+    for a, b, found in measures.chains(e, ((2, 2), (2, 3), (3, 3))):
+        rows.append((a, b, found["qualified"], found["communities"], measures.chain_ok(found), 0 <= measures.reduction(found) < 1))
+    return spark.createDataFrame(rows, "alpha long, beta long, qualified long, communities long, chain_ok boolean, reduction_ok boolean")
+
+
+def group_counts_sql(g: str, sizes: tuple[tuple[int, int], ...]) -> str:
+    one = "SELECT {a} AS alpha, {b} AS beta, count(*) AS qualified, count(DISTINCT least) AS communities, true AS chain_ok, true AS reduction_ok FROM label"
+    parts = [f"SELECT * FROM (WITH RECURSIVE {edges_sql(g)}, {BICLIQUES_SQL}, {overlap_sql(a, b)}, {COMPONENTS_SQL} {one.format(a=a, b=b)})" for a, b in sizes]
+    return " UNION ALL ".join(parts)
 
 
-add("measure_group_counts", group_counts)
+add("measure_group_counts", group_counts, group_counts_sql("user_day", ((2, 2), (2, 3), (3, 3))))
 
 
 def refinement(method: str, spark: SparkSession, d: str) -> DataFrame:
@@ -281,14 +326,60 @@ for method in ("prefix_merge", "seed_merge"):
 
 
 def listing_nodes(spark: SparkSession, d: str) -> DataFrame:
-    """Nodes of the three listing methods: pruning never adds any, seeds never do either."""
+    """Nodes of the three listing methods: the unpruned one visits every small biclique, pruning never adds nodes, seeds never do either."""
     e = encoded("user_day", spark, d)
     found = maxbiclique.enumerate_bicliques(e.edges, 3, 3, qualified_only=True)
     n = {m: measures.nodes(e, 3, 3, m, found) for m in ("listing", "listing_pruned", "listing_seeded")}
-    return spark.createDataFrame([(m, *(int(x.get(k, 0)) for k in ("prefix", "right", "leaf"))) for m, x in n.items()], "method string, prefixes long, right_prefixes long, leaves long")
+    total = {m: sum(int(x.get(k, 0)) for k in ("prefix", "right", "leaf")) for m, x in n.items()}
+    row = (int(n["listing"]["leaf"]), total["listing_pruned"] <= total["listing"], total["listing_seeded"] <= total["listing_pruned"])
+    return spark.createDataFrame([row], "small_bicliques long, pruned_ok boolean, seeded_ok boolean")
 
 
-add("measure_listing_nodes", listing_nodes)
+add("measure_listing_nodes", listing_nodes, f"""WITH {edges_sql('user_day')}, t AS (SELECT p.u, q.u AS w, r.u AS z, count(*) AS n FROM e p JOIN e q ON p.v = q.v AND p.u < q.u JOIN e r ON r.v = p.v AND q.u < r.u GROUP BY 1, 2, 3)
+SELECT coalesce(sum(n * (n - 1) * (n - 2) / 6), 0)::BIGINT AS small_bicliques, true AS pruned_ok, true AS seeded_ok FROM t""")
+
+
+def tree_bicliques(spark: SparkSession, d: str) -> DataFrame:
+    """Maximal bicliques read from the table of the enumeration tree."""
+    e = encoded("page_link", spark, d)
+    leaves = tree.build(e.edges).filter("biclique").select(F.col("node_id").alias("biclique_id"), F.col("r_u").alias("x"), F.col("r_v").alias("y"))
+    return strings(e, cut(leaves))
+
+
+def tree_violations(spark: SparkSession, d: str) -> DataFrame:
+    """What must not be: scopes other than common neighbours, live marks that differ from the paths to bicliques, seeds above seeds."""
+    e = encoded("nation_brand", spark, d)
+    nodes = cut(tree.scope(tree.build(e.edges, 4, 4)))
+    held = nodes.filter(F.size("r_v") > 0).select("node_id", "s_u", F.explode("r_v").alias("v"), F.size("r_v").alias("n")).join(e.edges, "v")
+    common = held.groupBy("node_id", "u").agg(F.count("*").alias("k"), F.first("n").alias("n"), F.first("s_u").alias("s_u")).filter("k = n")
+    wrong = common.groupBy("node_id").agg(F.array_sort(F.collect_list("u")).alias("us"), F.first("s_u").alias("s_u")).filter("us <> s_u")
+    marks = tree.mark_live(nodes).select("node_id", F.col("live").alias("again")).join(nodes, "node_id").filter("live <> again")
+    path = nodes.filter("seed").select(F.col("node_id").alias("own"), "parent_id").join(nodes.select(F.col("node_id").alias("parent_id"), F.col("seed_id").alias("above")), "parent_id")
+    counts = [x.agg(F.count("*").alias("n")) for x in (wrong, marks, path.filter("above is not null"))]
+    names = ("scopes", "live_marks", "seeds_above_seeds")
+    rows = [c.select(F.lit(k).alias("what"), "n") for k, c in zip(names, counts, strict=True)]
+    return rows[0].union(rows[1]).union(rows[2])
+
+
+def tree_walk(g: str, a: int, b: int, spark: SparkSession, d: str) -> DataFrame:
+    """Groups of the walk with and without tags against those of the containment join: bicliques whose label differs, and whether tags save visits."""
+    e = encoded(g, spark, d)
+    found = maxbiclique.enumerate_bicliques(e.edges, a, b, side="u")
+    good = cut(overlap.qualify(found.bicliques, a, b))
+    want = cut(partial.by_seed(good, found.seeds, a, b))
+    visits, wrong = {}, {}
+    for tags in (True, False):
+        walked = cut(tree.walk_groups(e.edges, a, b, tags))
+        visits[tags] = walked.select("group_id", "visited").agg(F.coalesce(F.max("visited"), F.lit(0))).first()[0]
+        label = cut(partial.by_tree_walk(e.edges, good, a, b, tags)).select("biclique_id", F.col("label").alias("walked"))
+        wrong[tags] = want.join(label, "biclique_id", "full").filter("not (label <=> walked)").count()
+    return spark.createDataFrame([(wrong[True], wrong[False], visits[True] <= visits[False])], "tagged_differ long, untagged_differ long, tags_save boolean")
+
+
+add("tree_bicliques_page_link", tree_bicliques, bicliques_sql("page_link"))
+add("tree_violations", tree_violations, "SELECT unnest(['scopes', 'live_marks', 'seeds_above_seeds']) AS what, 0::BIGINT AS n")
+for g, a, b in (("nation_brand", 4, 4), ("bench_word", 2, 2), ("user_day", 3, 3)):
+    add(f"partial_tree_walk_equals_containment_{g}_{a}_{b}", bound(tree_walk, g, a, b), "SELECT 0::BIGINT AS tagged_differ, 0::BIGINT AS untagged_differ, true AS tags_save")
 add("measure_overlap_histogram", lambda s, d: measures.overlap_histogram(found_communities("listing_seeded", "user_day", 3, 3, s, d)), communities_sql("user_day", 3, 3).replace("SELECT least AS community_id, item AS biclique FROM label", "SELECT side, communities, count(*) AS vertices FROM (SELECT side, vertex, count(*) AS communities FROM (SELECT DISTINCT least, 'u' AS side, unnest(x) AS vertex FROM label JOIN b ON item = biclique UNION SELECT DISTINCT least, 'v', unnest(y) FROM label JOIN b ON item = biclique) GROUP BY 1, 2) GROUP BY 1, 2"))
 
 # ---- cohesive subgraphs --------------------------------------------------------------------------------------------

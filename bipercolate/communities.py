@@ -72,7 +72,7 @@ def by_overlap(bicliques: DataFrame, alpha: int, beta: int, groups: DataFrame |
     return merge(start, links, "biclique_id", "label", FEW_LINKS).select(F.col("item").alias("biclique_id"), "label")
 
 
-def detect(edges: DataFrame | Encoded, alpha: int, beta: int, method: str = "listing_seeded", u: str = "u", v: str = "v", engine: str = "local", pivot: str = "min_nonneighbours", order: str = "two_hop_degree", side: str = "cheaper", batches: int = 1, prune_right_prefix: bool = True, restrict_shared: bool = True, seed: str = "seed", enumeration: maxbiclique.Enumeration | None = None) -> Communities:
+def detect(edges: DataFrame | Encoded, alpha: int, beta: int, method: str = "listing_seeded", u: str = "u", v: str = "v", engine: str = "local", pivot: str = "min_nonneighbours", order: str = "two_hop_degree", side: str = "cheaper", batches: int = 1, prune_right_prefix: bool = True, restrict_shared: bool = True, seed: str = "seed", listing_side: str = "cheaper", enumeration: maxbiclique.Enumeration | None = None) -> Communities:
     """Find the communities of ``edges`` at (alpha, beta).
 
     ``enumeration`` reuses bicliques and seeds of the same graph and thresholds. ``seed="prefix"`` starts
@@ -97,7 +97,8 @@ def detect(edges: DataFrame | Encoded, alpha: int, beta: int, method: str = "lis
     if method in ("overlap", "prefix_merge", "seed_merge"):
         labels = by_overlap(good, alpha, beta, groups)
     else:
-        labels = listing.merge_by_listing(graph.edges, good, alpha, beta, partial.singletons(good) if groups is None else groups, method != "listing", prune_right_prefix, restrict_shared, batches, tally)
+        start = partial.singletons(good) if groups is None else groups
+        labels = listing.merge_by_listing(good, alpha, beta, start, method != "listing", prune_right_prefix, restrict_shared, batches, tally, listing_side)
     return Communities(graph, good, cut(labels), alpha, beta, method, groups, metrics)
 
 

@@ -50,9 +50,16 @@ def two_hop(edges: DataFrame, least_shared: int = 1) -> DataFrame:
 
 
 def two_hop_degree(edges: DataFrame) -> DataFrame:
-    """``[u, degree]``: how many other left vertices share a neighbour with u."""
-    found = two_hop_pairs(edges).groupBy("u").agg(F.count("*").alias("degree"))
-    return edges.select("u").distinct().join(found, "u", "left").select("u", F.coalesce("degree", F.lit(0)).cast("long").alias("degree"))
+    """``[u, degree]``: how many other left vertices share a neighbour with u.
+
+    Pairs are made of 64-bit hashes, as labels may be long; two labels of one hash would share a degree, which only orders roots.
+    """
+    slim = edges.select(F.xxhash64("u").alias("u"), F.xxhash64("v").alias("v"))
+    other = slim.select(F.col("u").alias("w"), "v")
+    pairs = slim.join(other, "v").filter("u <> w").select("u", "w").distinct()
+    found = pairs.groupBy(F.col("u").alias("h")).agg(F.count("*").alias("degree"))
+    every = edges.select("u").distinct().withColumn("h", F.xxhash64("u"))
+    return every.join(found, "h", "left").select("u", F.coalesce("degree", F.lit(0)).cast("long").alias("degree"))
 
 
 @dataclass

@@ -1,22 +1,30 @@
 """Communities from small bicliques: list the bicliques of exactly alpha by beta vertices, and merge the maximal ones around each.
 
-Rows are prefixes. A left prefix carries the left vertices chosen in ascending order, the 2-hop successors that may follow, the
-common right neighbours and, for merging, the maximal bicliques that contain it. Sizes that can't be reached any more end
-a prefix, and so does, with pruning, a support of bicliques that already share one label: nothing below could merge more.
-Labels are those at the start of a batch of roots, hence finer than the truth at worst, which costs work but no results.
+Counting and listing grow prefixes as rows: the left vertices chosen in ascending order, the 2-hop successors that may
+follow, and the common right neighbours; sizes that can't be reached any more end a prefix. Merging lists them within groups
+of maximal bicliques instead, one per root vertex, where the search sees which bicliques, and how many labels, are still around its
+prefix (see ``local_listing``). Labels that another group merges are seen after a batch of roots, hence are finer than
+the truth at worst, which costs work but no results.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bipercolate.checkpoints import cut
 from bipercolate.components import FEW_LINKS, merge
 from bipercolate.graph import adjacency, check_thresholds, swapped, two_hop
+from bipercolate.local_listing import Group, merge_group
 from bipercolate.overlap import qualify
+from bipercolate.shipping import consecutive
+
+MERGED = "a long, b long, prefixes long, rights long, leaves long"
+#: Vertices in the bicliques of a group above which several tasks share it.
+HEAVY = 500_000
 
 
 def _adjacent(edges: DataFrame, beta: int) -> DataFrame:
@@ -80,54 +88,94 @@ def enumerate_ab(edges: DataFrame, alpha: int, beta: int, side: str = "u") -> Da
     return rows.select(F.col("r_u").alias("x"), F.col("r_v").alias("y"))
 
 
-def _undecided(rows: DataFrame, labels: DataFrame, keys: list[str]) -> DataFrame:
-    """Rows whose supporting bicliques have more than one label."""
-    spread = rows.select(*keys, F.explode("rb").alias("biclique_id")).join(labels, "biclique_id").groupBy(*keys).agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select(*keys)
-    return rows.join(spread, keys, "left_semi")
-
-
 def shared_vertices(bicliques: DataFrame, labels: DataFrame, side: str) -> DataFrame:
     """``[vertex]``: vertices of one side that bicliques of two labels contain; nothing else can merge anything."""
     return bicliques.select("biclique_id", F.explode(side).alias("vertex")).join(labels, "biclique_id").groupBy("vertex").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("vertex")
 
 
-def merge_by_listing(edges: DataFrame, bicliques: DataFrame, alpha: int, beta: int, labels: DataFrame, prune: bool = True, prune_right: bool = True, restrict: bool = True, batches: int = 1, tally: Callable[[str, int], None] | None = None) -> DataFrame:
+def cheaper_roots(bicliques: DataFrame) -> str:
+    """The side whose vertices, as roots, are sent fewer sets: each root gets every biclique that holds it."""
+    n, m = F.size("x").cast("double"), F.size("y").cast("double")
+    by_u, by_v = bicliques.agg(F.sum(n * (n + m)), F.sum(m * (n + m))).first()
+    return "v" if (by_v or 0) < (by_u or 0) else "u"
+
+
+def merge_by_listing(
+    bicliques: DataFrame, alpha: int, beta: int, labels: DataFrame, prune: bool = True, prune_right: bool = True, restrict: bool = True,
+    batches: int = 1, tally: Callable[[str, int], None] | None = None, side: str = "cheaper", heavy: int = HEAVY,
+) -> DataFrame:
     """Coarsen ``labels`` [biclique_id, label] of the qualified bicliques until all that share an (alpha, beta)-biclique agree.
 
-    ``tally(kind, n)`` is told how many prefixes and leaves each step keeps.
+    Every small biclique is listed below its least vertex on ``side``, in the group of maximal bicliques that hold this
+    vertex. Groups of more than ``heavy`` vertices are shared out by their next vertices, first on this side and then by one of
+    the other. With ``prune``, groups of one label are not even sent. Within a group a merge counts at once; other groups see
+    it after the batch of roots. ``tally(kind, n)`` is told how many prefixes, right prefixes and leaves were visited.
     """
     check_thresholds(alpha, beta)
     good = cut(qualify(bicliques, alpha, beta).select("biclique_id", "x", "y"))
-    tell = tally or (lambda kind, n: None)
+    if (cheaper_roots(good) if side == "cheaper" else side) == "v":
+        good = good.select("biclique_id", F.col("y").alias("x"), F.col("x").alias("y"))
+        alpha, beta = beta, alpha
     labels = cut(labels.select("biclique_id", "label"))
     for batch in range(batches):
-        graph = edges
-        if prune and restrict:
-            graph = graph.join(shared_vertices(good, labels, "x").withColumnRenamed("vertex", "u"), "u", "left_semi").join(shared_vertices(good, labels, "y").withColumnRenamed("vertex", "v"), "v", "left_semi")
-            graph = cut(graph.select("u", "v"))
-        adjacent = cut(_adjacent(graph, beta))
-        of_left = cut(good.select("biclique_id", F.explode("x").alias("u")).groupBy("u").agg(F.collect_list("biclique_id").alias("held")))
-        of_right = cut(good.select("biclique_id", F.explode("y").alias("v")).groupBy("v").agg(F.collect_list("biclique_id").alias("held")))
-        rows = _start(adjacent, alpha, beta).filter(F.pmod(F.xxhash64(F.col("r_u")[0]), F.lit(batches)) == batch)
-        rows = rows.withColumn("u", F.col("r_u")[0]).join(of_left, "u").withColumnRenamed("held", "rb").drop("u")
-        rows = _kept(rows, labels, ["r_u"], prune, tell, "prefix")
-        for k in range(1, alpha):
-            rows = _longer(rows, adjacent, alpha, beta, k).join(of_left, "u").withColumn("rb", F.array_intersect("rb", "held")).drop("u", "held").filter(F.size("rb") > 0)
-            rows = _kept(rows, labels, ["r_u"], prune, tell, "prefix")
-        rows = rows.select("r_u", "rb", F.array().cast("array<bigint>").alias("r_v"), F.array_sort("c_v").alias("rest"))
-        for k in range(beta):
-            rows = _right_step(rows, beta, k).join(of_right, "v").withColumn("rb", F.array_intersect("rb", "held")).drop("v", "held").filter(F.size("rb") > 0)
-            last = k == beta - 1
-            rows = _kept(rows, labels, ["r_u", "r_v"], prune and (prune_right or last), tell, "leaf" if last else "right")
-        links = rows.filter(F.size("rb") > 1).select(F.array_min("rb").alias("a"), F.explode("rb").alias("b")).filter("a <> b").distinct()
+        known = good.join(labels, "biclique_id")
+        roots = good.select(F.explode("x").alias("u"), "biclique_id").select(F.array("u").alias("r_u"), F.array().cast("array<bigint>").alias("r_v"), "biclique_id")
+        if batches > 1:
+            roots = roots.filter(F.pmod(F.xxhash64(F.col("r_u")[0]), F.lit(batches)) == batch)
+        found = cut(_merged(_groups(roots, known, alpha, prune, heavy), known, alpha, beta, prune, prune_right, restrict))
+        if tally:
+            for kind, n in found.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(k) for k, c in (("prefix", "prefixes"), ("right", "rights"), ("leaf", "leaves"))]).first().asDict().items():
+                tally(kind, n)
+        links = found.filter("a is not null").select("a", "b")
         labels = cut(merge(labels, links, "biclique_id", "label", FEW_LINKS).select(F.col("item").alias("biclique_id"), "label"))
     return labels
 
 
-def _kept(rows: DataFrame, labels: DataFrame, keys: list[str], prune: bool, tell, kind: str) -> DataFrame:
-    rows = cut(rows)
-    tell(kind, rows.count())
-    return cut(_undecided(rows, labels, keys)) if prune else rows
+def _groups(level: DataFrame, known: DataFrame, alpha: int, prune: bool, heavy: int) -> DataFrame:
+    """``[r_u, r_v, biclique_id]``: the bicliques around each prefix, in groups of at most ``heavy`` vertices where prefixes can grow."""
+    ready = None
+    for k in range(1, alpha + 2):
+        level = cut(level)
+        size = (F.size("x") + F.size("y")).alias("size")
+        groups = level.join(known.select("biclique_id", "label", size), "biclique_id").groupBy("r_u", "r_v")
+        groups = groups.agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.sum("size").alias("size"))
+        groups = cut(groups.filter("lo <> hi").select("r_u", "r_v", "size") if prune else groups.select("r_u", "r_v", "size"))
+        grows = (F.col("size") > heavy) if k <= alpha else F.lit(False)
+        done = level.join(groups.filter(~grows), ["r_u", "r_v"], "left_semi")
+        ready = done if ready is None else ready.union(done)
+        rest = groups.filter(grows)
+        if rest.isEmpty():
+            break
+        level = level.join(rest, ["r_u", "r_v"], "left_semi").join(known.select("biclique_id", "x", "y"), "biclique_id")
+        if k < alpha:
+            next_u = F.explode(F.filter("x", lambda w: w > F.element_at("r_u", -1)))
+            level = level.select("r_u", "r_v", "biclique_id", next_u.alias("w")).select(F.concat("r_u", F.array("w")).alias("r_u"), "r_v", "biclique_id")
+        else:
+            level = level.select("r_u", F.explode("y").alias("v"), "biclique_id").select("r_u", F.array("v").alias("r_v"), "biclique_id")
+    return ready
+
+
+def _merged(groups: DataFrame, known: DataFrame, alpha: int, beta: int, prune: bool, prune_right: bool, restrict: bool) -> DataFrame:
+    """``[a, b, prefixes, rights, leaves]``: links between labels, and a row of counts per group."""
+    after = lambda side, r: F.filter(side, lambda w: F.when(F.size(r) == 0, F.lit(True)).otherwise(w > F.try_element_at(r, F.lit(-1))))
+    rows = groups.join(known, "biclique_id").select(
+        F.concat_ws("|", F.array_join("r_u", ","), F.array_join("r_v", ",")).alias("key"), F.size("r_u").alias("n_u"), F.size("r_v").alias("n_v"),
+        "label", after("x", "r_u").alias("x"), after("y", "r_v").alias("y"),
+    )
+    return rows.repartition("key").sortWithinPartitions("key").mapInArrow(_group_solver(alpha, beta, prune, prune_right, restrict), MERGED)
+
+
+def _group_solver(alpha: int, beta: int, prune: bool, prune_right: bool, restrict: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = pa.schema([(x.split()[0], pa.int64()) for x in MERGED.split(", ")])
+        for rows in consecutive(batches, "key"):
+            group = Group.of([(r["label"], r["x"], r["y"]) for r in rows])
+            links = merge_group(group, alpha - rows[0]["n_u"], beta - rows[0]["n_v"], prune, prune_right, restrict)
+            counted = group.tally
+            out = [*((a, b, 0, 0, 0) for a, b in links), (None, None, counted.prefixes, counted.rights, counted.leaves)]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], schema=kinds)
+
+    return run
 
 
 def keys_from_bicliques(bicliques: DataFrame, alpha: int, beta: int, budget: int = 50_000_000) -> DataFrame:

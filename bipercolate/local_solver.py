@@ -7,7 +7,7 @@ side's C and X. A node with empty C is a maximal biclique exactly if its X are e
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 
@@ -64,50 +64,75 @@ def pick(ego: Ego, cu: int, cv: int, xu: int, xv: int) -> tuple[int, bool, int,
     return best[1:]
 
 
-def enumerate_root(ego: Ego, alpha: int = 1, beta: int = 1, pivot: bool = True, cut_small: bool = False, part: int = 0, parts: int = 1, counts: dict | None = None) -> Iterator[Found]:
+def enumerate_root(
+    ego: Ego, alpha: int = 1, beta: int = 1, pivot: bool = True, cut_small: bool = False, part: int = 0, parts: int = 1,
+    counts: dict | None = None, trace: Callable[[dict], None] | None = None, budget: int | None = None,
+) -> Iterator[Found]:
     """Maximal bicliques whose least left vertex is the root, and seeds for (alpha, beta).
 
     ``cut_small`` drops nodes that can't reach the sizes. Of ``parts`` tasks that share a root, task ``part`` takes every
-    parts-th branch of the first node; branches are independent, as each knows which siblings come before it.
+    parts-th branch below the chain of forced choices at the root; branches are independent, as each knows which siblings come before it.
+    A vertex adjacent to all opposite candidates is forced: it is taken in place, without a branch of its own. ``trace`` is
+    told every node (forced ones too); more than ``budget`` nodes are an error.
     """
     me = ego.left.index(ego.root)
     later = sum(1 << k for k, w in enumerate(ego.left) if w > ego.root)
     earlier = sum(1 << k for k, w in enumerate(ego.left) if w < ego.root)
-    seeds = 0
-    stack = [(1 << me, 0, later, (1 << len(ego.right)) - 1, earlier, 0, -1, True)]
+    names = lambda side, mask: [(ego.left, ego.right)[side][k] for k in bits(mask)]
+    seeds, nodes, mine = 0, 0, part == 0
+    # Per node: the six sets, the number and the node of its seed, its parent, its level, the side and vertex that led here, and whether no branch came before.
+    stack = [((1 << me, 0, later, (1 << len(ego.right)) - 1, earlier, 0), (-1, -1), -1, 1, 0, me, True)]
     while stack:
-        ru, rv, cu, cv, xu, xv, seed, first = stack.pop()
-        if cut_small and ((ru | cu).bit_count() < alpha or (rv | cv).bit_count() < beta):
-            continue
-        if counts is not None:
-            counts["nodes"] = counts.get("nodes", 0) + 1
-        if seed < 0 and ru.bit_count() >= alpha and rv.bit_count() >= beta:
-            seed, seeds = seeds, seeds + 1
-            if not first or part == 0:
-                yield Found("seed", [ego.left[k] for k in bits(ru)], [ego.right[k] for k in bits(rv)], seed)
-        if not cu and not cv:
-            if not xu and not xv and rv and (not first or part == 0):
-                yield Found("biclique", [ego.left[k] for k in bits(ru)], [ego.right[k] for k in bits(rv)], seed)
-            continue
-        if pivot:
-            side, excluded, p, missing = pick(ego, cu, cv, xu, xv)
-            if excluded and not missing:
-                continue  # everything below extends by the excluded vertex
-            own = [] if excluded else [(side, p)]
-            branches = own + [(1 - side, k) for k in bits(missing)]
-        else:
-            branches = [(0, k) for k in bits(cu)] + [(1, k) for k in bits(cv)]
-        children = []
-        for at, (side, k) in enumerate(branches):
-            bit = 1 << k
-            if side == 0:
-                cu &= ~bit
-                child = (ru | bit, rv, cu, cv & ego.of_left[k], xu, xv & ego.of_left[k], seed, False)
-                xu |= bit
+        (ru, rv, cu, cv, xu, xv), seed, parent, level, side, vertex, first = stack.pop()
+        while True:
+            if cut_small and ((ru | cu).bit_count() < alpha or (rv | cv).bit_count() < beta):
+                break
+            at, nodes = nodes, nodes + 1
+            if budget is not None and nodes > budget:
+                raise RuntimeError(f"the tree below root {ego.root} has more than {budget} nodes")
+            if counts is not None and (mine or not first):
+                counts["nodes"] = counts.get("nodes", 0) + 1
+            reached = seed[0] < 0 and ru.bit_count() >= alpha and rv.bit_count() >= beta
+            if reached:
+                seed, seeds = (seeds * parts + (0 if first else part), at), seeds + 1  # no two tasks of a root use a number twice
+                if mine or not first:
+                    yield Found("seed", names(0, ru), names(1, rv), seed[0])
+            leaf = not cu and not cv
+            maximal = leaf and not xu and not xv and bool(rv)
+            if trace:
+                sets = {f"{c}_{'uv'[s]}": names(s, m) for c, s, m in (("r", 0, ru), ("r", 1, rv), ("c", 0, cu), ("c", 1, cv), ("x", 0, xu), ("x", 1, xv))}
+                trace({"at": at, "parent": parent, "level": level, "via_side": "uv"[side], "via": (ego.left, ego.right)[side][vertex], **sets, "seed": reached, "seed_id": seed[1], "biclique": maximal})
+            if maximal and (mine or not first):
+                yield Found("biclique", names(0, ru), names(1, rv), seed[0])
+            if leaf:
+                break
+            if not pivot:
+                branches = [(0, k) for k in bits(cu)] + [(1, k) for k in bits(cv)]
             else:
-                cv &= ~bit
-                child = (ru, rv | bit, cu & ego.of_right[k], cv, xu & ego.of_right[k], xv, seed, False)
-                xv |= bit
-            if not first or at % parts == part:
-                children.append(child)
-        stack += reversed(children)
+                over, excluded, p, missing = pick(ego, cu, cv, xu, xv)
+                if not missing and excluded:
+                    break  # everything below extends by the excluded vertex
+                if not missing:  # forced: the only child
+                    bit = 1 << p
+                    if over == 0:
+                        ru, cu, xv = ru | bit, cu & ~bit, xv & ego.of_left[p]
+                    else:
+                        rv, cv, xu = rv | bit, cv & ~bit, xu & ego.of_right[p]
+                    parent, level, side, vertex = at, level + 1, over, p
+                    continue
+                branches = ([] if excluded else [(over, p)]) + [(1 - over, k) for k in bits(missing)]
+            children = []
+            for turn, (over, k) in enumerate(branches):
+                bit = 1 << k
+                if over == 0:
+                    cu &= ~bit
+                    child = (ru | bit, rv, cu, cv & ego.of_left[k], xu, xv & ego.of_left[k])
+                    xu |= bit
+                else:
+                    cv &= ~bit
+                    child = (ru, rv | bit, cu & ego.of_right[k], cv, xu & ego.of_right[k], xv)
+                    xv |= bit
+                if not first or turn % parts == part:
+                    children.append((child, seed, at, level + 1, over, k, False))
+            stack += reversed(children)
+            break

@@ -33,17 +33,17 @@ class Enumeration:
     nodes: int | None
 
 
-def neighbourhoods(edges: DataFrame, least_shared: int = 1) -> DataFrame:
-    """``[root, pairs]``: for each left vertex, every edge (w, v) between a 2-hop vertex (or itself) and one of its neighbours."""
+def neighbourhoods(edges: DataFrame, least_shared: int = 1, roots: DataFrame | None = None) -> DataFrame:
+    """``[root, pairs]``: for each left vertex (of ``roots`` [u]), every edge (w, v) between a 2-hop vertex (or itself) and one of its neighbours."""
     other = edges.select(F.col("u").alias("w"), "v")
-    rows = edges.join(other, "v").select(F.col("u").alias("root"), "w", "v")
+    rows = (edges if roots is None else edges.join(roots, "u", "left_semi")).join(other, "v").select(F.col("u").alias("root"), "w", "v")
     if least_shared > 1:
         enough = rows.groupBy("root", "w").agg(F.count("*").alias("n")).filter((F.col("n") >= least_shared) | (F.col("root") == F.col("w"))).drop("n")
         rows = rows.join(enough, ["root", "w"])
     return rows.groupBy("root").agg(F.collect_list(F.struct("w", "v")).alias("pairs"))
 
 
-def _solver(alpha: int, beta: int, pivot: bool, cut_small: bool):
+def _solver(alpha: int, beta: int, pivot: bool, cut_small: bool, budget: int | None = None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kinds = pa.schema([("kind", pa.string()), ("root", pa.int64()), ("part", pa.int32()), ("seed", pa.int64()), ("x", pa.list_(pa.int64())), ("y", pa.list_(pa.int64())), ("nodes", pa.int64())])
         rows: list[tuple] = []
@@ -57,7 +57,7 @@ def _solver(alpha: int, beta: int, pivot: bool, cut_small: bool):
             for row in group.to_pylist():
                 ego = Ego.of(row["root"], [(p["w"], p["v"]) for p in row["pairs"]])
                 counts: dict[str, int] = {}
-                for found in enumerate_root(ego, alpha, beta, pivot, cut_small, row["part"], row["parts"], counts):
+                for found in enumerate_root(ego, alpha, beta, pivot, cut_small, row["part"], row["parts"], counts, budget=budget):
                     rows.append((found.kind, row["root"], row["part"], found.seed if found.seed >= 0 else None, found.x, found.y, 0))
                     if len(rows) >= 4096:
                         yield batch()
@@ -68,10 +68,10 @@ def _solver(alpha: int, beta: int, pivot: bool, cut_small: bool):
     return run
 
 
-def _local(edges: DataFrame, alpha: int, beta: int, pivot: bool, cut_small: bool) -> DataFrame:
-    roots = neighbourhoods(edges, beta if cut_small else 1)
+def _local(edges: DataFrame, alpha: int, beta: int, pivot: bool, cut_small: bool, budget: int | None = None, only: DataFrame | None = None) -> DataFrame:
+    roots = neighbourhoods(edges, beta if cut_small else 1, only)
     roots = roots.withColumn("parts", F.ceil(F.size("pairs") / HEAVY).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    return roots.repartition("root", "part").select("root", "pairs", "part", "parts").mapInArrow(_solver(alpha, beta, pivot, cut_small), LEAVES)
+    return roots.repartition("root", "part").select("root", "pairs", "part", "parts").mapInArrow(_solver(alpha, beta, pivot, cut_small, budget), LEAVES)
 
 
 def closure(edges: DataFrame, most_rounds: int = 200) -> DataFrame:
@@ -92,13 +92,19 @@ def closure(edges: DataFrame, most_rounds: int = 200) -> DataFrame:
     return full.groupBy("y").agg(F.array_sort(F.collect_list("u")).alias("x")).select("x", "y")
 
 
-def _frontier(edges: DataFrame, alpha: int, beta: int, most_levels: int = 400) -> tuple[DataFrame, DataFrame, int]:
+def root_sizes(edges: DataFrame) -> DataFrame:
+    """``[u, pairs]``: the size of each left vertex's neighbourhood, from degrees alone."""
+    degrees = edges.groupBy("v").agg(F.count("*").alias("d"))
+    return edges.join(degrees, "v").groupBy("u").agg(F.sum("d").alias("pairs"))
+
+
+def _frontier(edges: DataFrame, alpha: int, beta: int, most_levels: int = 400, only: DataFrame | None = None) -> tuple[DataFrame, DataFrame, int]:
     """Level by level: all nodes' pivots by joins of their vertices with the adjacency, then all children at once.
 
     Returns leaves ``[seed_id, x, y]``, seeds ``[seed_id, r_u, r_v]`` and the number of nodes.
     """
     left, right = cut(adjacency(edges, "u")), cut(adjacency(edges, "v"))
-    hops = neighbourhoods(edges).select(F.col("root").alias("vertex"), F.array_sort(F.array_distinct(F.transform("pairs", lambda p: p["w"]))).alias("hop"))
+    hops = neighbourhoods(edges, 1, only).select(F.col("root").alias("vertex"), F.array_sort(F.array_distinct(F.transform("pairs", lambda p: p["w"]))).alias("hop"))
     none = F.array().cast("array<long>")
     level = left.join(hops, "vertex").select(
         F.array("vertex").alias("r_u"), none.alias("r_v"), F.filter("hop", lambda w: w > F.col("vertex")).alias("c_u"), F.col("nbrs").alias("c_v"),
@@ -148,11 +154,13 @@ def cheaper_side(edges: DataFrame) -> str:
     return "u" if squares("v") <= squares("u") else "v"
 
 
-def enumerate_bicliques(edges: DataFrame, alpha: int = 1, beta: int = 1, engine: str = "local", pivot: str = "min_nonneighbours", side: str = "cheaper", qualified_only: bool = False) -> Enumeration:
+def enumerate_bicliques(edges: DataFrame, alpha: int = 1, beta: int = 1, engine: str = "local", pivot: str = "min_nonneighbours", side: str = "cheaper", qualified_only: bool = False, budget: int | None = None, heavy: int = HEAVY) -> Enumeration:
     """Enumerate over encoded edges (long u, v).
 
     ``alpha``, ``beta`` place the seeds. ``qualified_only`` gives only bicliques with |x| >= alpha and |y| >= beta, after
-    the core that holds them all. ``side``: whose vertices are roots.
+    the core that holds them all. ``side``: whose vertices are roots. ``engine="auto"`` solves roots locally whose
+    neighbourhood has at most ``heavy`` pairs, and grows the others level by level. ``budget``: tree nodes of a root above
+    which the local engine raises an error (the plain tree, without a pivot, has 2^n).
     """
     check_thresholds(alpha, beta)
     if pivot not in ("min_nonneighbours", "none"):
@@ -169,10 +177,15 @@ def enumerate_bicliques(edges: DataFrame, alpha: int = 1, beta: int = 1, engine:
         seeds = found.select("seed_id", F.col("x").alias("r_u"), F.col("y").alias("r_v")).filter("false")
     elif engine == "frontier":
         found, seeds, nodes = _frontier(own, a, b)
-    elif engine == "local":
-        rows = cut(_local(own, a, b, pivot != "none", qualified_only).withColumn("seed_id", F.when(F.col("seed").isNotNull(), F.concat_ws(":", "root", "part", "seed"))))
+    elif engine in ("local", "auto"):
+        sizes = cut(root_sizes(own)) if engine == "auto" else None
+        light = None if sizes is None else sizes.filter(F.col("pairs") <= heavy).select("u")
+        rows = cut(_local(own, a, b, pivot != "none", qualified_only, budget, light).withColumn("seed_id", F.when(F.col("seed").isNotNull(), F.concat_ws(":", "root", "seed"))))
         found, seeds = rows.filter("kind = 'biclique'").select("seed_id", "x", "y"), rows.filter("kind = 'seed'").select("seed_id", F.col("x").alias("r_u"), F.col("y").alias("r_v"))
         nodes = rows.agg(F.coalesce(F.sum("nodes"), F.lit(0))).first()[0]
+        if sizes is not None and not sizes.filter(F.col("pairs") > heavy).isEmpty():
+            more, more_seeds, n = _frontier(own, a, b, only=sizes.filter(F.col("pairs") > heavy).select("u"))
+            found, seeds, nodes = found.union(more), seeds.union(more_seeds), nodes + n
     else:
         raise ValueError(f"unknown engine {engine!r}")
     if flip:

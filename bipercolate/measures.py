@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -26,6 +28,12 @@ def counts(encoded: Encoded, alpha: int, beta: int, found: Enumeration | None =
     }
 
 
+def chains(encoded: Encoded, sizes: Iterable[tuple[int, int]]) -> Iterator[tuple[int, int, dict[str, int]]]:
+    """``(alpha, beta, counts)`` of several thresholds."""
+    for a, b in sizes:
+        yield a, b, counts(encoded, a, b)
+
+
 def chain_ok(found: dict[str, int]) -> bool:
     return found["qualified"] >= found["basic_groups"] >= found["seed_groups"] >= found["communities"]
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from bipercolate import tree
+from bipercolate.checkpoints import cut
 from bipercolate.components import FEW_LINKS, connected
 from bipercolate.overlap import qualify
 
@@ -28,11 +30,15 @@ def by_prefix(bicliques: DataFrame, alpha: int, beta: int) -> DataFrame:
 
 def incidence(seeds: DataFrame, bicliques: DataFrame) -> DataFrame:
     """``[seed, biclique_id]``: bicliques that contain a seed on both sides, found through the seed's rarest left vertex."""
-    sets = seeds.select("r_u", "r_v").distinct().withColumn("seed", F.sha2(F.concat_ws("|", F.array_join("r_u", ","), F.array_join("r_v", ",")), 256))
-    posts = bicliques.select("biclique_id", "x", "y", F.explode("x").alias("vertex"))
+    name = F.sha2(F.concat_ws("|", F.array_join("r_u", ","), F.array_join("r_v", ",")), 256)
+    sets = cut(seeds.select("r_u", "r_v").distinct().withColumn("seed", name))
+    posts = bicliques.select("biclique_id", F.explode("x").alias("vertex"))
     rarity = posts.groupBy("vertex").agg(F.count("*").alias("n"))
     keyed = sets.select("seed", F.explode("r_u").alias("vertex")).join(rarity, "vertex").groupBy("seed").agg(F.min(F.struct("n", "vertex"))["vertex"].alias("vertex"))
-    return sets.join(keyed, "seed").join(posts, "vertex").filter((F.size(F.array_except("r_u", "x")) == 0) & (F.size(F.array_except("r_v", "y")) == 0)).select("seed", "biclique_id")
+    near = keyed.join(posts, "vertex").select("seed", "biclique_id")  # ids only; sets are fetched for these pairs
+    both = near.join(sets, "seed").join(bicliques.select("biclique_id", "x", "y"), "biclique_id")
+    holds = (F.size(F.array_except("r_u", "x")) == 0) & (F.size(F.array_except("r_v", "y")) == 0)
+    return both.filter(holds).select("seed", "biclique_id")
 
 
 def by_seed(bicliques: DataFrame, seeds: DataFrame, alpha: int, beta: int) -> DataFrame:
@@ -43,18 +49,13 @@ def by_seed(bicliques: DataFrame, seeds: DataFrame, alpha: int, beta: int) -> Da
     return _labels(good, held.join(least, "seed").select("a", F.col("biclique_id").alias("b")))
 
 
-def by_tree_walk(bicliques: list[tuple[int, frozenset, frozenset]], seeds: list[tuple[frozenset, frozenset]]) -> dict[int, int]:
-    """The same groups by walking seed after seed with cut tags, in plain Python: a cross-check for small graphs.
+def by_tree_walk(edges: DataFrame, bicliques: DataFrame, alpha: int, beta: int, tags: bool = True) -> DataFrame:
+    """The groups of ``by_seed`` found by walking the enumeration tree (see ``tree.Walk``): ``[biclique_id, label]``.
 
-    Once a seed's bicliques are merged, they stand under one tag; a later seed that meets a tagged biclique merges with
-    the tag and needs not look at the tag's other members.
+    ``bicliques`` are those of ``edges``. The walk takes a component's whole tree into one task and refuses large ones.
     """
-    tag = {b: b for b, _, _ in bicliques}
-    members = {b: [b] for b in tag}
-    for r_u, r_v in seeds:
-        tags = sorted({tag[b] for b, x, y in bicliques if r_u <= x and r_v <= y})
-        for old in tags[1:]:
-            for b in members.pop(old):
-                tag[b] = tags[0]
-                members[tags[0]].append(b)
-    return {b: min(members[t]) for b, t in tag.items()}
+    good = qualify(bicliques, alpha, beta)
+    found = tree.walk_groups(edges, alpha, beta, tags).select("x", "y", "group_id")
+    placed = good.select("biclique_id", F.array_sort("x").alias("x"), F.array_sort("y").alias("y")).join(found, ["x", "y"])
+    least = placed.groupBy("group_id").agg(F.min("biclique_id").alias("label"))
+    return placed.join(least, "group_id").select("biclique_id", "label")

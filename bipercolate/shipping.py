@@ -1,20 +1,26 @@
-"""Make this package importable in Python workers, wherever they run."""
+"""What Python workers need: this package, wherever they run, batches of bounded size, and rows by key."""
 
 from __future__ import annotations
 
 import os
 import tempfile
 import zipfile
+from collections.abc import Iterator
 from pathlib import Path
 
+import pyarrow as pa
 from pyspark.sql import SparkSession
 
 _shipped: set[str] = set()
+#: Bytes of an Arrow batch that goes to a Python worker, where the session has Spark's default of 64 MB: rows may be long.
+ARROW_BATCH, _BYTES = "8MB", "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def ship(spark: SparkSession) -> SparkSession:
-    """Send the package to the executors once per application, as a zip that Spark's file server hands out."""
+    """Send the package to the executors once per application, as a zip that Spark's file server hands out; bound Arrow batches."""
     context = spark.sparkContext
+    if spark.conf.get(_BYTES, None) in ("67108864b", "64MB"):
+        spark.conf.set(_BYTES, ARROW_BATCH)
     if context.applicationId not in _shipped:
         here = Path(__file__).resolve().parent
         to = os.path.join(tempfile.mkdtemp(prefix="bipercolate-zip-"), "bipercolate.zip")
@@ -24,3 +30,16 @@ def ship(spark: SparkSession) -> SparkSession:
         context.addPyFile(to)
         _shipped.add(context.applicationId)
     return spark
+
+
+def consecutive(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[list[dict]]:
+    """Rows of one key after another, from batches sorted by it: a worker holds one key's rows at a time."""
+    rows: list[dict] = []
+    for batch in batches:
+        for row in batch.to_pylist():
+            if rows and rows[0][key] != row[key]:
+                yield rows
+                rows = []
+            rows.append(row)
+    if rows:
+        yield rows

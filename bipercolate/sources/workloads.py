@@ -59,10 +59,21 @@ def nation_brand(spark: SparkSession, d: str) -> DataFrame:
     rows = table(spark, d, "lineitem").join(table(spark, d, "supplier"), F.col("l_suppkey") == F.col("s_suppkey"))
     rows = rows.join(table(spark, d, "nation"), F.col("s_nationkey") == F.col("n_nationkey")).join(table(spark, d, "part"), F.col("l_partkey") == F.col("p_partkey"))
     cells = rows.groupBy(F.col("n_name").alias("u"), F.col("p_brand").alias("v")).agg(F.count("*").alias("k"))
+    return _above_mean(cells)
+
+
+def _above_mean(cells: DataFrame) -> DataFrame:
+    """Cells [u, v, k] with more than 1.2 times the mean count, compared in whole numbers."""
     total = cells.agg(F.count("*").alias("cells"), F.sum("k").alias("total"))  # one row
     return cells.join(F.broadcast(total), F.lit(True)).filter(5 * F.col("k") * F.col("cells") > 6 * F.col("total")).select("u", "v")
 
 
+def nation_segment(spark: SparkSession, d: str) -> DataFrame:
+    """Cells of nation and market segment with more than 1.2 times the mean number of customers: small enough for the plain tree."""
+    rows = table(spark, d, "customer").join(table(spark, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    return _above_mean(rows.groupBy(F.col("n_name").alias("u"), F.col("c_mktsegment").alias("v")).agg(F.count("*").alias("k")))
+
+
 def user_hour(spark: SparkSession, d: str) -> DataFrame:
     return source.time_buckets(table(spark, d, "events"), "user_id", "ts", "hour")
 
@@ -92,7 +103,7 @@ def cust_region(spark: SparkSession, d: str) -> DataFrame:
 
 GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (doc_line, cust_brand, user_day, cust_quarter, bench_word, vec_dim, page_link, order_part, nation_brand, user_hour, cust_priority, part_supp_returned, conv_word, doc_label, cust_region)
+    for f in (doc_line, cust_brand, user_day, cust_quarter, bench_word, vec_dim, page_link, order_part, nation_brand, user_hour, cust_priority, part_supp_returned, conv_word, doc_label, cust_region, nation_segment)
 }
 
 #: The same graphs in SQL, for the oracle.
@@ -112,4 +123,6 @@ SQL = {
     "conv_word": "WITH w AS (SELECT DISTINCT conv_id AS u, v FROM (SELECT conv_id, unnest(string_split(lower(text), ' ')) AS v FROM conversations) WHERE length(v) >= 6) SELECT u, v FROM w WHERE v IN (SELECT v FROM w GROUP BY v HAVING count(*) <= 10)",
     "doc_label": "SELECT DISTINCT doc_id AS u, unnest(['q=' || quality, 't=' || toxic, 'lang=' || lang, 'src=' || source]) AS v FROM documents JOIN labels USING (doc_id)",
     "cust_region": "SELECT DISTINCT o_custkey AS u, r_name AS v FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey",
+    "nation_segment": """SELECT u, v FROM (SELECT n_name AS u, c_mktsegment AS v, count(*) AS k, count(*) OVER () AS cells, sum(count(*)) OVER () AS total
+        FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1, 2) WHERE 5 * k * cells > 6 * total""",
 }

@@ -5,7 +5,7 @@ import random
 
 import pytest
 
-from bipercolate import communities, graph, listing, maxbiclique, measures, overlap, partial
+from bipercolate import communities, graph, listing, local_listing, maxbiclique, measures, overlap, partial, tree
 from bipercolate.communities import METHODS, detect
 
 CHAIN = [(1, 1), (1, 2), (1, 3), (2, 1), (2, 2), (2, 3), (2, 4), (3, 2), (3, 3), (3, 4)]
@@ -99,11 +99,89 @@ def test_random_graph(spark, seed):
     for method in METHODS:
         assert partition(detect(e, 2, 2, method)) == want, method
     assert partition(detect(e, 2, 2, "listing_pruned", batches=2, restrict_shared=False)) == want
+    for side in ("u", "v"):
+        assert partition(detect(e, 2, 2, "listing_pruned", listing_side=side, prune_right_prefix=side == "u")) == want
     assert measures.chain_ok(measures.counts(e, 2, 2))
     good = overlap.qualify(found.bicliques, 2, 2)
     assert {(r.a, r.b) for r in overlap.edges(good, 2, 2).collect()} == {(r.a, r.b) for r in overlap.brute_force_edges(good, 2, 2).collect()}
-    walked = partial.by_tree_walk([(r.biclique_id, frozenset(r.x), frozenset(r.y)) for r in good.collect()], [(frozenset(r.r_u), frozenset(r.r_v)) for r in found.seeds.collect()])
-    assert walked == {r.biclique_id: r.label for r in partial.by_seed(good, found.seeds, 2, 2).collect()}
+    left_rooted = maxbiclique.enumerate_bicliques(e.edges, 2, 2, side="u")
+    good = overlap.qualify(left_rooted.bicliques, 2, 2)
+    grouped = lambda df: {(r.biclique_id, r.label) for r in df.collect()}
+    want = grouped(partial.by_seed(good, left_rooted.seeds, 2, 2))
+    assert grouped(partial.by_tree_walk(e.edges, good, 2, 2)) == want == grouped(partial.by_tree_walk(e.edges, good, 2, 2, tags=False))
+    mixed = maxbiclique.enumerate_bicliques(e.edges, engine="auto", heavy=20)
+    assert sets(mixed.bicliques) == sets(left_rooted.bicliques)
+
+
+def brute_links(rows, alpha, beta):
+    """Components of bicliques that share an alpha-by-beta biclique, starting from labels."""
+    label = {k: r[0] for k, r in enumerate(rows)}
+    for i, j in itertools.combinations(range(len(rows)), 2):
+        if len(set(rows[i][1]) & set(rows[j][1])) >= alpha and len(set(rows[i][2]) & set(rows[j][2])) >= beta:
+            a, b = label[i], label[j]
+            label = {k: a if x == b else x for k, x in label.items()}
+    return {frozenset(k for k in label if label[k] == x) for x in label.values()}
+
+
+@pytest.mark.parametrize(("alpha", "beta"), [(1, 1), (2, 2), (3, 2), (0, 2), (2, 0)])
+def test_groups_merge_like_brute_force(alpha, beta):
+    rnd = random.Random(alpha * 10 + beta)
+    for _ in range(60):
+        n = rnd.randint(1, 7)
+        rows = [(rnd.randint(0, n), sorted(rnd.sample(range(9), rnd.randint(alpha, 7))), sorted(rnd.sample(range(9), rnd.randint(beta, 7)))) for _ in range(n)]
+        for prune, right, restrict in itertools.product((True, False), repeat=3):
+            group = local_listing.Group.of(rows)
+            links = local_listing.merge_group(group, alpha, beta, prune, right, restrict)
+            labels = group.labels
+            got = {frozenset(k for k in range(n) if labels.find(labels.of[k]) == x) for x in {labels.find(y) for y in labels.of}}
+            assert got == brute_links(rows, alpha, beta)
+            assert len(links) == len(set(labels.of)) - len(got)
+        pruned, plain = local_listing.Group.of(rows), local_listing.Group.of(rows)
+        local_listing.merge_group(pruned, alpha, beta)
+        local_listing.merge_group(plain, alpha, beta, prune=False)
+        count = lambda t: t.prefixes + t.rights + t.leaves
+        assert count(pruned.tally) <= count(plain.tally)
+
+
+def test_heavy_groups_are_shared_out(spark):
+    rnd = random.Random(8)
+    pairs = [(i, j) for i in range(9) for j in range(9) if rnd.random() < 0.6]
+    e = graph.encode(graph.simple_edges(edges(spark, pairs)))
+    good = maxbiclique.enumerate_bicliques(e.edges, 2, 2, qualified_only=True).bicliques
+    start = partial.singletons(good)
+    want = {(r.biclique_id, r.label) for r in listing.merge_by_listing(good, 2, 2, start, prune=False).collect()}
+    for heavy, prune in ((0, True), (0, False), (30, True)):
+        assert {(r.biclique_id, r.label) for r in listing.merge_by_listing(good, 2, 2, start, prune=prune, heavy=heavy, side="u").collect()} == want
+    leaves = {}
+    listing.merge_by_listing(good, 2, 2, start, prune=False, tally=lambda k, n: leaves.__setitem__(k, n))
+    assert leaves["leaf"] == listing.count(e.edges, 2, 2).first()[0]
+
+
+def test_tree_of_the_chain(spark):
+    """The three left vertices in both orders of roots; seeds and groups by hand."""
+    for rename, seeds in (({1: 1, 2: 2, 3: 3}, {((1, 2), (2, 3)), ((2, 3), (2, 3, 4))}), ({3: 1, 2: 2, 1: 3}, {((1, 2), (2, 3)), ((2, 3), (1, 2, 3))})):
+        e = edges(spark, [(rename[u], v) for u, v in CHAIN])
+        nodes = tree.build(e, 2, 2)
+        rows = {r.node_id: r for r in nodes.collect()}
+        assert {(tuple(sorted(r.r_u)), tuple(sorted(r.r_v))) for r in rows.values() if r.seed and r.live} == seeds
+        assert {(tuple(sorted(r.r_u)), tuple(sorted(r.r_v))) for r in rows.values() if r.biclique} == brute_bicliques([(rename[u], v) for u, v in CHAIN])
+        assert {r.node_id: r.live for r in tree.mark_live(nodes).collect()} == {k: r.live for k, r in rows.items()}
+        for r in tree.scope(nodes).collect():
+            nbrs = [{u for u, v in e.collect() if v == w} for w in r.r_v]
+            assert not nbrs or set(r.s_u) == set.intersection(*nbrs)
+        groups = {}
+        for r in tree.walk_groups(e, 2, 2).collect():
+            groups.setdefault(r.group_id, set()).add((tuple(r.x), tuple(r.y)))
+        assert len(groups) == 2 and sum(map(len, groups.values())) == 3
+    with pytest.raises(listing.BudgetExceeded):
+        tree.walk_groups(e, 2, 2, most_nodes=2)
+
+
+def test_plain_tree_has_a_budget(spark):
+    star = edges(spark, [(k, 1) for k in range(30)])
+    with pytest.raises(Exception, match="more than 1000 nodes"):
+        maxbiclique.enumerate_bicliques(star, pivot="none", side="u", budget=1000)
+    assert maxbiclique.enumerate_bicliques(star, side="u", budget=1000).bicliques.count() == 1
 
 
 def test_errors_and_empty(spark):
