@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 #: Characters between words; the same set as bytes.split() uses.
 BETWEEN_WORDS = r"\x09-\x0D\x20"
 #: Rows and bytes of text that a Python worker handles at once.
-ROWS_AT_ONCE, BYTES_AT_ONCE = 2048, 16 << 20
+ROWS_AT_ONCE, BYTES_AT_ONCE = 2048, 4 << 20
 #: Ids that a semi-join may send to every executor (16 bytes each); more are shuffled.
 BROADCAST_IDS = 1_000_000
 
@@ -50,26 +50,21 @@ def ids_semi(df: DataFrame, ids: DataFrame, key: str, bound: int = BROADCAST_IDS
     return df.join(F.broadcast(ids) if few else ids, key, "left_semi")
 
 
-def running_total(df: DataFrame, group: list[str], order: list[Column], value: str, bucket: Column, out: str, total: str | None = None) -> DataFrame:
+def running_total(
+    rows: DataFrame, group: list[str], order: list[Column], value: str, bucket: Column, out: str,
+    light: DataFrame | None = None, light_value: str | None = None,
+) -> DataFrame:
     """Add ``out``: the sum of ``value`` over the rows of the same group before this one, without one task per group.
 
     ``bucket`` is an integer that doesn't decrease along ``order``, and cuts a group into pieces of bounded size. Sums
     per (group, bucket) are made map-side, their prefix sums come from a table of one row per bucket, and the only
-    windows over rows lie within a bucket. ``total`` names a column for the group's sum.
+    windows over rows lie within a bucket. Group columns are never null. ``light`` has the same rows without their wide columns,
+    for the sums.
     """
-    rows = df.withColumn("__bucket", bucket)
-    sums = rows.groupBy(*group, "__bucket").agg(F.sum(value).alias("__sum"))
-    by = Window.partitionBy(*group)
-    before = F.coalesce(F.sum("__sum").over(by.orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     keys = [*group, "__bucket"]
-    sums = sums.select(*[F.col(k).alias(f"__k{i}") for i, k in enumerate(keys)], before.alias("__before"), *([F.sum("__sum").over(by).alias(total)] if total else []))
-    same = F.lit(True)
-    for i, k in enumerate(keys):
-        same = same & F.col(k).eqNullSafe(F.col(f"__k{i}"))
+    sums = (rows if light is None else light).withColumn("__bucket", bucket).groupBy(*keys).agg(F.sum(light_value or value).alias("__sum"))
+    earlier = Window.partitionBy(*group).orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
+    sums = sums.select(*keys, F.coalesce(F.sum("__sum").over(earlier), F.lit(0)).alias("__earlier"))
     within = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
-    return (
-        rows.withColumn("__within", F.coalesce(F.sum(value).over(within), F.lit(0)))
-        .join(sums, same)
-        .withColumn(out, (F.col("__before") + F.col("__within")).cast("long"))
-        .drop("__bucket", "__within", "__before", *[f"__k{i}" for i in range(len(keys))])
-    )
+    inside = rows.withColumn("__bucket", bucket).withColumn("__within", F.coalesce(F.sum(value).over(within), F.lit(0)))
+    return inside.join(sums, keys).withColumn(out, (F.col("__earlier") + F.col("__within")).cast("long")).drop("__bucket", "__within", "__earlier")

@@ -1,30 +1,38 @@
 """Mixing sources to target weights by weighted fair queueing. Native expressions only.
 
-Each source is a queue: its documents in a shuffled order (a hash of the row), up to ``MOST_PASSES`` times over. A source is served at a
-rate of its target, so that a document copy is in service from (words of its queue before it) / target to its virtual
-finish time, (words including it) / target. The copies of all sources sorted by finish time are the mix; it is cut at the
-total budget, which all sources reach at virtual time 1, and copies in service then are cut there too. So every source gives its
-target to a word.
+Each source is a queue: its documents in a shuffled order (a hash of the row), up to ``MOST_PASSES`` times over. A source
+is served at a rate of its target, so that a document copy is in service from (words of its queue before it) / target to its
+virtual finish time, (words including it) / target. The copies of all sources, range-sorted by finish time, are the mix. It
+is truncated at the total budget, which is reached at virtual time 1: copies whose service has not begun by then are not emitted, those in
+service give the words served so far, and a prefix sum over the sorted copies of all sources cuts what would exceed the
+budget. So every source gives its target to a word.
 
 Targets share the budget (all words, or ``budget``) by weight. A source whose share exceeds ``MOST_PASSES`` times its words
 stops there, and the excess is reshared by weight among the others until none is above; that is water-filling, solved
 in closed form after sorting sources by words per weight.
 
-Queues are never gathered: prefix sums come from sums per (source, hash bucket). A null text has no words and is not
-taken; null sources are one source, the last; a null doc_id is a document like others; rows that repeat are each queued.
+Neither queues nor the mix are ever gathered: prefix sums come from sums per bucket of the queue's hash, or of finish times. A null text has no words and is not
+taken; null sources are one source, the last; a null doc_id is a document like others; rows that repeat are each queued;
+no rows make an empty mix; other columns pass through ``mixed`` (names that begin with two underscores are reserved).
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from dataclasses import dataclass
+
+from pyspark.sql import Column, DataFrame, Row, Window
 from pyspark.sql import functions as F
 
+from bipercolate.checkpoints import cut
 from bipercolate.llm.common import running_total, word_count
 
 MOST_PASSES = 3
 WEIGHTS = (1, 2, 3)
-#: Buckets of each source's shuffled order; a window within one bucket holds this fraction of a source.
+#: Buckets of each source's shuffled order, and of virtual time; a window within one bucket holds this fraction of the rows.
 BUCKETS = 4096
+#: The order of copies in the mix.
+PLACE = ("finish", "__source", "pass", "__before")
+COPIES = "array<struct<pass:int,words:bigint,finish:double>>"
 
 
 def default_weights(sources: DataFrame) -> DataFrame:
@@ -54,56 +62,110 @@ def targets(sources: DataFrame, budget: int | None = None, most: int = MOST_PASS
     )
 
 
-def queues(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0, key: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, source, size, source_size, target, before (words of the queue before this document, in its first pass), weight.
+@dataclass
+class Queues:
+    """``light``: a row per document without its text; ``aimed``: size and target per source; ``end``: the copy at which the budget is used up, if any."""
 
-    ``weights``: source, weight; default 1, 2, 3 repeating. ``key``: further columns, which order rows of one id and size.
-    """
-    rows = docs.select(*key, F.col("doc_id").cast("long"), F.col("source").cast("string"), word_count(F.col("text").cast("string")).alias("size"))
-    rows = rows.withColumn("__hash", F.xxhash64("doc_id", F.lit(seed)))
-    queued = running_total(rows, ["source"], [F.col("__hash"), F.col("doc_id"), F.col("size"), *map(F.col, key)], "size", F.shiftright("__hash", 64 - (BUCKETS - 1).bit_length()), "before")
-    sources = rows.groupBy("source").agg(F.sum("size").alias("source_size"))
+    light: DataFrame
+    aimed: DataFrame
+    end: Row | None
+
+
+def _queued(docs: DataFrame, seed: int) -> DataFrame:
+    """``docs`` with __size, and __order, a hash of the document: its place in the shuffled queue of __source (never null)."""
+    row = [x for c in ("doc_id", "source", "text") for x in (F.col(c).isNull(), F.col(c).cast("string"))]
+    source = F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("n"))
+    return docs.withColumns({"__source": source, "__size": word_count(F.col("text").cast("string")), "__order": F.xxhash64(F.lit(seed), *row)})
+
+
+def queues(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0) -> Queues:
+    """Sizes, targets and the end of the mix. ``weights``: source, weight; default 1, 2, 3 repeating."""
+    rows = _queued(docs, seed)
+    light = cut(rows.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "__source", "__size", "__order"))
+    sources = light.groupBy("source", "__source").agg(F.sum("__size").alias("source_size"))
     if weights is None:
         weighed = default_weights(sources)
     else:
         known = weights.select(F.col("source").alias("__s"), "weight")
         weighed = sources.join(known, F.col("source").eqNullSafe(F.col("__s")), "left").drop("__s").withColumn("weight", F.coalesce("weight", F.lit(1.0)))
-    aimed = targets(weighed, budget).select(F.col("source").alias("__s"), "source_size", "target")
-    return queued.join(aimed, F.col("source").eqNullSafe(F.col("__s"))).drop("__s", "__hash")
+    aimed = cut(targets(weighed, budget).select("__source", F.col("source_size").alias("__source_size"), F.col("target").alias("__target")))  # a row per source
+    most = aimed.agg(F.sum("__source_size")).first()[0] if budget is None else budget
+    return Queues(light.drop("source"), aimed, _end(copies(light.drop("source"), Queues(light, aimed, None)), most or 0))
+
+
+def copies(rows: DataFrame, queue: Queues) -> DataFrame:
+    """``rows`` (of ``_queued``) with __source_size, __target, __before (words of the queue before this row, in its first pass) and __copies.
+
+    __copies are those whose service begins before virtual time 1, with the words served by then and their finish times.
+    """
+    bucket = F.shiftright("__order", 64 - (BUCKETS - 1).bit_length())
+    rest = F.xxhash64(*[F.col(c).cast("string") for c in rows.columns if not c.startswith("__")])
+    placed = running_total(rows, ["__source"], [F.col("__order"), F.col("doc_id"), F.col("__size"), rest], "__size", bucket, "__before", queue.light)
+    goal = F.floor(F.col("__target") + 1e-6)
+
+    def copy(k: int) -> Column:
+        before = F.col("__source_size") * k + F.col("__before")
+        words = F.greatest(F.lit(0), F.least(F.col("__size"), goal - before)).cast("long")
+        return F.struct(F.lit(k).alias("pass"), words.alias("words"), F.try_divide(before + F.col("__size"), F.col("__target")).alias("finish"))
 
+    every = F.filter(F.array(*map(copy, range(MOST_PASSES))), lambda c: c["words"] > 0).cast(COPIES)
+    found = placed.join(queue.aimed, "__source").drop("__order").withColumn("__copies", every)
+    return found if queue.end is None else found.withColumn("__copies", _until(queue.end))
 
-def taken(target: Column, source_size: Column, before: Column, size: Column, most: int = MOST_PASSES) -> Column:
-    """Words of a document served until virtual time 1, over all passes."""
-    goal = F.floor(target + 1e-6)
-    served = lambda k: F.greatest(F.lit(0), F.least(size, goal - source_size * k - before))
-    return sum((served(k) for k in range(1, most)), served(0)).cast("long")
+
+def _end(found: DataFrame, budget: int) -> Row | None:
+    """The first copy with which the words of all copies by finish time exceed the budget, and how many of its own are left for it.
+
+    The prefix sum runs over the copies of all sources, in buckets of virtual time (the last also holds copies that would
+    finish after time 1).
+    """
+    rows = found.select("__source", "__before", F.explode("__copies").alias("c")).select("__source", "__before", "c.*")
+    by = [F.col(c) for c in PLACE]
+    bucket = F.least(F.floor(F.col("finish") * BUCKETS), F.lit(BUCKETS)).cast("int")
+    ahead = running_total(rows, [], by, "words", bucket, "ahead")
+    over = ahead.filter(F.col("ahead") + F.col("words") > budget).select(*by, (F.lit(budget) - F.col("ahead")).alias("left"))
+    return over.agg(F.min(F.struct(*by, "left")).alias("first")).first()["first"]
+
+
+def _until(end: Row) -> Column:
+    """__copies before the end of the mix, and what is left for the copy there."""
+    last = F.struct(*(F.lit(end[c]).alias(c) for c in PLACE))
+
+    def served(c: Column) -> Column:
+        place = F.struct(c["finish"].alias("finish"), F.col("__source"), c["pass"].alias("pass"), F.col("__before"))
+        words = F.when(place < last, c["words"]).when(place == last, F.lit(end["left"])).otherwise(F.lit(0)).cast("long")
+        return F.struct(c["pass"].alias("pass"), words.alias("words"), c["finish"].alias("finish"))
+
+    return F.filter(F.transform("__copies", served), lambda c: c["words"] > 0)
 
 
 def mix(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
     """Per document: doc_id, size, source_size, target, taken, and virtual_finish, the finish time of its first copy, in whose order rows are range-sorted."""
-    found = queues(docs, weights, budget, seed)
-    finish = F.when(F.col("target") > 0, (F.col("before") + F.col("size")) / F.col("target"))
-    return found.select("doc_id", "size", "source_size", "target", taken(F.col("target"), F.col("source_size"), F.col("before"), F.col("size")).alias("taken"), finish.alias("virtual_finish")).orderBy("virtual_finish", "doc_id")
+    queue = queues(docs, weights, budget, seed)
+    words = F.aggregate("__copies", F.lit(0).cast("long"), lambda acc, c: acc + c["words"])
+    finish = F.when(F.col("__target") > 0, (F.col("__before") + F.col("__size")) / F.col("__target"))
+    return (
+        copies(queue.light, queue)
+        .select("doc_id", F.col("__size").alias("size"), F.col("__source_size").alias("source_size"), F.col("__target").alias("target"), words.alias("taken"), finish.alias("virtual_finish"))
+        .orderBy("virtual_finish", "doc_id")
+    )
 
 
 def first_words(text: Column, n: Column) -> Column:
     """The text up to the end of its n-th word."""
-    return F.when(n <= 0, F.lit("")).otherwise(F.regexp_replace(text, F.concat(F.lit(r"(?s)\A((?:[\x09-\x0D\x20]*+[^\x09-\x0D\x20]++){"), n.cast("string"), F.lit(r"}+).*\z")), F.lit("$1")))
+    words = F.concat(F.lit(r"(?s)\A((?:[\x09-\x0D\x20]*+[^\x09-\x0D\x20]++){"), n.cast("string"), F.lit(r"}+).*\z"))
+    return F.when(n <= 0, F.lit("")).otherwise(F.regexp_replace(text, words, F.lit("$1")))
 
 
 def mixed(docs: DataFrame, weights: DataFrame | None = None, budget: int | None = None, seed: int = 0) -> DataFrame:
-    """The mix itself, in the columns of ``docs``: each document as often as it is taken, the last copy cut after its last word taken, in the order of virtual finish times."""
-    # Rows of one key have the same id, source and text, so any of them may take any of the key's shares, but each takes one.
-    parts = [x for c in ("doc_id", "source", "text") for x in (F.col(c).isNull(), F.col(c).cast("string"))]
-    own = docs.withColumns({"__a": F.xxhash64(F.lit(1), *parts), "__b": F.xxhash64(F.lit(2), *parts), "__n": word_count(F.col("text").cast("string"))})
-    shares = queues(own, weights, budget, seed, ("__a", "__b")).withColumn("__taken", taken(F.col("target"), F.col("source_size"), F.col("before"), F.col("size"))).filter("size > 0")
-    share = F.struct("before", F.col("__taken").alias("taken"), "source_size", "target")
-    shares = shares.groupBy("__a", "__b").agg(F.array_sort(F.collect_list(share)).alias("__shares")).filter(F.exists("__shares", lambda s: s["taken"] > 0))
-    turn = F.row_number().over(Window.partitionBy("__a", "__b").orderBy(F.xxhash64(*[F.col(c).cast("string") for c in docs.columns])))
-    rows = own.withColumn("__turn", turn).join(shares, ["__a", "__b"]).withColumn("__share", F.element_at("__shares", F.col("__turn"))).drop("__shares")
-    size, each, field = F.col("__n"), F.col("__share.taken"), lambda c: F.col(f"__share.{c}")
-    rows = rows.filter(each > 0).withColumn("__pass", F.explode(F.sequence(F.lit(0), (F.ceil(each / size) - 1).cast("int"))))
-    words = F.least(size, each - F.col("__pass") * size)
-    finish = (field("before") + F.col("__pass") * field("source_size") + words) / field("target")
-    text = F.when(words < size, first_words(F.col("text"), words)).otherwise(F.col("text"))
-    return rows.withColumn("__finish", finish).withColumn("text", text).repartitionByRange("__finish", "doc_id").sortWithinPartitions("__finish", "doc_id").select(*docs.columns)
+    """The mix itself, in the columns of ``docs``: each document as often as it is taken, range-sorted by virtual finish time.
+
+    A copy in service at the end is cut after its last word served.
+    """
+    found = copies(_queued(docs, seed), queues(docs, weights, budget, seed))
+    rows = found.withColumn("__c", F.explode("__copies")).drop("__copies")
+    words = F.col("__c.words")
+    rows = rows.withColumn("text", F.when(words < F.col("__size"), first_words(F.col("text"), words)).otherwise(F.col("text")))
+    rows = rows.select(*docs.columns, F.col("__c.finish").alias("__finish"), F.col("__source"), F.col("__before"))
+    by = ("__finish", "__source", "__before")
+    return rows.repartitionByRange(*by).sortWithinPartitions(*by).select(*docs.columns)

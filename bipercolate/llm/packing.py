@@ -161,12 +161,14 @@ def slots(plan: list[tuple[int, dict[int, int]]], sizes: np.ndarray) -> list[tup
 def assign(cuts: DataFrame, capacity: int = 2048, unit: int = 16, buckets: int = 1024) -> DataFrame:
     """Add sequence_id and offset to pieces. ``cuts`` should be materialised: it is read twice."""
     spark = cuts.sparkSession
-    rows = cuts.withColumn("__class", F.ceil(F.col("length") / unit).cast("int")).withColumn("__hash", F.xxhash64("doc_id", "start"))
+    rows = cuts.withColumn("__class", F.ceil(F.col("length") / unit).cast("int")).withColumn("__hash", F.xxhash64("doc_id", "start", "ids_crc32", "length"))
     histogram = sorted((r[0], r[1]) for r in rows.groupBy("__class").count().collect())  # at most capacity / unit rows
     sizes, demand = np.array([x for x, _ in histogram], int), np.array([x for _, x in histogram], int)
     table = slots(rounded(sizes, demand, capacity // unit), sizes)
     patterns = spark.createDataFrame(table, "c int, lo long, hi long, each long, first long")  # bounded by classes times patterns
-    ranked = running_total(rows.withColumn("__one", F.lit(1)), ["__class"], [F.col("__hash"), F.col("doc_id"), F.col("start")], "__one", F.pmod("__hash", F.lit(buckets)), "__rank")
+    order = [F.col("__hash"), F.col("doc_id"), F.col("start"), F.col("length"), F.col("ids_crc32")]
+    top_bits = F.shiftright("__hash", 64 - (buckets - 1).bit_length())
+    ranked = running_total(rows.withColumn("__one", F.lit(1)), ["__class"], order, "__one", top_bits, "__rank")
     placed = ranked.join(F.broadcast(patterns), (F.col("__class") == F.col("c")) & (F.col("__rank") >= F.col("lo")) & (F.col("__rank") < F.col("hi")))
     placed = placed.withColumn("sequence_id", (F.col("first") + F.floor((F.col("__rank") - F.col("lo")) / F.col("each"))).cast("long"))
     inside = Window.partitionBy("sequence_id").orderBy(F.desc("__class"), "__rank").rowsBetween(Window.unboundedPreceding, -1)
