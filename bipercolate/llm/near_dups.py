@@ -38,6 +38,8 @@ SAMPLES, BAND, SKETCH_BITS, MOST_BITS_APART = 128, 4, 512, 107
 SIGNATURE = "doc_id long, n_shingles long, digest_a long, digest_b long, bands array<long>, sketch array<long>"
 #: Members up to which a band's pairs are joined one by one, and members of a block in larger ones.
 PAIRWISE, BLOCK = 48, 1024
+#: Bytes of shingle sets that one part of a hub's pairs, or one block, holds (about; one set may be larger).
+GROUP_BYTES = 4 << 20
 _LOWER = bytes(x + 32 if 65 <= x <= 90 else x for x in range(256))
 _U64 = np.uint64
 _SPREAD = _U64(0x9E3779B97F4A7C15)  # 2^64 over the golden ratio, an odd multiplier
@@ -129,31 +131,57 @@ def _set_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(start, len(texts)), sets], ["doc_id", "shingles"])
 
 
+def _similar(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    both = np.concatenate((x, y))
+    both.sort()
+    common = int((both[1:] == both[:-1]).sum())
+    return 100 * common >= percent * (len(both) - common)
+
+
 def _confirmer(percent: int):
+    """For mapInArrow over rows sorted by hub: the hub's own row (b is null) comes before the rows of its pairs."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hub, own = None, np.empty(0, _U64)
         for batch in batches:
-            a, b = batch.column("set_a"), batch.column("set_b")
+            a, b, sets = batch.column("a").to_pylist(), batch.column("b").to_pylist(), batch.column("shingles")
             keep = []
             for k in range(batch.num_rows):
-                x, y = np.frombuffer(a[k].as_buffer(), _U64), np.frombuffer(b[k].as_buffer(), _U64)
-                both = np.concatenate((x, y))
-                both.sort()
-                common = int((both[1:] == both[:-1]).sum())
-                keep.append(100 * common >= percent * (len(both) - common))
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
+                this = np.frombuffer(sets[k].as_buffer(), _U64)
+                if b[k] is None:
+                    hub, own = a[k], this.copy()
+                elif a[k] != hub:
+                    raise ValueError(f"the shingles of {a[k]} are missing")
+                elif _similar(own, this, percent):
+                    keep.append(k)
+            yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
 
     return run
 
 
+def _sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """``[doc_id, shingles]`` of some ids, one row each."""
+    texts = ids_semi(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), ids, "doc_id")
+    return texts.mapInArrow(_set_rows, "doc_id long, shingles binary").groupBy("doc_id").agg(F.first("shingles").alias("shingles"))
+
+
 def confirmed(pairs: DataFrame, docs: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """Pairs (a, b) of doc_ids whose whole shingle sets are similar enough. Only texts of paired documents move."""
+    """Pairs (a, b) of doc_ids whose whole shingle sets are similar enough. Only texts of paired documents move.
+
+    Each pair carries the set of b; that of a is sent once for every ``GROUP_BYTES`` of its pairs, so that the hub of a
+    large group of copies costs a few rows, and its pairs lie in as many parts.
+    """
     pairs = cut(pairs)
     ids = cut(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct())
-    texts = ids_semi(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), ids, "doc_id").mapInArrow(_set_rows, "doc_id long, shingles binary")
-    sets = cut(texts.groupBy("doc_id").agg(F.first("shingles").alias("shingles")))
-    left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("set_a"))
-    right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("set_b"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "set_a", "set_b").mapInArrow(_confirmer(percent), "a long, b long")
+    sets = cut(_sets(docs, ids))
+    sized = pairs.join(sets.select(F.col("doc_id").alias("b"), F.octet_length("shingles").alias("n")), "b")
+    parts = cut(sized.groupBy("a").agg(F.ceil((F.sum("n") + 1) / GROUP_BYTES).cast("int").alias("parts")))
+    mine = pairs.join(parts, "a").select("a", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int").alias("part"), "b")
+    rows = mine.join(sets.withColumnRenamed("doc_id", "b"), "b").select("a", "part", "b", "shingles")
+    hubs = parts.select("a", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")).join(sets.withColumnRenamed("doc_id", "a"), "a")
+    rows = rows.union(hubs.select("a", "part", F.lit(None).cast("long").alias("b"), "shingles"))
+    together = rows.repartition("a", "part").sortWithinPartitions("a", "part", F.asc_nulls_first("b"))
+    return together.select("a", "b", "shingles").mapInArrow(_confirmer(percent), "a long, b long")
 
 
 def _block_links(percent: int):
@@ -178,26 +206,26 @@ def _block_links(percent: int):
             others = others[(label[others] != label[x]) & (np.minimum(size[others], size[x]) * 100 >= np.maximum(size[others], size[x]) * percent)]
             others = others[np.bitwise_count(sketches[others] ^ sketches[x]).sum(axis=1) <= MOST_BITS_APART]
             for y in others:
-                if earlier[x].isdisjoint(earlier[y]):
-                    both = np.concatenate((sets[x], sets[y]))
-                    both.sort()
-                    common = int((both[1:] == both[:-1]).sum())
-                    if 100 * common >= percent * (len(both) - common):
-                        links.append((min(node[x], node[y]), max(node[x], node[y])))
+                if earlier[x].isdisjoint(earlier[y]) and _similar(sets[x], sets[y], percent):
+                    links.append((min(node[x], node[y]), max(node[x], node[y])))
         return pa.table({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())})
 
     return run
 
 
 def _in_blocks(rest: DataFrame, light: DataFrame, docs: DataFrame, percent: int) -> DataFrame:
-    """Links within large bands (band, node, label, n): nodes are dealt to blocks of about BLOCK, and each pair of blocks is one bounded group."""
+    """Links within large bands (band, node, label, n): nodes are dealt to blocks, and each pair of blocks is one bounded group.
+
+    A block has about BLOCK members, or fewer where they have more than GROUP_BYTES of shingles.
+    """
     own = rest.groupBy("node", "label").agg(F.array_sort(F.collect_list("band")).alias("bands"))  # at most one per band of the signature
     ids = cut(own.select(F.col("node").alias("doc_id")))
-    texts = ids_semi(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), ids, "doc_id").mapInArrow(_set_rows, "doc_id long, shingles binary")
-    sets = texts.groupBy(F.col("doc_id").alias("node")).agg(F.first("shingles").alias("shingles"))
-    full = cut(own.join(sets, "node").join(light, "node"))
-    dealt = rest.select("band", "node", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    with_blocks = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("band", "node", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    full = cut(own.join(_sets(docs, ids).withColumnRenamed("doc_id", "node"), "node").join(light, "node"))
+    sizes = rest.join(light.select("node", "n_shingles"), "node").groupBy("band").agg(F.count("*").alias("n"), (F.sum("n_shingles") * 8).alias("bytes"))
+    blocks = sizes.select("band", F.ceil(F.greatest(F.col("n") / BLOCK, F.col("bytes") / GROUP_BYTES)).cast("int").alias("blocks"))
+    dealt = rest.join(blocks, "band").select("band", "node", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
+    with_blocks = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    with_blocks = with_blocks.select("band", "node", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
     return with_blocks.join(full, "node").groupBy("band", "i", "j").applyInArrow(_block_links(percent), "a long, b long")
 
 

@@ -11,13 +11,14 @@ import os
 import re
 import unicodedata
 from array import array
-from functools import cache
 
 import public_tokenizers
 import regex
 
-#: Chunks that a worker keeps at most; then it starts anew.
-MOST_CHUNKS = 300_000
+#: Bytes that a table of chunks may take in a worker; then it starts anew. Longer chunks are not kept.
+MOST_BYTES, LONGEST = 36 << 20, 4096
+#: Bytes of an entry beside its characters and ids: two objects and a place in the table.
+ENTRY = 150
 #: White space that is no ASCII white space (fixed values of the Unicode standard, with U+001C-U+001F).
 _OTHER_SPACE = re.compile("[\x1c-\x1f\x85\xa0  -     　]")
 _ANY_SPACE = re.compile(r"\s")
@@ -47,22 +48,37 @@ def _byte_letters() -> str:
     return "".join(chr(x if x in prints else next(rest)) for x in range(256))
 
 
-class PreTokens(dict):
+class Bounded(dict):
+    """A table that forgets everything when its entries take more than ``most`` bytes."""
+
+    def __init__(self, most: int) -> None:
+        super().__init__()
+        self.most = self.room = most
+
+    def keep(self, key: str | bytes, found: bytes | None) -> bytes | None:
+        size = len(key) + len(found or b"")
+        if size <= LONGEST:
+            self.room -= ENTRY + size
+            if self.room < 0:
+                self.clear()
+                self.room = self.most
+            self[key] = found
+        return found
+
+
+class PreTokens(Bounded):
     """Packed ids of a pre-token, from the library's model when first asked for."""
 
     def __init__(self, model, most: int) -> None:
-        super().__init__()
-        self.model, self.most, self.letters = model, most, _byte_letters()
+        super().__init__(most)
+        self.model, self.letters = model, _byte_letters()
 
     def __missing__(self, pre_token: str) -> bytes:
-        if len(self) >= self.most:
-            self.clear()
         spelled = pre_token if pre_token.isascii() and pre_token.isalpha() else pre_token.encode().decode("latin-1").translate(self.letters)
-        self[pre_token] = found = array("I", [x.id for x in self.model.tokenize(spelled)]).tobytes()
-        return found
+        return self.keep(pre_token, array("I", [x.id for x in self.model.tokenize(spelled)]).tobytes())
 
 
-class Chunks(dict):
+class Chunks(Bounded):
     """Packed ids of a chunk, found when first asked for; None where its ids depend on what stands around it.
 
     A chunk of characters below U+0250, whose classes and lower case no Unicode version changes, is cut into pre-tokens
@@ -70,17 +86,14 @@ class Chunks(dict):
     any kind makes a chunk None (True), only space that isn't ASCII (False), or none does (None).
     """
 
-    def __init__(self, tokenizer, pattern: str, fold=None, whole: bool | None = None, prefix: str = "", known: PreTokens | None = None, most: int = MOST_CHUNKS) -> None:
-        super().__init__()
-        self.tokenizer, self.fold, self.whole, self.prefix, self.most = tokenizer, fold, whole, prefix, most
+    def __init__(self, tokenizer, pattern: str, fold=None, whole: bool | None = None, prefix: str = "", known: PreTokens | None = None, most: int = MOST_BYTES) -> None:
+        super().__init__(most)
+        self.tokenizer, self.fold, self.whole, self.prefix = tokenizer, fold, whole, prefix
         self.cut = regex.compile(pattern).findall
         self.known = PreTokens(tokenizer.model, most) if known is None else known
 
     def __missing__(self, chunk: bytes) -> bytes | None:
-        if len(self) >= self.most:
-            self.clear()
-        self[chunk] = found = self.ids(chunk.decode("utf-8", "replace"))
-        return found
+        return self.keep(chunk, self.ids(chunk.decode("utf-8", "replace")))
 
     def ids(self, text: str) -> bytes | None:
         if self.whole and text.split() != [text] or self.whole is False and _OTHER_SPACE.search(text):
@@ -103,9 +116,9 @@ class ByteEncoder:
     def __init__(self, path: str) -> None:
         self.library = _library(path)
         cut = public_tokenizers.PATTERN
-        self.later = Chunks(self.library, cut, whole=True, prefix=" ", most=2 * MOST_CHUNKS)
-        self.first = Chunks(self.library, cut, whole=True, known=self.later.known)
-        self.rare = Chunks(self.library, cut, whole=False, known=self.later.known)
+        self.later = Chunks(self.library, cut, whole=True, prefix=" ", known=PreTokens(self.library.model, MOST_BYTES), most=3 * MOST_BYTES)
+        self.first = Chunks(self.library, cut, whole=True, known=self.later.known, most=MOST_BYTES // 4)
+        self.rare = Chunks(self.library, cut, whole=False, known=self.later.known, most=MOST_BYTES // 4)
         self.newline = _packed(self.library.encode("\n", add_special_tokens=False).ids)
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
@@ -147,37 +160,42 @@ class WordEncoder:
         return [b"".join(map(ids, x.split())) for x in texts]
 
 
-class Pieces(dict):
+class Pieces(Bounded):
     """Packed SentencePiece ids of a word, found when first asked for."""
 
-    def __init__(self, path: str, most: int = MOST_CHUNKS) -> None:
+    def __init__(self, path: str, most: int = MOST_BYTES) -> None:
         import sentencepiece
 
-        super().__init__()
-        self.model, self.most = sentencepiece.SentencePieceProcessor(model_file=path), most
+        super().__init__(most)
+        self.model = sentencepiece.SentencePieceProcessor(model_file=path)
         self.byte_ids = [i for i in range(self.model.get_piece_size()) if self.model.is_byte(i)]
         self.encode = self.model.encode
 
     def __missing__(self, word: bytes) -> bytes:
-        if len(self) >= self.most:
-            self.clear()
-        self[word] = found = _packed(self.encode(word.decode("utf-8", "replace")))
-        return found
+        return self.keep(word, _packed(self.encode(word.decode("utf-8", "replace"))))
+
+
+#: The encoder that a worker used last. Workers outlive stages, so another kind of encoder replaces it.
+_last: dict[tuple, object] = {}
+
+
+def _encoder(kind, path: str):
+    if (kind, path) not in _last:
+        _last.clear()
+        _last[kind, path] = kind(path)
+    return _last[kind, path]
 
 
-@cache
 def byte_encoder(path: str) -> ByteEncoder:
-    return ByteEncoder(path)
+    return _encoder(ByteEncoder, path)
 
 
-@cache
 def word_encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
+    return _encoder(WordEncoder, path)
 
 
-@cache
 def pieces(path: str) -> Pieces:
-    return Pieces(path)
+    return _encoder(Pieces, path)
 
 
 def vocabulary(name: str) -> str:
