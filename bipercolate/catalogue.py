@@ -17,7 +17,7 @@ from bipercolate.communities import METHODS, detect
 from bipercolate.components import FEW_LINKS, connected
 from bipercolate.graph import Encoded, encode
 from bipercolate.operators import relational
-from bipercolate.sources.workloads import GRAPHS, SQL
+from bipercolate.sources.workloads import ALPHAS, BETAS, GRAPHS, SQL
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -396,15 +396,76 @@ def core_sql(g: str, a: int, b: int) -> str:
 SELECT u, v FROM (SELECT x.u, x.v, count(*) OVER (PARTITION BY x.u) AS du, count(*) OVER (PARTITION BY x.v) AS dv FROM t) WHERE du >= {a} AND dv >= {b}"""
 
 
-for g, a, b in (("user_day", 6, 20), ("vec_dim", 3, 10)):
+def bitruss_sql(k: int, rounds: int = 8) -> str:
+    """Peeling unrolled: rounds beyond the last that drops an edge change nothing."""
+    one = """k{j} AS MATERIALIZED (SELECT w.u, w.v FROM (SELECT x.u, y.u AS w, x.v FROM k{i} x JOIN k{i} y ON x.v = y.v AND x.u <> y.u) w
+    JOIN (SELECT x.u, y.u AS w, count(*) AS n FROM k{i} x JOIN k{i} y ON x.v = y.v AND x.u <> y.u GROUP BY 1, 2) c ON c.u = w.u AND c.w = w.w GROUP BY 1, 2 HAVING sum(n - 1) >= {k})"""
+    return ", ".join(["k0 AS (SELECT u, v FROM e)", *(one.format(i=i, j=i + 1, k=k) for i in range(rounds))]) + f", bitruss AS (SELECT u, v FROM k{rounds})"
+
+
+def unrolled_core_sql(a: int, b: int, rounds: int = 12) -> str:
+    one = "c{j} AS MATERIALIZED (SELECT u, v FROM (SELECT u, v, count(*) OVER (PARTITION BY u) AS du, count(*) OVER (PARTITION BY v) AS dv FROM c{i}) WHERE du >= {a} AND dv >= {b})"
+    return ", ".join(["c0 AS (SELECT u, v FROM e)", *(one.format(i=i, j=i + 1, a=a, b=b) for i in range(rounds))]) + f", core AS (SELECT u, v FROM c{rounds})"
+
+
+def around_sql(edges: str) -> str:
+    """The vertices of the component of ``edges`` that holds the query vertex; nothing if it is not there."""
+    both = f"(SELECT 'u:' || u AS a, 'v:' || v AS b FROM {edges} UNION ALL SELECT 'v:' || v, 'u:' || u FROM {edges})"
+    return f"in_{edges}(x) AS (SELECT DISTINCT 'u:' || u FROM {edges} JOIN query ON u = q UNION SELECT n.b FROM in_{edges} r JOIN {both} n ON n.a = r.x)"
+
+
+def case_study_sql(g: str, a: int, b: int, k: int) -> str:
+    models = {"communities": "in_communities", "bitruss": "in_bitruss", "core": "in_core", "maximum_biclique": "in_best"}
+    rows = " UNION ALL ".join(
+        f"SELECT '{m}' AS model, (SELECT count(*) FROM {t}) AS vertices, (SELECT count(*) FROM {t} WHERE x IN (SELECT x FROM in_communities)) AS shared, (SELECT count(*) FROM in_communities) AS theirs"
+        for m, t in models.items()
+    )
+    return f"""WITH RECURSIVE {edges_sql(g)}, {BICLIQUES_SQL}, {overlap_sql(a, b)}, {COMPONENTS_SQL},
+top AS (SELECT least FROM label GROUP BY 1 ORDER BY count(*) DESC, least LIMIT 1),
+query AS MATERIALIZED (SELECT min(list_min(x)) AS q FROM label JOIN b ON item = biclique JOIN top USING (least)),
+mine AS (SELECT DISTINCT least FROM label JOIN b ON item = biclique JOIN query ON list_contains(x, q)),
+members AS (SELECT x, y FROM label JOIN mine USING (least) JOIN b ON item = biclique),
+in_communities(x) AS MATERIALIZED (SELECT DISTINCT 'u:' || unnest(x) FROM members UNION SELECT 'v:' || unnest(y) FROM members),
+best AS (SELECT x, y FROM q JOIN query ON list_contains(x, query.q) ORDER BY len(x) * len(y) DESC, biclique LIMIT 1),
+in_best(x) AS (SELECT 'u:' || unnest(x) FROM best UNION SELECT 'v:' || unnest(y) FROM best),
+{bitruss_sql(k)}, {unrolled_core_sql(b, a)}, {around_sql("bitruss")}, {around_sql("core")}
+SELECT model, vertices, shared, vertices = shared AS inside, theirs = shared AS holds FROM ({rows})"""
+
+
+for g, a, b in (("user_day", 6, 10), ("vec_dim", 3, 10), ("cust_brand", 7, 10)):
     add(f"core_{g}_{a}_{b}", lambda s, d, g=g, a=a, b=b: cohesive.core(texts(GRAPHS[g](s, d)), a, b), core_sql(g, a, b))
 
 BUTTERFLIES_SQL = "SELECT e.u, e.v, coalesce(sum(c.n - 1), 0)::BIGINT AS butterflies FROM e LEFT JOIN (SELECT x.u, x.v, y.u AS w FROM e x JOIN e y ON x.v = y.v AND x.u <> y.u) k ON k.u = e.u AND k.v = e.v LEFT JOIN (SELECT x.u, y.u AS w, count(*) AS n FROM e x JOIN e y ON x.v = y.v AND x.u <> y.u GROUP BY 1, 2) c ON c.u = k.u AND c.w = k.w GROUP BY 1, 2"
 add("butterflies_per_edge", lambda s, d: cohesive.butterflies(texts(GRAPHS["user_day"](s, d))), f"WITH {edges_sql('user_day')} {BUTTERFLIES_SQL}")
 add("butterfly_total", lambda s, d: cohesive.butterfly_total(texts(GRAPHS["cust_quarter"](s, d))), f"WITH {edges_sql('cust_quarter')} SELECT (sum(butterflies) / 4)::BIGINT AS butterflies FROM ({BUTTERFLIES_SQL})")
-add("bitruss_user_day_6", lambda s, d: cohesive.bitruss(texts(GRAPHS["user_day"](s, d)), 6))
-add("case_study_user_day_3_3", lambda s, d: measures.case_study(texts(GRAPHS["user_day"](s, d)), 3, 3, 6))
-add("case_study_cust_brand_3_3", lambda s, d: measures.case_study(texts(GRAPHS["cust_brand"](s, d)), 3, 3, 6))
+for g in ("user_day", "cust_brand"):
+    add(f"bitruss_{g}_6", lambda s, d, g=g: cohesive.bitruss(texts(GRAPHS[g](s, d)), 6), f"WITH {edges_sql(g)}, {bitruss_sql(6)} SELECT u, v FROM bitruss")
+    add(f"case_study_{g}_3_3", lambda s, d, g=g: measures.case_study(texts(GRAPHS[g](s, d)), 3, 3, 6), case_study_sql(g, 3, 3, 6))
+
+
+def around(spark: SparkSession, d: str) -> DataFrame:
+    """The component around the least page that links somewhere."""
+    return cohesive.component_of(texts(GRAPHS["page_link"](spark, d)), "u", "1")
+
+
+add("component_around_page", around, f"WITH RECURSIVE {edges_sql('page_link')}, query AS (SELECT '1' AS q), {around_sql('e')} SELECT x[1:1] AS side, x[3:] AS vertex FROM in_e")
+
+
+def swept(spark: SparkSession, d: str) -> DataFrame:
+    """The grid of thresholds over one enumeration: communities of each."""
+    rows = []
+    for (a, b, method), found in communities.sweep(encoded("nation_brand", spark, d), ALPHAS, BETAS, ("listing_seeded",)).items():
+        rows.append((a, b, method, found.bicliques.count(), found.labels.select("label").distinct().count()))
+    return spark.createDataFrame(rows, "alpha long, beta long, method string, qualified long, communities long")
+
+
+def swept_sql(g: str) -> str:
+    one = "SELECT {a} AS alpha, {b} AS beta, count(*) AS qualified, count(DISTINCT least) AS communities FROM label"
+    parts = [f"SELECT * FROM (WITH RECURSIVE {edges_sql(g)}, {BICLIQUES_SQL}, {overlap_sql(a, b)}, {COMPONENTS_SQL} {one.format(a=a, b=b)})" for a in ALPHAS for b in BETAS]
+    return f"SELECT alpha, beta, method, qualified, communities FROM ({' UNION ALL '.join(parts)}), (SELECT 'listing_seeded' AS method)"
+
+
+add("sweep_nation_brand", swept, swept_sql("nation_brand"))
 
 # ---- relational operators around the methods -----------------------------------------------------------------------
 

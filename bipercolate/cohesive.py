@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from bipercolate.checkpoints import cut
 from bipercolate.components import FEW_LINKS, connected
+from bipercolate.graph import cheaper_side, swapped
 
 
 def core(edges: DataFrame, a: int, b: int, most_rounds: int = 200) -> DataFrame:
@@ -25,8 +26,10 @@ def core(edges: DataFrame, a: int, b: int, most_rounds: int = 200) -> DataFrame:
     raise RuntimeError(f"the core did not settle in {most_rounds} rounds")
 
 
-def butterflies(edges: DataFrame) -> DataFrame:
-    """``[u, v, butterflies]``: 2 x 2 bicliques that hold each edge, by the numbers of common neighbours of left pairs."""
+def butterflies(edges: DataFrame, side: str = "cheaper") -> DataFrame:
+    """``[u, v, butterflies]``: 2 x 2 bicliques that hold each edge, by the numbers of common neighbours of pairs on one ``side``."""
+    if (cheaper_side(edges) if side == "cheaper" else side) == "v":
+        return butterflies(swapped(edges), "u").select(F.col("v").alias("u"), F.col("u").alias("v"), "butterflies")
     other = edges.select(F.col("u").alias("w"), "v")
     wedges = edges.join(other, "v").filter("u <> w").select("u", "w", "v")
     common = wedges.groupBy("u", "w").agg(F.count("*").alias("c")).filter("c > 1")
@@ -34,17 +37,19 @@ def butterflies(edges: DataFrame) -> DataFrame:
     return edges.select("u", "v").join(support, ["u", "v"], "left").select("u", "v", F.coalesce("butterflies", F.lit(0)).cast("long").alias("butterflies"))
 
 
-def butterfly_total(edges: DataFrame) -> DataFrame:
-    """One row: each butterfly has four edges."""
-    return butterflies(edges).agg((F.coalesce(F.sum("butterflies"), F.lit(0)) / 4).cast("long").alias("butterflies"))
+def butterfly_total(edges: DataFrame, side: str = "cheaper") -> DataFrame:
+    """One row: c common neighbours of a pair on one ``side`` make c over 2 butterflies."""
+    own = swapped(edges) if (cheaper_side(edges) if side == "cheaper" else side) == "v" else edges
+    pairs = own.join(own.select(F.col("u").alias("w"), "v"), "v").filter("u < w").groupBy("u", "w").agg(F.count("*").alias("c"))
+    return pairs.agg(F.coalesce(F.sum(F.expr("c * (c - 1) div 2")), F.lit(0)).cast("long").alias("butterflies"))
 
 
 def bitruss(edges: DataFrame, k: int, most_rounds: int = 500) -> DataFrame:
     """The largest subgraph whose edges each lie in at least k of its butterflies."""
     now = cut(edges.select("u", "v"))
-    n = now.count()
+    n, side = now.count(), cheaper_side(now)
     for _ in range(most_rounds):
-        now = cut(butterflies(now).filter(F.col("butterflies") >= k).select("u", "v"))
+        now = cut(butterflies(now, side).filter(F.col("butterflies") >= k).select("u", "v"))
         m = now.count()
         if m == n:
             return now

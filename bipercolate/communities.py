@@ -6,12 +6,13 @@ share that many on both sides. Communities may share vertices; a biclique linked
 
 from __future__ import annotations
 
+from collections.abc import Iterable
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bipercolate import listing, maxbiclique, overlap, partial
+from bipercolate import cohesive, listing, maxbiclique, overlap, partial, tree
 from bipercolate.checkpoints import cut
 from bipercolate.components import FEW_LINKS, merge
 from bipercolate.graph import Encoded, check_thresholds, encode, simple_edges
@@ -102,13 +103,15 @@ def detect(edges: DataFrame | Encoded, alpha: int, beta: int, method: str = "lis
     return Communities(graph, good, cut(labels), alpha, beta, method, groups, metrics)
 
 
-def sweep(edges: DataFrame, alphas: list[int], betas: list[int], methods: tuple[str, ...] = METHODS) -> dict[tuple[int, int, str], Communities]:
-    """All combinations over one encoding; bicliques are enumerated once per (alpha, beta), whose seeds they carry."""
+def sweep(edges: DataFrame | Encoded, alphas: Iterable[int], betas: Iterable[int], methods: Iterable[str] = METHODS) -> dict[tuple[int, int, str], Communities]:
+    """All combinations over one encoding and one enumeration: the tree's table holds the seeds of any thresholds."""
     graph = edges if isinstance(edges, Encoded) else encode(simple_edges(edges))
+    sizes = [(a, b) for a in alphas for b in betas]
+    core = cohesive.core(graph.edges, min(b for _, b in sizes), min(a for a, _ in sizes))
+    nodes = cut(tree.build(core))
     out = {}
-    for a in alphas:
-        for b in betas:
-            found = maxbiclique.enumerate_bicliques(graph.edges, a, b, qualified_only=True)
-            for method in methods:
-                out[a, b, method] = detect(graph, a, b, method, enumeration=found)
+    for a, b in sizes:
+        found = tree.enumeration_at(nodes, a, b)
+        for method in methods:
+            out[a, b, method] = detect(graph, a, b, method, enumeration=found)
     return out

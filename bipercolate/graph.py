@@ -104,6 +104,12 @@ def swapped(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("v").alias("u"), F.col("u").alias("v"))
 
 
+def cheaper_side(edges: DataFrame) -> str:
+    """The side whose 2-hop join is smaller: pairs of left vertices come from the neighbours of each right vertex."""
+    squares = lambda side: edges.groupBy(side).agg(F.count("*").alias("d")).agg(F.coalesce(F.sum(F.col("d") * F.col("d")), F.lit(0))).first()[0]
+    return "u" if squares("v") <= squares("u") else "v"
+
+
 def stats(edges: DataFrame) -> DataFrame:
     """One row: vertices of either side, edges, mean degrees."""
     return edges.agg(F.countDistinct("u").alias("n_u"), F.countDistinct("v").alias("n_v"), F.count("*").alias("n_edges")).withColumns({"mean_degree_u": F.col("n_edges") / F.col("n_u"), "mean_degree_v": F.col("n_edges") / F.col("n_v")})

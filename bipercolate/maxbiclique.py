@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from bipercolate import cohesive
 from bipercolate.checkpoints import cut
-from bipercolate.graph import adjacency, check_thresholds, swapped
+from bipercolate.graph import adjacency, cheaper_side, check_thresholds, swapped
 from bipercolate.local_solver import Ego, enumerate_root
 
 LEAVES = "kind string, root long, part int, seed long, x array<long>, y array<long>, nodes long"
@@ -98,23 +98,76 @@ def root_sizes(edges: DataFrame) -> DataFrame:
     return edges.join(degrees, "v").groupBy("u").agg(F.sum("d").alias("pairs"))
 
 
+_NONE = "array<long>"
+
+
+def _measured(open_: DataFrame, both: DataFrame) -> DataFrame:
+    """Open nodes with ``p`` (the pivot: fewest non-neighbours, excluded before candidates, left before right, least vertex),
+    ``full_u``, ``full_v`` (candidates adjacent to all opposite ones), ``dead`` (an excluded one is) and ``out`` (excluded ones with their non-neighbours)."""
+    groups = [F.struct(F.lit(s).alias("side"), F.lit(e).alias("excluded"), F.col(c).alias("vs")) for s, e, c in (("u", 0, "c_u"), ("u", 1, "x_u"), ("v", 0, "c_v"), ("v", 1, "x_v"))]
+    mine = F.filter(F.array(*groups), lambda g: F.size(g["vs"]) > 0)
+    vertices = open_.select("node", "c_u", "c_v", F.explode(mine).alias("g")).select("node", "c_u", "c_v", "g.side", "g.excluded", F.explode("g.vs").alias("vertex"))
+    missing = F.array_except(F.when(F.col("side") == "u", F.col("c_v")).otherwise(F.col("c_u")), "nbrs")
+    rows = vertices.join(both, ["side", "vertex"]).withColumn("missing", F.array_sort(missing)).withColumn("n", F.size("missing"))
+    full = lambda side: F.array_sort(F.collect_list(F.when((F.col("n") == 0) & (F.col("excluded") == 0) & (F.col("side") == side), F.col("vertex"))))
+    found = rows.groupBy("node").agg(
+        F.min(F.struct("n", (1 - F.col("excluded")).alias("kept"), "side", "vertex", "missing")).alias("p"), full("u").alias("full_u"), full("v").alias("full_v"),
+        F.max((F.col("n") == 0) & (F.col("excluded") == 1)).alias("dead"), F.collect_list(F.when(F.col("excluded") == 1, F.struct("side", "vertex", "missing"))).alias("out"),
+    )
+    return open_.join(found, "node")
+
+
+def _forced(level: DataFrame, alpha: int, beta: int) -> DataFrame:
+    """The one child that takes all forced candidates at once, with the seed (``s_u``, ``s_v``) where the chain of them first reaches both sizes."""
+    left = lambda side, other: F.transform(
+        F.filter("out", lambda o: (o["side"] == side) & (F.size(F.array_intersect(o["missing"], F.col(f"full_{other}"))) == 0)), lambda o: o["vertex"])
+    more_u, more_v = F.concat("r_u", "full_u"), F.concat("r_v", "full_v")
+    crosses = F.col("seed_id").isNull() & (F.size(more_u) >= alpha) & (F.size(more_v) >= beta)
+    on_left = F.size("r_v") >= beta
+    s_u = F.when(on_left, F.concat("r_u", F.slice("full_u", F.lit(1), F.greatest(alpha - F.size("r_u"), F.lit(0))))).otherwise(more_u)
+    s_v = F.when(on_left, F.col("r_v")).otherwise(F.concat("r_v", F.slice("full_v", F.lit(1), F.greatest(beta - F.size("r_v"), F.lit(0)))))
+    return level.select(
+        more_u.alias("r_u"), more_v.alias("r_v"), F.array_except("c_u", "full_u").alias("c_u"), F.array_except("c_v", "full_v").alias("c_v"), left("u", "v").alias("x_u"), left("v", "u").alias("x_v"),
+        "seed_id", crosses.alias("new"), s_u.alias("s_u"), s_v.alias("s_v"), (F.size("full_u") + F.size("full_v") - 1).alias("passed"),
+    )
+
+
+def _branched(level: DataFrame, both: DataFrame) -> DataFrame:
+    """The children by the pivot and its non-neighbours, each knowing which siblings come before it."""
+    none = F.array().cast(_NONE)
+    own = F.when(F.col("p.kept") == 1, F.array(F.struct(F.col("p.side").alias("side"), F.col("p.vertex").alias("vertex")))).otherwise(F.array().cast("array<struct<side:string,vertex:bigint>>"))
+    others = F.transform("p.missing", lambda w: F.struct(F.when(F.col("p.side") == "u", "v").otherwise("u").alias("side"), w.alias("vertex")))
+    kids = level.withColumn("branches", F.concat(own, others)).select("*", F.posexplode("branches").alias("at", "b"))
+    sibling = lambda side: F.transform(F.filter(F.slice("branches", 1, F.col("at")), lambda s: s["side"] == side), lambda s: s["vertex"])
+    chosen = lambda side: F.when(F.col("b.side") == side, F.array("b.vertex")).otherwise(none)
+    kids = kids.select(
+        "seed_id", F.col("b.side").alias("side"), F.col("b.vertex").alias("vertex"), F.concat("r_u", chosen("u")).alias("r_u"), F.concat("r_v", chosen("v")).alias("r_v"),
+        F.array_except("c_u", F.concat(sibling("u"), chosen("u"))).alias("c_u"), F.array_except("c_v", F.concat(sibling("v"), chosen("v"))).alias("c_v"),
+        F.concat("x_u", sibling("u")).alias("x_u"), F.concat("x_v", sibling("v")).alias("x_v"),
+    ).join(both, ["side", "vertex"])
+    grown = lambda c, side: F.when(F.col("side") == side, F.col(c)).otherwise(F.array_intersect(c, "nbrs")).alias(c)
+    return kids.select("r_u", "r_v", grown("c_u", "u"), grown("c_v", "v"), grown("x_u", "u"), grown("x_v", "v"), "seed_id")
+
+
 def _frontier(edges: DataFrame, alpha: int, beta: int, most_levels: int = 400, only: DataFrame | None = None) -> tuple[DataFrame, DataFrame, int]:
     """Level by level: all nodes' pivots by joins of their vertices with the adjacency, then all children at once.
 
+    Chains of forced choices are one level, so that the number of levels follows the branchings, not the largest biclique.
     Returns leaves ``[seed_id, x, y]``, seeds ``[seed_id, r_u, r_v]`` and the number of nodes.
     """
     left, right = cut(adjacency(edges, "u")), cut(adjacency(edges, "v"))
+    both = left.withColumn("side", F.lit("u")).union(right.withColumn("side", F.lit("v")))
     hops = neighbourhoods(edges, 1, only).select(F.col("root").alias("vertex"), F.array_sort(F.array_distinct(F.transform("pairs", lambda p: p["w"]))).alias("hop"))
-    none = F.array().cast("array<long>")
+    none = F.array().cast(_NONE)
     level = left.join(hops, "vertex").select(
         F.array("vertex").alias("r_u"), none.alias("r_v"), F.filter("hop", lambda w: w > F.col("vertex")).alias("c_u"), F.col("nbrs").alias("c_v"),
         F.filter("hop", lambda w: w < F.col("vertex")).alias("x_u"), none.alias("x_v"), F.lit(None).cast("string").alias("seed_id"),
     )
     leaves, seeds, nodes = [], [], 0
-    key = lambda: F.sha2(F.concat_ws("|", F.array_join(F.array_sort("r_u"), ","), F.array_join(F.array_sort("r_v"), ",")), 256)
+    key = lambda u, v: F.sha2(F.concat_ws("|", F.array_join(F.array_sort(u), ","), F.array_join(F.array_sort(v), ",")), 256)
     for _ in range(most_levels):
         reached = (F.size("r_u") >= alpha) & (F.size("r_v") >= beta)
-        level = level.withColumn("new", reached & F.col("seed_id").isNull()).withColumn("seed_id", F.when(F.col("new"), key()).otherwise(F.col("seed_id")))
+        level = level.withColumn("new", reached & F.col("seed_id").isNull()).withColumn("seed_id", F.when(F.col("new"), key("r_u", "r_v")).otherwise(F.col("seed_id")))
         level = cut(level.withColumn("node", F.monotonically_increasing_id()))
         n = level.count()
         if not n:
@@ -123,37 +176,19 @@ def _frontier(edges: DataFrame, alpha: int, beta: int, most_levels: int = 400, o
         seeds.append(level.filter("new").select("seed_id", "r_u", "r_v"))
         done = (F.size("c_u") == 0) & (F.size("c_v") == 0)
         leaves.append(level.filter(done & (F.size("x_u") == 0) & (F.size("x_v") == 0) & (F.size("r_v") > 0)).select("seed_id", F.array_sort("r_u").alias("x"), F.array_sort("r_v").alias("y")))
-        open_ = level.filter(~done)
-        mine = F.filter(F.array(*[F.struct(F.lit(s).alias("side"), F.lit(e).alias("excluded"), F.col(c).alias("vs")) for s, e, c in (("u", 0, "c_u"), ("u", 1, "x_u"), ("v", 0, "c_v"), ("v", 1, "x_v"))]), lambda g: F.size(g["vs"]) > 0)
-        vertices = open_.select("node", "c_u", "c_v", F.explode(mine).alias("g")).select("node", "c_u", "c_v", "g.side", "g.excluded", F.explode("g.vs").alias("vertex"))
-        both = left.withColumn("side", F.lit("u")).union(right.withColumn("side", F.lit("v")))
-        missing = F.array_except(F.when(F.col("side") == "u", F.col("c_v")).otherwise(F.col("c_u")), "nbrs")
-        pivots = vertices.join(both, ["side", "vertex"]).withColumn("missing", F.array_sort(missing)).groupBy("node").agg(
-            F.min(F.struct(F.size("missing").alias("n"), (1 - F.col("excluded")).alias("kept"), "side", "vertex", "missing")).alias("p")
-        )
-        branch = F.concat(F.when(F.col("p.kept") == 1, F.array(F.struct(F.col("p.side").alias("side"), F.col("p.vertex").alias("vertex")))).otherwise(F.array().cast("array<struct<side:string,vertex:bigint>>")), F.transform("p.missing", lambda w: F.struct(F.when(F.col("p.side") == "u", "v").otherwise("u").alias("side"), w.alias("vertex"))))
-        kids = open_.join(pivots, "node").withColumn("branches", branch).select("*", F.posexplode("branches").alias("at", "b"))
-        sibling = lambda side: F.transform(F.filter(F.slice("branches", 1, F.col("at")), lambda s: s["side"] == side), lambda s: s["vertex"])
-        own = lambda side: F.when(F.col("b.side") == side, F.array("b.vertex")).otherwise(none)
-        kids = kids.select(
-            "seed_id", F.col("b.side").alias("side"), F.col("b.vertex").alias("vertex"), F.concat("r_u", own("u")).alias("r_u"), F.concat("r_v", own("v")).alias("r_v"),
-            F.array_except("c_u", F.concat(sibling("u"), own("u"))).alias("c_u"), F.array_except("c_v", F.concat(sibling("v"), own("v"))).alias("c_v"),
-            F.concat("x_u", sibling("u")).alias("x_u"), F.concat("x_v", sibling("v")).alias("x_v"),
-        ).join(both, ["side", "vertex"])
-        grown = lambda c, side: F.when(F.col("side") == side, F.col(c)).otherwise(F.array_intersect(c, "nbrs")).alias(c)
-        level = kids.select("r_u", "r_v", grown("c_u", "u"), grown("c_v", "v"), grown("x_u", "u"), grown("x_v", "v"), "seed_id")
+        known = cut(_measured(level.filter(~done), both).filter("not dead"))
+        chained = (F.size("full_u") > 0) | (F.size("full_v") > 0)
+        forced = cut(_forced(known.filter(chained), alpha, beta))
+        nodes += forced.agg(F.coalesce(F.sum("passed"), F.lit(0))).first()[0]
+        seeds.append(forced.filter("new").select(key("s_u", "s_v").alias("seed_id"), F.col("s_u").alias("r_u"), F.col("s_v").alias("r_v")))
+        taken = forced.withColumn("seed_id", F.when(F.col("new"), key("s_u", "s_v")).otherwise(F.col("seed_id"))).drop("new", "s_u", "s_v", "passed")
+        level = _branched(known.filter(~chained), both).unionByName(taken)
     else:
-        raise RuntimeError(f"the tree is deeper than {most_levels} levels")
+        raise RuntimeError(f"the tree has more than {most_levels} levels of branches")
     join = lambda frames, names: frames[0].select(*names) if len(frames) == 1 else frames[0].select(*names).union(join(frames[1:], names))
     return join(leaves, ["seed_id", "x", "y"]), join(seeds, ["seed_id", "r_u", "r_v"]), nodes
 
 
-def cheaper_side(edges: DataFrame) -> str:
-    """The side whose 2-hop join is smaller: roots on the left pair up the neighbours of each right vertex."""
-    squares = lambda side: edges.groupBy(side).agg(F.count("*").alias("d")).agg(F.coalesce(F.sum(F.col("d") * F.col("d")), F.lit(0))).first()[0]
-    return "u" if squares("v") <= squares("u") else "v"
-
-
 def enumerate_bicliques(edges: DataFrame, alpha: int = 1, beta: int = 1, engine: str = "local", pivot: str = "min_nonneighbours", side: str = "cheaper", qualified_only: bool = False, budget: int | None = None, heavy: int = HEAVY) -> Enumeration:
     """Enumerate over encoded edges (long u, v).
 

@@ -86,22 +86,45 @@ def overlap_histogram(found: Communities) -> DataFrame:
     return per.groupBy("side", "communities").agg(F.count("*").alias("vertices"))
 
 
-def case_study(edges: DataFrame, alpha: int, beta: int, k: int) -> DataFrame:
-    """``[model, vertices]``: vertices around the least member of the largest community, by communities, k-bitruss, core and maximum biclique."""
+def query_vertex(found: Communities) -> str | None:
+    """The least left label in the largest community (ties: the community of the least biclique)."""
+    named = found.keyed()
+    top = named.groupBy("community_id").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "community_id").limit(1).select("community_id")
+    ids = found.encoded.labels(found.bicliques).select("x", F.concat_ws("|", F.array_join("x", ","), F.array_join("y", ",")).alias("biclique"))
+    return named.join(top, "community_id").join(ids, "biclique").agg(F.min(F.array_min("x"))).first()[0]
+
+
+def case_study(edges: DataFrame, alpha: int, beta: int, k: int, query: str | None = None) -> DataFrame:
+    """``[model, vertices, shared, inside, holds]``: what each model returns around a left vertex ``query`` (see ``query_vertex``).
+
+    Models: the vertex's communities, its component in the k-bitruss and in the (beta, alpha)-core, and the biclique of most
+    edges that holds it (ties: the least string). ``vertices`` counts them, ``shared`` those that communities have
+    too; ``inside``: all of the model's are in communities; ``holds``: all of theirs are in the model.
+    """
     encoded = encode(simple_edges(edges))
     found = detect(encoded, alpha, beta, "listing_seeded")
-    top = found.sizes().orderBy(F.desc("bicliques"), "label").limit(1).select("label")
-    inside = cut(community_edges(found))
-    query = inside.join(top, "label", "left_semi").agg(F.min("u")).first()[0]
+    query = query or query_vertex(found)
     if query is None:
-        return edges.sparkSession.createDataFrame([], "model string, vertices long")
-    mine = inside.join(inside.filter(F.col("u") == query).select("label").distinct(), "label", "left_semi")
-    vertices = lambda e: e.select(F.concat(F.lit("u"), "u").alias("x")).union(e.select(F.concat(F.lit("v"), "v"))).distinct().agg(F.count("*").alias("vertices"))
-    around = lambda e: cohesive.component_of(e, "u", query).agg(F.count("*").alias("vertices"))
-    best = cohesive.maximum_biclique(found.bicliques, "edges", "u", query).select((F.size("x") + F.size("y")).cast("long").alias("vertices"))
-    rows = {"communities": vertices(mine), "bitruss": around(cohesive.bitruss(encoded.edges, k)), "core": around(cohesive.core(encoded.edges, alpha, beta)), "maximum_biclique": best}
+        return edges.sparkSession.createDataFrame([], "model string, vertices long, shared long, inside boolean, holds boolean")
+    own = encoded.u.filter(F.col("label").cast("string") == query).select(F.col("id").alias("u"))
+    root = own.first()[0]
+    inside = cut(community_edges(found))
+    mine = inside.join(inside.join(own, "u", "left_semi").select("label").distinct(), "label", "left_semi")
+    ends = lambda e: e.select(F.lit("u").alias("side"), F.col("u").cast("string").alias("vertex")).union(e.select(F.lit("v"), F.col("v").cast("string"))).distinct()
+    most = F.size("x").cast("long") * F.size("y")
+    holding = found.bicliques.filter(F.array_contains("x", root)).withColumn("n", most)
+    best = cut(holding.join(holding.agg(F.max("n").alias("n")), "n").drop("n"))
+    named = encoded.labels(best).select("biclique_id", F.concat_ws("|", F.array_join("x", ","), F.array_join("y", ",")).alias("name"))
+    least = best.join(named.orderBy("name").limit(1), "biclique_id").select(F.explode("x").alias("u"), "y").select("u", F.explode("y").alias("v"))
+    models = {
+        "communities": ends(mine), "bitruss": cohesive.component_of(cohesive.bitruss(encoded.edges, k), "u", root),
+        "core": cohesive.component_of(cohesive.core(encoded.edges, beta, alpha), "u", root), "maximum_biclique": ends(least),
+    }
+    base = cut(models["communities"])
     out = None
-    for model, one in rows.items():
-        one = one.select(F.lit(model).alias("model"), F.col("vertices").cast("long"))
-        out = one if out is None else out.union(one)
+    for model, one in models.items():
+        both = one.withColumn("m", F.lit(1)).join(base.withColumn("c", F.lit(1)), ["side", "vertex"], "full")
+        counts = both.agg(*[F.coalesce(F.sum(F.when(w, 1)), F.lit(0)).cast("long").alias(n) for n, w in (("vertices", F.col("m").isNotNull()), ("shared", F.expr("m = 1 and c = 1")), ("theirs", F.col("c").isNotNull()))])
+        row = counts.select(F.lit(model).alias("model"), "vertices", "shared", (F.col("vertices") == F.col("shared")).alias("inside"), (F.col("theirs") == F.col("shared")).alias("holds"))
+        out = row if out is None else out.union(row)
     return out

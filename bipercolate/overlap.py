@@ -5,24 +5,25 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from bipercolate.checkpoints import cut
+
 
 def qualify(bicliques: DataFrame, alpha: int, beta: int) -> DataFrame:
     return bicliques.filter((F.col("n_x") >= alpha) & (F.col("n_y") >= beta))
 
 
-def _postings(bicliques: DataFrame, alpha: int, prefix: bool) -> DataFrame:
-    """``[biclique_id, vertex]`` over left vertices. With ``prefix``, only the |x| - alpha + 1 rarest of each: two sets that share alpha vertices share one of those."""
-    every = bicliques.select("biclique_id", "n_x", F.explode("x").alias("vertex"))
+def _postings(bicliques: DataFrame, least: int, prefix: bool, sets: str = "x") -> DataFrame:
+    """``[biclique_id, vertex]`` over one side. With ``prefix``, only the n - least + 1 rarest of each: two sets that share so many vertices share one of those."""
+    every = bicliques.select("biclique_id", F.size(sets).alias("n_of"), F.explode(sets).alias("vertex"))
     if not prefix:
         return every.select("biclique_id", "vertex")
     rarity = every.groupBy("vertex").agg(F.count("*").alias("n"))
-    ranked = every.join(rarity, "vertex").groupBy("biclique_id", "n_x").agg(F.array_sort(F.collect_list(F.struct("n", "vertex"))).alias("by_rarity"))
-    return ranked.select("biclique_id", F.explode(F.slice("by_rarity", 1, F.greatest(F.col("n_x") - alpha + 1, F.lit(0)))).alias("r")).select("biclique_id", "r.vertex")
+    ranked = every.join(rarity, "vertex").groupBy("biclique_id", "n_of").agg(F.array_sort(F.collect_list(F.struct("n", "vertex"))).alias("by_rarity"))
+    rarest = F.explode(F.slice("by_rarity", 1, F.greatest(F.col("n_of") - least + 1, F.lit(0)))).alias("r")
+    return ranked.select("biclique_id", rarest).select("biclique_id", "r.vertex")
 
 
-def candidates(bicliques: DataFrame, alpha: int = 1, prefix: bool = False, groups: DataFrame | None = None) -> DataFrame:
-    """Pairs a < b of bicliques that share a (prefix) left vertex; with ``groups`` [biclique_id, label], only of different groups."""
-    posts = _postings(bicliques, alpha, prefix)
+def _pairs(posts: DataFrame, groups: DataFrame | None) -> DataFrame:
     if groups is None:
         left, right, differ = posts.select(F.col("biclique_id").alias("a"), "vertex"), posts.select(F.col("biclique_id").alias("b"), "vertex"), F.lit(True)
     else:
@@ -33,11 +34,23 @@ def candidates(bicliques: DataFrame, alpha: int = 1, prefix: bool = False, group
     return left.join(right, "vertex").filter((F.col("a") < F.col("b")) & differ).select("a", "b").distinct()
 
 
+def candidates(bicliques: DataFrame, alpha: int = 1, prefix: bool = False, groups: DataFrame | None = None) -> DataFrame:
+    """Pairs a < b of bicliques that share a (prefix) left vertex; with ``groups`` [biclique_id, label], only of different groups."""
+    return _pairs(_postings(bicliques, alpha, prefix), groups)
+
+
+def rarer_postings(bicliques: DataFrame, alpha: int, beta: int) -> DataFrame:
+    """The prefix postings of the side whose lists pair up fewer bicliques, as counted."""
+    options = [cut(_postings(bicliques, least, True, sets)) for least, sets in ((alpha, "x"), (beta, "y"))]
+    cost = [p.groupBy("vertex").agg(F.count("*").cast("double").alias("n")).agg(F.sum(F.col("n") * F.col("n"))).first()[0] or 0 for p in options]
+    return options[0] if cost[0] <= cost[1] else options[1]
+
+
 def edges(bicliques: DataFrame, alpha: int, beta: int, prefix: bool = True, groups: DataFrame | None = None) -> DataFrame:
     """``[a, b, common_x, common_y]`` of all linked pairs."""
     good = qualify(bicliques, alpha, beta)
     sets = good.select("biclique_id", "x", "y")
-    pairs = candidates(good, alpha, prefix, groups)
+    pairs = _pairs(rarer_postings(good, alpha, beta) if prefix else _postings(good, alpha, False), groups)
     left = sets.select(F.col("biclique_id").alias("a"), F.col("x").alias("xa"), F.col("y").alias("ya"))
     right = sets.select(F.col("biclique_id").alias("b"), F.col("x").alias("xb"), F.col("y").alias("yb"))
     both = pairs.join(left, "a").join(right, "b")

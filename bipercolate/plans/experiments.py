@@ -12,7 +12,7 @@ from bipercolate import graph, maxbiclique, measures, overlap, partial
 from bipercolate.communities import METHODS, detect
 from bipercolate.graph import encode
 from bipercolate.sources.sinks import consume
-from bipercolate.sources.workloads import GRAPHS
+from bipercolate.sources.workloads import ALPHAS, BETAS, DEFAULT_ALPHA, DEFAULT_BETA, GRAPHS
 
 METRICS = "graph string, alpha int, beta int, method string, metric string, value double, status string"
 
@@ -49,12 +49,13 @@ def within_budget(spark: SparkSession, run: Callable[[], DataFrame], budget_s: f
 
 
 def grid(spark: SparkSession, sf_dir: str, graphs: Iterable[str], sizes: Iterable[tuple[int, int]], methods: Iterable[str] = METHODS, budget_s: float = 600) -> DataFrame:
-    """Run time of each method, graph and (alpha, beta)."""
+    """Run time of each method, graph and (alpha, beta), from the encoded graph on."""
     rows = []
     for g in graphs:
+        e = encode(GRAPHS[g](spark, sf_dir))
         for a, b in sizes:
             for m in methods:
-                s, status = within_budget(spark, lambda g=g, a=a, b=b, m=m: detect(GRAPHS[g](spark, sf_dir), a, b, m).labels, budget_s)
+                s, status = within_budget(spark, lambda e=e, a=a, b=b, m=m: detect(e, a, b, m).labels, budget_s)
                 rows.append((g, a, b, m, "seconds", s, status))
     return spark.createDataFrame(rows, METRICS)
 
@@ -103,17 +104,40 @@ def scale(spark: SparkSession, sf_dir: str, graphs: Iterable[str], alpha: int, b
     return spark.createDataFrame(rows, METRICS)
 
 
+def _executor_metrics(spark: SparkSession) -> list[dict]:
+    """Per executor: peak memory, and shuffled bytes so far, from Spark's status store (kept also without a web page)."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    rows, every = [], store.executorList(True)
+    for k in range(every.size()):
+        one = every.apply(k)
+        peak = one.peakMemoryMetrics()
+        names = ("JVMHeapMemory", "JVMOffHeapMemory", "OnHeapExecutionMemory", "OffHeapExecutionMemory", "ProcessTreePythonRSSMemory")
+        peaks = {n: peak.get().getMetricValue(n) if peak.isDefined() else 0 for n in names}
+        rows.append({"written": one.totalShuffleWrite(), "read": one.totalShuffleRead(), **peaks})
+    return rows
+
+
+def _spilled(spark: SparkSession) -> int:
+    """Bytes that all stages so far spilled to disk."""
+    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None)
+    return sum(stages.apply(k).diskBytesSpilled() for k in range(stages.size()))
+
+
 def memory(spark: SparkSession, sf_dir: str, graphs: Iterable[str], alpha: int, beta: int, methods: Iterable[str] = METHODS) -> DataFrame:
-    """Heap in use after each method (MB) in the JVM that plans it, and the driver's Python peak."""
-    runtime = spark.sparkContext._jvm.java.lang.Runtime.getRuntime()
+    """Per method: the highest memory of any executor so far (MB; peaks never fall, so methods run in the order of their need), and bytes shuffled and spilled by the run."""
     rows = []
     for g in graphs:
         for m in methods:
-            runtime.gc()
-            before = runtime.totalMemory() - runtime.freeMemory()
+            before, spilled = _executor_metrics(spark), _spilled(spark)
             consume(detect(GRAPHS[g](spark, sf_dir), alpha, beta, m).labels)
-            rows.append((g, alpha, beta, m, "heap_mb", (runtime.totalMemory() - runtime.freeMemory() - before) / 1e6, "ok"))
-            rows.append((g, alpha, beta, m, "driver_python_mb", resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1e3, "ok"))
+            after = _executor_metrics(spark)
+            total = lambda rows, name: sum(r[name] for r in rows) / 1e6
+            found = {
+                "peak_heap_mb": max(r["JVMHeapMemory"] for r in after) / 1e6, "peak_execution_mb": max(r["OnHeapExecutionMemory"] for r in after) / 1e6,
+                "peak_python_mb": max(r["ProcessTreePythonRSSMemory"] for r in after) / 1e6, "shuffle_mb": total(after, "written") - total(before, "written"),
+                "spill_mb": (_spilled(spark) - spilled) / 1e6, "driver_python_mb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1e3,
+            }
+            rows += [(g, alpha, beta, m, k, float(v), "ok") for k, v in found.items()]
     return spark.createDataFrame(rows, METRICS)
 
 
@@ -135,3 +159,16 @@ def speed_ups(times: DataFrame, base: str = "overlap") -> DataFrame:
     ok = times.filter("metric = 'seconds' and status = 'ok'").select("graph", "alpha", "beta", "method", "value")
     ref = ok.filter(ok.method == base).select("graph", "alpha", "beta", ok.value.alias("base"))
     return ok.join(ref, ["graph", "alpha", "beta"]).selectExpr("graph", "alpha", "beta", "method", "base / value AS speed_up")
+
+
+def report(spark: SparkSession, sf_dir: str, budget_s: float = 120) -> dict[str, DataFrame]:
+    """All experiments on graphs small enough for one machine: run times and speed-ups, phases, group counts, tree nodes, samples, memory, data sets."""
+    every = [(a, b) for a in ALPHAS for b in BETAS]
+    few = ["user_day", "nation_brand"]
+    times = grid(spark, sf_dir, ["nation_brand"], [(DEFAULT_ALPHA, DEFAULT_BETA), (2, 2), (8, 8)], budget_s=budget_s).union(grid(spark, sf_dir, ["user_day"], [(2, 2), (3, 3)], budget_s=budget_s))
+    return {
+        "run_times": times, "speed_ups": speed_ups(times), "phases": phases(spark, sf_dir, few, [(2, 2), (3, 3)]),
+        "group_counts": group_counts(spark, sf_dir, ["nation_brand"], every).union(group_counts(spark, sf_dir, ["user_day", "cust_brand"], [(2, 2), (3, 3)])),
+        "tree_nodes": tree_nodes(spark, sf_dir, few, [(2, 2), (3, 3)]), "edge_samples": scale(spark, sf_dir, ["user_day"], 3, 3),
+        "memory": memory(spark, sf_dir, ["user_day"], 3, 3), "data_sets": data_sets(spark, sf_dir, ["nation_brand", "user_day", "page_link"]),
+    }

@@ -10,7 +10,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from bipercolate.checkpoints import cut
@@ -18,7 +18,7 @@ from bipercolate.cohesive import vertex_components
 from bipercolate.graph import check_thresholds
 from bipercolate.listing import BudgetExceeded
 from bipercolate.local_solver import Ego, enumerate_root
-from bipercolate.maxbiclique import neighbourhoods
+from bipercolate.maxbiclique import Enumeration, neighbourhoods
 
 SETS = ("r_u", "r_v", "c_u", "c_v", "x_u", "x_v")
 NODES = (
@@ -87,6 +87,25 @@ def seeds(nodes: DataFrame) -> DataFrame:
     return nodes.filter("seed").select("seed_id", F.array_sort("r_u").alias("r_u"), F.array_sort("r_v").alias("r_v"), "live")
 
 
+def enumeration_at(nodes: DataFrame, alpha: int, beta: int) -> Enumeration:
+    """Qualified bicliques with their seeds for other thresholds than the tree was built with, from the table alone.
+
+    A node is a seed if it reaches both sizes and its parent does not. Numbers follow the tree in pre-order and no seed lies
+    below another, so that a biclique's seed is the last one at or before it below the same root.
+    """
+    check_thresholds(alpha, beta)
+    reached = (F.size("r_u") >= alpha) & (F.size("r_v") >= beta)
+    big = nodes.filter(reached)
+    above = nodes.filter(reached).select(F.col("node_id").alias("parent_id"), F.lit(True).alias("again"))
+    rows = big.join(above, "parent_id", "left").withColumn("own", F.when(F.col("again").isNull(), F.col("node_id")))
+    order = Window.partitionBy("root").orderBy("node_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    rows = cut(rows.withColumn("of", F.last("own", ignorenulls=True).over(order).cast("string")))
+    sets = rows.filter("biclique").select(F.array_sort("r_u").alias("x"), F.array_sort("r_v").alias("y"), F.col("of").alias("seed_id"))
+    bicliques = cut(sets.select(F.monotonically_increasing_id().alias("biclique_id"), "x", "y", F.size("x").alias("n_x"), F.size("y").alias("n_y"), "seed_id"))
+    found = rows.filter("own is not null").select(F.col("of").alias("seed_id"), F.array_sort("r_u").alias("r_u"), F.array_sort("r_v").alias("r_v"), "live")
+    return Enumeration(bicliques, cut(found), nodes.count())
+
+
 @dataclass
 class Walk:
     """Partial groups by a walk over a whole tree: seeds in post-order, each searching the live tree within its scope.
