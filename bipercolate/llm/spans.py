@@ -7,6 +7,8 @@ A span is ``struct(start, rank, kind, end, match)``; ``rank`` orders kinds at th
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -29,16 +31,19 @@ def _running(numbers: Column) -> Column:
     return let(blocks, lambda b: F.flatten(let(before(F.transform(b, total), zero), lambda starts: F.transform(F.arrays_zip(b.alias("b"), starts.alias("s")), lambda x: before(x["b"], x["s"])))))
 
 
-def spans(text: Column, pattern: str, kind: str, rank: int, where: Column | None = None) -> Column:
-    """Leftmost non-overlapping matches of ``pattern`` (Java syntax, never empty) in ``text``; none where ``where`` is false."""
+def spans(text: Column, pattern: str, kind: str, rank: int, where: Column | None = None, size: Callable[[Column], Column] = F.length) -> Column:
+    """Leftmost non-overlapping matches of ``pattern`` (Java syntax, never empty) in ``text``; none where ``where`` is false.
+
+    ``size`` measures strings: in code points, or in bytes with ``octet_length``.
+    """
     found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
 
     def placed(matches: Column) -> Column:
         between = F.slice(F.split(text, pattern, -1), 1, F.size(matches))
-        steps = F.zip_with(between, matches, lambda gap, match: (F.length(gap) + F.length(match)).cast("bigint"))
+        steps = F.zip_with(between, matches, lambda gap, match: (size(gap) + size(match)).cast("bigint"))
         return F.zip_with(
             let(steps, lambda s: F.zip_with(_running(s), s, lambda before, step: before + step)), matches,
-            lambda end, match: F.struct((end - F.length(match)).alias("start"), F.lit(rank).alias("rank"), F.lit(kind).alias("kind"), end.alias("end"), match.alias("match")),
+            lambda end, match: F.struct((end - size(match)).alias("start"), F.lit(rank).alias("rank"), F.lit(kind).alias("kind"), end.alias("end"), match.alias("match")),
         )
 
     none = F.array().cast(SPAN)

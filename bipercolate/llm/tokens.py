@@ -116,8 +116,8 @@ class ByteEncoder:
     def __init__(self, path: str) -> None:
         self.library = _library(path)
         cut = public_tokenizers.PATTERN
-        self.later = Chunks(self.library, cut, whole=True, prefix=" ", known=PreTokens(self.library.model, MOST_BYTES), most=3 * MOST_BYTES)
-        self.first = Chunks(self.library, cut, whole=True, known=self.later.known, most=MOST_BYTES // 4)
+        self.later = Chunks(self.library, cut, whole=True, prefix=" ", known=PreTokens(self.library.model, 2 * MOST_BYTES), most=3 * MOST_BYTES)
+        self.first = Chunks(self.library, cut, whole=True, known=self.later.known)
         self.rare = Chunks(self.library, cut, whole=False, known=self.later.known, most=MOST_BYTES // 4)
         self.newline = _packed(self.library.encode("\n", add_special_tokens=False).ids)
 
@@ -131,7 +131,9 @@ class ByteEncoder:
         for line in text.split(b"\n"):
             parts = line.split(b" ")
             found.append(newline)
-            found.append(first[parts.pop(0)])
+            head = parts.pop(0)
+            # A line that begins with one space begins with the pre-token of that space and what follows.
+            found.append(first[head] if head or not parts or not parts[0] else b"")
             found.extend(map(later, parts))
         found[0] = b""
         try:
