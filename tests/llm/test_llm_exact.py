@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from bipercolate.llm import media, mixing, near_dups, packing, pii, quality_model, quality_rules, secrets, token_counts, token_files, tokens
 from bipercolate.llm.common import documents
@@ -64,6 +65,30 @@ def test_token_counts_follow_edits():
             assert tree.text == text.encode() and tree.total == count(text)
 
 
+def test_many_edits_encode_each_segment_once(spark):
+    encoder = tokens.byte_encoder(tokens.vocabulary("byte_bpe_50k.json"))
+    text = "some words here " * 3500
+    edits = [(k, k + 4, "x y") for k in range(0, len(text) - 16, 7)]
+    new, done = [], 0
+    for a, b, x in edits:
+        new += [text[done:a], x]
+        done = b
+    new = "".join([*new, text[done:]])
+    tree = token_counts.CountTree(text.encode(), encoder.encode)
+    tree.encoded_bytes = 0
+    tree.edit_all([(a, b, x.encode()) for a, b, x in edits])
+    assert tree.text == new.encode() and tree.total == len(encoder.library.encode(new, add_special_tokens=False).ids)
+    assert tree.encoded_bytes <= 1.1 * len(new)
+    for _ in range(300):  # insertions at one place
+        tree.edit(500, 500, b" and more words to go")
+    assert max(tree.sizes[len(tree.sizes) // 2 :]) < 3 * token_counts.SEGMENT
+    assert tree.total == len(encoder.library.encode(tree.text.decode(), add_special_tokens=False).ids)
+    state = token_counts.build(spark.createDataFrame([(1, text), (None, None)], "doc_id long, text string"))
+    edited = token_counts.apply(state.withColumn("edits", F.expr("if(doc_id = 1, array(named_struct('start', 5, 'end', 10, 'text', 'WORDS')), null)"))).collect()
+    assert {(r.doc_id, bytes(r.text[:16]), r.n_edits) for r in edited} == {(1, b"some WORDS here ", 1), (None, b"", 0)}
+    assert all(r.encoded_bytes < 600 for r in edited)
+
+
 def test_token_counts_query(either):
     library = tokens.byte_encoder(tokens.vocabulary("byte_bpe_50k.json")).library
     count = lambda x: len(library.encode(x, add_special_tokens=False).ids)
@@ -98,11 +123,34 @@ def brute_classes(rows, percent=75):
 def test_near_duplicates(either, pairwise, monkeypatch):
     monkeypatch.setattr(near_dups, "PAIRWISE", pairwise)
     monkeypatch.setattr(near_dups, "BLOCK", 2 if pairwise == 1 else 1024)
+    monkeypatch.setattr(near_dups, "GROUP_BYTES", 2000 if pairwise == 1 else 4 << 20)
     got = near_dups.classes(either).collect()
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == brute_classes(rows_of(either))
     assert len(got) == either.count() and all(r.kept == (r.doc_id == r.component_id) for r in got)
 
 
+def test_near_copies_just_above_the_threshold_are_found(spark):
+    """Pairs of similarity 0.75 to 0.8: the bands miss one of 200,000, so that none of these may lack its link."""
+    rnd, rows, want = random.Random(12), [], {}
+    for k in range(150):
+        words = [f"w{rnd.randrange(10**6)}" for _ in range(rnd.randint(120, 400))]
+        changed = list(words)
+        for at in rnd.sample(range(len(words)), max(1, len(words) * 25 // 1000)):
+            changed[at] = f"x{rnd.randrange(10**6)}"
+        a, b = ({tuple(x[j : j + 5]) for j in range(len(x) - 4)} for x in (words, changed))
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(changed))]
+        want[2 * k + 1] = 2 * k if 100 * len(a & b) >= 75 * len(a | b) else 2 * k + 1
+    assert 40 < sum(a != b for a, b in want.items()) < 150
+    got = {r.doc_id: r.component_id for r in near_dups.classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {k: got[k] for k in want} == want
+
+
+def test_files_follow_the_numbers_in_their_names(spark):
+    sizes = spark.createDataFrame([(f"part-{k}-x.parquet", 1, 5, k) for k in (99999, 100000, 100001)], "file string, row long, n_tokens long, doc_id long")
+    got = {r.doc_id: r.start for r in token_files._starts(sizes, sizes).collect()}
+    assert got == {99999: 0, 100000: 5, 100001: 10}
+
+
 def test_token_files(either, spark, tmp_path):
     library = tokens.byte_encoder(tokens.vocabulary("byte_bpe_50k.json")).library
     rows = sorted(rows_of(either), key=lambda r: (r[0] is not None, r[0]))
@@ -207,6 +255,29 @@ def test_random_tokens_behind_prefixes_are_secrets(spark):
     assert not any(found[len(bodies) + k] for k in range(len(clean)))
 
 
+def test_window_entropy_equals_counting(spark):
+    rnd = random.Random(4)
+    texts = ["".join(rnd.choice("abc123XYZ/+"[: rnd.randint(1, 11)]) for _ in range(rnd.choice([20, 21, 219, 220, 221, 700]))) for _ in range(60)]
+
+    def brute(text, width=secrets.WINDOW):
+        windows = [Counter(text[k : k + width]).values() for k in range(len(text) - width + 1)]
+        return max(-sum(c / width * np.log2(c / width) for c in w) for w in windows)
+
+    rows = spark.createDataFrame([(x,) for x in texts], "t string")
+    for r in rows.select("t", secrets.window_entropy(F.col("t")).alias("e")).collect():
+        assert abs(r.e - brute(r.t)) < 1e-9
+
+
+def test_long_runs_neither_crash_nor_crawl(spark):
+    n, rnd = 1_000_000, random.Random(6)
+    blob = "".join(rnd.choices("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", k=n))
+    texts = {blob: "entropy", "1a" + "/a" * (n // 2): "", "1a" + "-a" * (n // 2): "", "a" * n + "1": "hex", "zz/1-" * (n // 5): "", "a@" * 10_000: "", "+1 " * 10_000: ""}
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(len(texts))
+    found = {r.doc_id: r.spans.split(":")[0] for r in secrets.report(rows).collect()}
+    assert [found[k] for k in range(len(texts))] == list(texts.values())
+    assert pii.report(rows).count() == len(texts)
+
+
 def test_quality_rules(either):
     def brute(x):
         w = re.findall(r"[^\x20\x09-\x0D]+", x)
@@ -290,6 +361,25 @@ def test_mixing(either):
     assert all(abs(mixed[i] - n) <= 2 for i, n in by_id.items())
 
 
+def test_the_mix_ends_at_the_budget(spark):
+    """The global order by finish time, cut by a prefix sum, against a plain loop."""
+    rnd = random.Random(5)
+    rows = [(k if k % 7 else None, " ".join(["w"] * rnd.randint(0, 30)) + f" t{k}", "en", rnd.choice("abc"), 0) for k in range(150)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    queue = mixing.queues(df)
+    every = mixing.copies(queue.light, queue)
+    copies = sorted((c["finish"], r["__source"], c["pass"], r["__before"], c["words"]) for r in every.collect() for c in r["__copies"])
+    for budget in (0, 1, 700, sum(c[-1] for c in copies) - 1, 10**9):
+        left, want = budget, Counter()
+        for finish, source, turn, before, n in copies:
+            want[source, before] += min(n, max(left, 0))
+            left -= n
+        end = mixing._end(every, budget)
+        cut = mixing.copies(queue.light, mixing.Queues(queue.light, queue.aimed, end))
+        got = Counter({(r["__source"], r["__before"]): sum(c["words"] for c in r["__copies"]) for r in cut.filter("__size > 0").collect()})
+        assert +got == +want and (end is None) == (budget == 10**9)
+
+
 def test_packing(either):
     library = tokens.word_encoder(tokens.vocabulary("word_bpe_49k.json")).chunks.tokenizer
     ids = {i: np.array([*library.encode(x, add_special_tokens=False).ids, 1], "<u4") for i, x in rows_of(either)}
