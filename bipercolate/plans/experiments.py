@@ -119,7 +119,9 @@ def _executor_metrics(spark: SparkSession) -> list[dict]:
 
 def _spilled(spark: SparkSession) -> int:
     """Bytes that all stages so far spilled to disk."""
-    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None)
+    context = spark.sparkContext
+    none = context._gateway.new_array(context._jvm.double, 0)
+    stages = context._jsc.sc().statusStore().stageList(context._jvm.java.util.ArrayList(), False, False, none, context._jvm.java.util.ArrayList())
     return sum(stages.apply(k).diskBytesSpilled() for k in range(stages.size()))
 
 
