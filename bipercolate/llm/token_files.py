@@ -79,11 +79,12 @@ def slices(spark: SparkSession, path: str, first: int, last: int) -> DataFrame:
 
 
 def _starts(rows: DataFrame, sizes: DataFrame) -> DataFrame:
-    """Add ``start`` to rows(doc_id, n_tokens, file, row). Files follow doc_id by their names, rows by their index.
+    """Add ``start`` to rows(doc_id, n_tokens, file, row). Files follow doc_id by the number in their names, rows by their index.
 
     One row per file is summed, running-summed and broadcast: as many rows as there are files, whatever the data.
     """
-    before = Window.orderBy("f").rowsBetween(Window.unboundedPreceding, -1)
+    number = F.regexp_extract("f", r"^part-(\d+)", 1).cast("long")  # names have five digits or more, so they don't sort as text
+    before = Window.orderBy(number, "f").rowsBetween(Window.unboundedPreceding, -1)
     files = sizes.groupBy(F.col("file").alias("f")).agg(F.sum("n_tokens").alias("s")).select("f", F.coalesce(F.sum("s").over(before), F.lit(0)).alias("before"))
     within = Window.partitionBy("file").orderBy("row").rowsBetween(Window.unboundedPreceding, -1)
     return (

@@ -135,7 +135,7 @@ def test_near_copies_just_above_the_threshold_are_found(spark):
     for k in range(150):
         words = [f"w{rnd.randrange(10**6)}" for _ in range(rnd.randint(120, 400))]
         changed = list(words)
-        for at in rnd.sample(range(len(words)), max(1, len(words) * 25 // 1000)):
+        for at in rnd.sample(range(len(words)), max(1, len(words) * (24 + k % 12) // 1000)):
             changed[at] = f"x{rnd.randrange(10**6)}"
         a, b = ({tuple(x[j : j + 5]) for j in range(len(x) - 4)} for x in (words, changed))
         rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(changed))]
