@@ -27,8 +27,9 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BooleanType, DoubleType, LongType, StringType, StructField, StructType
 
-from bipercolate.checkpoints import cut
+from bipercolate.checkpoints import cut, shared_path
 from bipercolate.llm.common import text_blocks
 from bipercolate.llm.tokens import pieces, vocabulary
 
@@ -37,6 +38,8 @@ SCHEMA = (
     "n_tokens long, chars_per_token double, byte_share double, token_entropy double, script string"
 )
 COLUMNS = [x.split()[0] for x in SCHEMA.split(", ")]
+#: What a verdict is made of, beside the language.
+JUDGED = ["base_failed", "script", "n_tokens", "chars_per_token", "byte_share", "token_entropy"]
 MIN_WORDS, WINDOW, MOST_REPEATED = 20, 8, 30
 ENTROPY_FROM = 50
 #: Of measured bands: robust standard deviations to both sides of the median, the least of them, documents that a band needs.
@@ -148,8 +151,8 @@ def base_counts(text: bytes) -> tuple[int, int, int, int, int, list[bytes]]:
     return len(words), chars, symbols, len(lines) - len(set(lines)), repeated_words(words), words
 
 
-def rules(vocabulary_path: str, limits: Limits, rows_only: bool):
-    """For mapInArrow. ``rows_only``: return the input's accepted rows, else one row of measures each."""
+def rules(vocabulary_path: str, limits: Limits, shape: str):
+    """For mapInArrow: one row of measures each ("measures"), the accepted input rows ("rows"), or input rows with measures behind them ("both")."""
 
     def measured(batch: pa.RecordBatch, known, is_byte: np.ndarray) -> Iterator[tuple]:
         langs = batch.column("lang").to_pylist() if "lang" in batch.schema.names else [None] * batch.num_rows
@@ -180,10 +183,13 @@ def rules(vocabulary_path: str, limits: Limits, rows_only: bool):
             if not batch.num_rows:
                 continue
             columns = list(zip(*measured(batch, known, is_byte), strict=True))
-            if rows_only:
+            kinds = [pa.int64()] * 5 + [pa.bool_()] * 2 + [pa.int64()] + [pa.float64()] * 3 + [pa.string()]
+            if shape == "rows":
                 yield batch.filter(pa.array(columns[6], pa.bool_()))
+            elif shape == "both":
+                named = dict(zip(COLUMNS[1:], zip(columns, kinds, strict=True), strict=True))
+                yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(*named[c]) for c in JUDGED)], [*batch.schema.names, *(f"__{c}" for c in JUDGED)])
             else:
-                kinds = [pa.int64()] * 5 + [pa.bool_()] * 2 + [pa.int64()] + [pa.float64()] * 3 + [pa.string()]
                 lang = pc.cast(batch.column("lang"), pa.string()) if "lang" in batch.schema.names else pa.nulls(batch.num_rows, pa.string())
                 yield pa.RecordBatch.from_arrays([pc.cast(batch.column("doc_id"), pa.int64()), *(pa.array(x, k) for x, k in zip(columns, kinds, strict=True)), lang], [*COLUMNS, "lang"])
 
@@ -192,17 +198,22 @@ def rules(vocabulary_path: str, limits: Limits, rows_only: bool):
 
 def _measures(docs: DataFrame, path: str, limits: Limits) -> DataFrame:
     wanted = ["doc_id", F.col("text").cast("string").alias("text"), *([F.col("lang").cast("string").alias("lang")] if "lang" in docs.columns else [])]
-    return docs.select(*wanted).mapInArrow(rules(path, limits, False), f"{SCHEMA}, lang string")
+    return docs.select(*wanted).mapInArrow(rules(path, limits, "measures"), f"{SCHEMA}, lang string")
 
 
-def _verdicts(limits: Limits):
-    """For mapInArrow: ``kept`` by these limits, from measures."""
+def _verdicts(limits: Limits, rows: bool = False):
+    """For mapInArrow: ``kept`` by these limits, from measures; or, with ``rows``, the input rows that are kept, from rows with measures behind them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            inputs = (batch.column(c).to_pylist() for c in ("base_failed", "lang", "script", "n_tokens", "chars_per_token", "byte_share", "token_entropy"))
-            kept = pa.array([not failed and limits.fits(*rest) for failed, *rest in zip(*inputs, strict=True)], pa.bool_())
-            yield pa.RecordBatch.from_arrays([kept if c == "kept" else batch.column(c) for c in COLUMNS], COLUMNS)
+            names = batch.schema.names
+            langs = pc.cast(batch.column("lang"), pa.string()).to_pylist() if "lang" in names else [None] * batch.num_rows
+            failed, *measures = (batch.column(f"__{c}" if rows else c).to_pylist() for c in JUDGED)
+            kept = pa.array([not bad and limits.fits(lang, *rest) for bad, lang, *rest in zip(failed, langs, *measures, strict=True)], pa.bool_())
+            if rows:
+                yield batch.select(names[: -len(JUDGED)]).filter(kept)
+            else:
+                yield pa.RecordBatch.from_arrays([kept if c == "kept" else batch.column(c) for c in COLUMNS], COLUMNS)
 
     return run
 
@@ -217,8 +228,17 @@ def measure(docs: DataFrame, vocabulary_path: str | None = None, bands: dict[str
 
 
 def accepted(docs: DataFrame, vocabulary_path: str | None = None, bands: dict[str, Band] | None = None) -> DataFrame:
-    """The rows of ``docs`` that are kept, with all their columns. Texts are encoded twice if bands are measured."""
-    path, limits = vocabulary_path or vocabulary("piece_bpe_32k.model"), Limits(bands, {})
-    if bands is None:
-        limits = measured_limits(_measures(docs, path, limits))
-    return docs.mapInArrow(rules(path, limits, True), docs.schema)
+    """The rows of ``docs`` that are kept, with all their columns. Rows wait in the shared folder for the bands of the whole table, so that texts are encoded once."""
+    path, limits, spark = vocabulary_path or vocabulary("piece_bpe_32k.model"), Limits(bands, {}), docs.sparkSession
+    if bands is not None:
+        return docs.mapInArrow(rules(path, limits, "rows"), docs.schema)
+    fields = {x.split()[0]: x.split()[1] for x in SCHEMA.split(", ")}
+    kinds = docs.schema
+    for c in JUDGED:
+        kinds = StructType([*kinds.fields, StructField(f"__{c}", {"boolean": BooleanType(), "string": StringType(), "long": LongType(), "double": DoubleType()}[fields[c]])])
+    stored = shared_path(spark, "quality-measures")
+    docs.mapInArrow(rules(path, limits, "both"), kinds).write.option("compression", "zstd").parquet(stored)
+    rows = spark.read.schema(kinds).parquet(stored)
+    lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
+    measured = rows.select(lang.alias("lang"), *[F.col(f"__{c}").alias(c) for c in JUDGED])
+    return rows.mapInArrow(_verdicts(measured_limits(measured), rows=True), docs.schema)
