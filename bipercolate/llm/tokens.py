@@ -116,7 +116,7 @@ class ByteEncoder:
     def __init__(self, path: str) -> None:
         self.library = _library(path)
         cut = public_tokenizers.PATTERN
-        self.later = Chunks(self.library, cut, whole=True, prefix=" ", known=PreTokens(self.library.model, 2 * MOST_BYTES), most=3 * MOST_BYTES)
+        self.later = Chunks(self.library, cut, whole=True, prefix=" ", known=PreTokens(self.library.model, 4 * MOST_BYTES), most=6 * MOST_BYTES)
         self.first = Chunks(self.library, cut, whole=True, known=self.later.known)
         self.rare = Chunks(self.library, cut, whole=False, known=self.later.known, most=MOST_BYTES // 4)
         self.newline = _packed(self.library.encode("\n", add_special_tokens=False).ids)
