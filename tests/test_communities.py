@@ -213,3 +213,40 @@ def test_community_edges_lie_in_core_and_bitruss(spark):
     found = detect(e, 3, 3)
     inside = {(r.u, r.v) for r in communities.community_edges(found, 2).collect()}
     assert inside and inside <= {tuple(r) for r in cohesive.core(e.edges, 3, 3).collect()} & {tuple(r) for r in cohesive.bitruss(e.edges, 6).collect()}
+
+
+def test_two_hop_degree_of_twins(spark):
+    """Left vertices with the same neighbours, right ones with the same, private neighbours and lone vertices."""
+    pairs = [*CHAIN, *[(u + 10, v) for u, v in CHAIN], *[(u, v + 20) for u, v in CHAIN if v == 2], (1, 90), (50, 91), (51, 92), (52, 92), (52, 93)]
+    nbrs = {}
+    for u, v in pairs:
+        nbrs.setdefault(u, set()).add(v)
+    want = {u: sum(1 for w in nbrs if w != u and nbrs[w] & nbrs[u]) for u in nbrs}
+    assert {r.u: r.degree for r in graph.two_hop_degree(edges(spark, pairs)).collect()} == want
+
+
+def test_two_hop_degree_makes_no_pairs_of_twins(spark):
+    """40,000 left vertices below one right vertex: 1.6e9 pairs, one class."""
+    many = spark.range(40_000).selectExpr("id as u", "explode(array(1L, 2L)) as v")
+    assert graph.two_hop_degree(many).groupBy("degree").count().collect() == [(39_999, 40_000)]
+
+
+@pytest.mark.parametrize("method", ["seed_merge", "listing"])
+def test_communities_of_twins(spark, method):
+    """Classes of one to four twins on both sides, below and above the thresholds."""
+    rnd = random.Random(7)
+    small = [(i, j) for i in range(6) for j in range(6) if rnd.random() < 0.45]
+    pairs = [(10 * i + k, 10 * j + m) for i, j in small for k in range(1 + i % 4) for m in range(1 + j % 3)]
+    found = detect(edges(spark, pairs), 3, 2, method)
+    assert partition(found) == brute_communities(pairs, 3, 2)
+    held = {(r.label, r.side, int(r.vertex)) for r in found.members().collect()}
+    rows = found.labels.join(found.encoded.labels(found.bicliques), "biclique_id").collect()
+    assert held == {(r.label, s, int(w)) for r in rows for s, ws in (("u", r.x), ("v", r.y)) for w in ws}
+    assert {r.biclique for r in found.keyed().collect()} == {"|".join(",".join(ws) for ws in (r.x, r.y)) for r in rows}
+
+
+def test_thinned_keeps_few_twins(spark):
+    full = spark.range(500).selectExpr("id as u", "explode(array(1L, 2L, 3L, 4L, 5L)) as v")
+    thin = graph.thinned(full, 3, 2)
+    assert thin.edges.count() == 6
+    assert detect(full, 3, 2, "listing").members().groupBy("side").count().collect() == [("u", 500), ("v", 5)]
