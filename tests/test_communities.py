@@ -2,10 +2,12 @@
 
 import itertools
 import random
+from collections import Counter
 
 import pytest
 
 from bipercolate import communities, graph, listing, local_listing, maxbiclique, measures, overlap, partial, tree
+from bipercolate.catalogue import size_histogram
 from bipercolate.communities import METHODS, detect
 
 CHAIN = [(1, 1), (1, 2), (1, 3), (2, 1), (2, 2), (2, 3), (2, 4), (3, 2), (3, 3), (3, 4)]
@@ -250,3 +252,17 @@ def test_thinned_keeps_few_twins(spark):
     thin = graph.thinned(full, 3, 2)
     assert thin.edges.count() == 6
     assert detect(full, 3, 2, "listing").members().groupBy("side").count().collect() == [("u", 500), ("v", 5)]
+
+
+def test_size_histogram_of_twins(spark):
+    """Enumerated over one vertex a class, counted over all."""
+    pairs = [(10 * u + k, 10 * v + m) for u, v in CHAIN for k in range(u) for m in range(v % 2 + 1)]
+    want = Counter((len(x), len(y)) for x, y in brute_bicliques(pairs))
+    assert {(r.n_x, r.n_y): r.bicliques for r in size_histogram(edges(spark, pairs)).collect()} == want
+
+
+def test_case_study_of_twins(spark):
+    """Communities around a vertex hold its twins."""
+    pairs = [(u + 10 * k, v) for u, v in CHAIN for k in range(4)]
+    rows = {r.model: r for r in measures.case_study(edges(spark, pairs), 2, 2, 1, "1").collect()}
+    assert (rows["communities"].vertices, rows["maximum_biclique"].inside) == (16, True)
