@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bipercolate.checkpoints import cut
-from bipercolate.components import connected, merge
+from bipercolate.components import FEW_LINKS, connected, merge
 from bipercolate.llm.common import ids_semi, text_blocks
 
 WORDS, PERCENT = 5, 75
@@ -247,7 +247,7 @@ def classes(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     stars = buckets.filter("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b")).distinct()
     sifted = stars.join(light.alias("x"), F.col("a") == F.col("x.node")).join(light.alias("y"), F.col("b") == F.col("y.node")).filter(_near("x", "y", percent)).select("a", "b")
     tried = cut(sifted)
-    labels = cut(connected(confirmed(tried, docs, percent)))
+    labels = cut(connected(cut(confirmed(tried, docs, percent)), driver_limit=FEW_LINKS))
 
     of = labels.select(F.col("item").alias("node"), F.col("label"))
     labelled = buckets.join(of, "node", "left").select("band", "node", F.coalesce("label", "node").alias("label"))
@@ -261,7 +261,7 @@ def classes(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     )
     blocks = _in_blocks(rest.filter(F.col("n") > PAIRWISE), light, docs, percent)
     every = nodes.select(F.col("node").alias("item")).join(labels, "item", "left").select("item", F.coalesce("label", "item").alias("label"))
-    final = cut(merge(every, confirmed(between, docs, percent).union(blocks)))
+    final = cut(merge(every, cut(confirmed(between, docs, percent).union(blocks)), driver_limit=FEW_LINKS))
 
     found = nodes.join(final, F.col("node") == F.col("item")).select(*set_key, F.col("node").alias("copy_of"), F.col("label").alias("component_id"))
     return (
