@@ -48,3 +48,21 @@ def test_scratch_deletes_all_but_what_is_kept(spark):
         d = keep(cut(c.union(a)))
         release(a)
     assert len(checkpoints(spark) - before) == 1 and d.count() == 7
+
+
+def test_labels_of_one_key_are_left_out_before_any_is_shuffled(spark):
+    from bipercolate.sources import edges as source
+
+    docs = spark.createDataFrame([(1, "a line that two documents hold\nonly here, in the first one\nonly here, in the first one"), (2, "a line that two documents hold\nonly here, in the second one"), (3, None)], "doc_id long, text string")
+    every, shared = source.lines(docs, "doc_id"), source.lines(docs, "doc_id", least_keys=2)
+    assert every.count() == 4
+    assert {tuple(r) for r in shared.collect()} == {(1, "a line that two documents hold"), (2, "a line that two documents hold")}
+
+
+def test_encoding_leaves_its_edges_and_dictionaries_only(spark):
+    from bipercolate.graph import encode
+
+    before = checkpoints(spark)
+    e = encode(spark.createDataFrame([("a", "x"), ("a", "y"), ("b", "y"), ("c", "z")], "u string, v string"))
+    assert len(checkpoints(spark) - before) == 3
+    assert (e.edges.count(), e.u.count(), e.v.count()) == (4, 3, 3)
