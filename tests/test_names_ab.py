@@ -28,3 +28,15 @@ def test_small_bicliques_are_written_where_they_are_found(spark):
     names = names_ab(encode(spark.createDataFrame(edges, "u string, v string"), "id"), 2, 2)
     plan = names._jdf.queryExecution().executedPlan().toString().split("posexplode")[0]
     assert "Exchange" not in plan and names.count() == 780 * 10
+
+
+def test_labels_of_few_vertices_are_not_shuffled(spark):
+    edges = spark.createDataFrame([(f"u{i}", f"v{k}") for i in range(6) for k in range(i + 1)], "u string, v string")
+    graph = encode(edges, "id")
+    sets = spark.createDataFrame([(7, [1, 3, 2], [1]), (9, [4], [2, 1])], "biclique_id long, x array<long>, y array<long>")
+    few, many = graph.labels(sets), graph.labels(sets, bound=0)
+    want = [(7, ["u0", "u1", "u2"], ["v0"]), (9, ["u3"], ["v0", "v1"])]
+    for names in (few, many):
+        assert [tuple(r) for r in names.orderBy("biclique_id").collect()] == want
+    moved = [x for x in few._jdf.queryExecution().executedPlan().toString().splitlines() if "Exchange hashpartitioning" in x]
+    assert moved and all("REPARTITION_BY_COL" in x for x in moved)
