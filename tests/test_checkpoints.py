@@ -66,3 +66,14 @@ def test_encoding_leaves_its_edges_and_dictionaries_only(spark):
     e = encode(spark.createDataFrame([("a", "x"), ("a", "y"), ("b", "y"), ("c", "z")], "u string, v string"))
     assert len(checkpoints(spark) - before) == 3
     assert (e.edges.count(), e.u.count(), e.v.count()) == (4, 3, 3)
+
+
+def test_detection_leaves_bicliques_labels_groups_and_twins_only(spark):
+    from bipercolate.communities import detect
+    from bipercolate.graph import encode
+
+    graph = encode(spark.createDataFrame([(f"u{i}", f"v{k}") for i in range(6) for k in range(i % 3 + 2)], "u string, v string"))
+    before = checkpoints(spark)
+    found = detect(graph, 2, 2, "seed_merge")
+    assert len(checkpoints(spark) - before) == 5
+    assert {(r.community_id, r.biclique) for r in found.keyed().collect()} == {("u0,u1,u2,u3,u4,u5|v0,v1", b) for b in ("u0,u1,u2,u3,u4,u5|v0,v1", "u1,u2,u4,u5|v0,v1,v2", "u2,u5|v0,v1,v2,v3")}

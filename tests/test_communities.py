@@ -266,3 +266,24 @@ def test_case_study_of_twins(spark):
     pairs = [(u + 10 * k, v) for u, v in CHAIN for k in range(4)]
     rows = {r.model: r for r in measures.case_study(edges(spark, pairs), 2, 2, 1, "1").collect()}
     assert (rows["communities"].vertices, rows["maximum_biclique"].inside) == (16, True)
+
+
+@pytest.mark.parametrize(("at_once", "bound"), [(1, 0), (1, 1_000_000), (1_000_000, 0)])
+def test_vertices_that_share_enough_are_counted_in_rounds(spark, at_once, bound):
+    rng = random.Random(5)
+    pairs = sorted({(rng.randrange(1, 16), rng.randrange(1, 13)) for _ in range(90)})
+    nbrs = {u: {v for w, v in pairs if w == u} for u, _ in pairs}
+    want = sorted((a, b, v) for a in nbrs for b in nbrs if a != b and len(nbrs[a] & nbrs[b]) >= 3 for v in nbrs[a] & nbrs[b])
+    found = sorted(map(tuple, maxbiclique._near(edges(spark, pairs), 3, at_once, bound).collect()))
+    assert want and found == want
+    whole = {r.root: sorted((p.w, p.v) for p in r.pairs) for r in maxbiclique.neighbourhoods(edges(spark, pairs), 3).collect()}
+    assert whole == {a: sorted([(a, v) for v in nbrs[a]] + [(b, v) for x, b, v in want if x == a]) for a in nbrs}
+
+
+def test_postings_of_the_side_that_can_only_make_more_pairs_are_not_written(spark, monkeypatch):
+    made = []
+    postings = overlap._postings
+    monkeypatch.setattr(overlap, "_postings", lambda b, least, prefix, sets="x": made.append(sets) or postings(b, least, prefix, sets))
+    rows = [(i, list(range(9 * i, 9 * i + 9)), [i], 9, 1) for i in range(8)]
+    b = spark.createDataFrame(rows, "biclique_id long, x array<long>, y array<long>, n_x int, n_y int")
+    assert overlap.rarer_postings(b, 2, 1).count() == 8 and made == ["y"]
