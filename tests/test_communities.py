@@ -287,3 +287,25 @@ def test_postings_of_the_side_that_can_only_make_more_pairs_are_not_written(spar
     rows = [(i, list(range(9 * i, 9 * i + 9)), [i], 9, 1) for i in range(8)]
     b = spark.createDataFrame(rows, "biclique_id long, x array<long>, y array<long>, n_x int, n_y int")
     assert overlap.rarer_postings(b, 2, 1).count() == 8 and made == ["y"]
+
+
+@pytest.mark.parametrize(("at_once", "block", "block_edges"), [(1, 7, 40), (1, 1000, 1000), (1, 1, 1), (100, 1000, 30), (10**6, 7, 40)])
+def test_two_hop_weights_in_blocks_and_rounds(spark, monkeypatch, at_once, block, block_edges):
+    """Dense graphs go by blocks of bit sets (long and short lists), others in rounds; weights count once however many neighbours are shared."""
+    monkeypatch.setattr(graph, "LONG_LIST", 4)
+    rng = random.Random(3)
+    pairs = sorted({(rng.randrange(1, 60), rng.randrange(1, 12) ** 2) for _ in range(300)} | {(1000, 5000)})
+    n = {u: rng.randrange(1, 70) for u, _ in pairs}
+    nbrs = {u: {v for w, v in pairs if w == u} for u in n}
+    want = {u: sum(n[w] for w in n if nbrs[u] & nbrs[w]) for u in n}
+    rows = spark.createDataFrame([(u, v, n[u]) for u, v in pairs], "u long, v long, n long")
+    assert {r.u: r.weight for r in graph.two_hop_weights(rows, at_once, block, block_edges).collect()} == want
+    assert {r.u: r.weight for r in graph._by_blocks(rows, 3, 2).collect()} == want
+
+
+def test_dense_graphs_make_no_two_hop_pairs(spark):
+    """600 left vertices of 5 out of 8 right ones would make 140,000 pairs a right vertex."""
+    rows = spark.range(600).selectExpr("id as u", "explode(sequence(id % 4, id % 4 + 4)) as v", "1L as n")
+    found = graph.two_hop_weights(rows, 10_000)
+    assert "FlatMapCoGroups" in found._jdf.queryExecution().toString()
+    assert {r.weight for r in found.collect()} == {600}
