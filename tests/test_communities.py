@@ -6,7 +6,7 @@ from collections import Counter
 
 import pytest
 
-from bipercolate import communities, graph, listing, local_listing, maxbiclique, measures, overlap, partial, tree
+from bipercolate import communities, graph, listing, local_listing, local_solver, maxbiclique, measures, overlap, partial, tree
 from bipercolate.catalogue import size_histogram
 from bipercolate.communities import METHODS, detect
 
@@ -309,3 +309,46 @@ def test_dense_graphs_make_no_two_hop_pairs(spark):
     found = graph.two_hop_weights(rows, 10_000)
     assert "FlatMapCoGroups" in found._jdf.queryExecution().toString()
     assert {r.weight for r in found.collect()} == {600}
+
+
+def test_chains_taken_at_once_change_nothing():
+    """A traced tree takes forced vertices one by one: the same bicliques, seeds and number of nodes, also where pivots are sought on arrays."""
+    rng = random.Random(2)
+    for n_u, n_v in ((7, 60), (60, 7), (9, 9)):
+        pairs = [(u, v) for u in range(n_u) for v in range(n_v) if rng.random() < 0.5]
+        nbrs = {u: {v for w, v in pairs if w == u} for u, _ in pairs}
+        for root in list(nbrs)[:3]:
+            ego = local_solver.Ego.of(root, [(w, v) for w in nbrs for v in nbrs[w] & nbrs[root]])
+            for alpha, beta in ((1, 1), (2, 3)):
+                counts, nodes = {}, []
+                rows = lambda **more: [(f.kind, f.x, f.y, f.seed) for f in local_solver.enumerate_root(ego, alpha, beta, **more)]  # noqa: B023, E731
+                assert rows(counts=counts) == rows(trace=nodes.append) and counts["nodes"] == len(nodes)
+
+
+@pytest.mark.parametrize("prefix", [True, False])
+def test_overlaps_are_tested_where_postings_meet(spark, monkeypatch, prefix):
+    """Labels by rounds of postings are the components of the pairs that brute force finds; no plan joins bicliques with each other."""
+    monkeypatch.setattr(overlap, "ELEMENTS_AT_ONCE", 150)
+    monkeypatch.setattr(overlap, "edges", None)
+    rng = random.Random(7)
+    sets = [(i, sorted(rng.sample(range(20), rng.randrange(2, 6))), sorted(rng.sample(range(100, 112), rng.randrange(2, 5)))) for i in range(60)]
+    b = spark.createDataFrame([(i, x, y, len(x), len(y)) for i, x, y in sets], "biclique_id long, x array<long>, y array<long>, n_x int, n_y int")
+    want = {i: i for i, _, _ in sets}
+    for (i, x, y), (j, s, t) in itertools.combinations(sets, 2):
+        if len(set(x) & set(s)) >= 2 and len(set(y) & set(t)) >= 2:
+            lo, hi = sorted((want[i], want[j]))
+            want = {k: lo if w == hi else w for k, w in want.items()}
+    found = {r.biclique_id: r.label for r in communities.by_overlap(b, 2, 2, prefix=prefix).collect()}
+    assert found == want
+    assert 1 < len(set(want.values())) < 60
+
+
+def test_labels_by_arrays_and_by_joins(spark):
+    """An id may stand for several labels; both ways name sets alike, in batches of few labels too."""
+    u = spark.createDataFrame([(1, "b"), (1, "a"), (2, "ä"), (5, "10"), (5, "9")], "id long, label string")
+    v = spark.createDataFrame([(3, "z"), (4, "y")], "id long, label string")
+    sets = spark.createDataFrame([(7, [1, 2], [3]), (8, [5], [3, 4]), (9, [1, 2, 5], [4])], "biclique_id long, x array<long>, y array<long>")
+    want = [(7, ["a", "b", "ä"], ["z"]), (8, ["10", "9"], ["y", "z"]), (9, ["10", "9", "a", "b", "ä"], ["y"])]
+    one = graph.Encoded(sets, u, v)
+    for found in (one.labels(sets), one.labels(sets, most_chars=0), one.labels(sets, 0, 0)):
+        assert sorted(map(tuple, found.collect())) == want
