@@ -352,3 +352,20 @@ def test_labels_by_arrays_and_by_joins(spark):
     one = graph.Encoded(sets, u, v)
     for found in (one.labels(sets), one.labels(sets, most_chars=0), one.labels(sets, 0, 0)):
         assert sorted(map(tuple, found.collect())) == want
+
+
+@pytest.mark.parametrize("at_once", [40, 10**6])
+def test_groups_around_seeds_by_rounds(spark, monkeypatch, at_once):
+    """Bicliques that contain a seed get one label, wherever rounds cut; no pair of seed and biclique leaves a task."""
+    monkeypatch.setattr(partial, "ELEMENTS_AT_ONCE", at_once)
+    rng = random.Random(11)
+    sets = [(i, sorted(rng.sample(range(9), rng.randrange(2, 6))), sorted(rng.sample(range(100, 130), rng.randrange(2, 9)))) for i in range(80)]
+    seeds = [(sorted(rng.sample(x, 2)), sorted(rng.sample(y, 2))) for _, x, y in sets[::3]] + [([1, 50], [100])]
+    b = spark.createDataFrame([(i, x, y, len(x), len(y)) for i, x, y in sets], "biclique_id long, x array<long>, y array<long>, n_x int, n_y int")
+    want = {i: i for i, _, _ in sets}
+    for x, y in seeds:
+        held = {want[i] for i, s, t in sets if set(x) <= set(s) and set(y) <= set(t)}
+        want = {k: min(held) if w in held else w for k, w in want.items()}
+    found = partial.by_seed(b, spark.createDataFrame(seeds, "r_u array<long>, r_v array<long>"), 2, 2)
+    assert {r.biclique_id: r.label for r in found.collect()} == want
+    assert len(set(want.values())) < 80
